@@ -8,6 +8,7 @@ from functools import reduce
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
 #: (pattern, replacement), applied in order. No look-behind, so other engines can run them too.
 STEPS = (
@@ -64,7 +65,7 @@ def mask_exact(sql: str, collapse_lists: bool = True) -> str:
     return re.sub(r"\( \?(?: , \?)+ \)", "( ? )", text) if collapse_lists else text
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(StringType())
 def mask_values_exact(sql: pd.Series) -> pd.Series:
     return sql.map(lambda s: None if s is None else mask_exact(s))
 
