@@ -61,7 +61,7 @@ class WordCounter:
             core = w.rstrip(_TAIL)
             split.append((core, w[len(core) :]) if core and core[-1].isalnum() else (w, ""))
         got = self._cores.resolve([x for pair in split for x in pair if x])
-        return [got[a] + (got[b] if b else 0) for a, b in split]
+        return [(got[a] if a else 0) + (got[b] if b else 0) for a, b in split]
 
     def counts(self, texts: list[str]) -> list[int]:
         split = [t.translate(_TO_SPACE).split(" ") if "\n" in t or "\t" in t or "\r" in t else t.split(" ") for t in texts]
