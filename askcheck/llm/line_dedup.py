@@ -69,9 +69,12 @@ def drop_boilerplate(pages: DataFrame, text_col: str = "text", host_col: str = "
     stay = F.filter(lines, lambda x: (F.trim(x) == "") | ~F.array_contains("above", F.xxhash64(F.trim(x))))
     cleaned = F.when(F.col("above").isNull(), F.col("text")).otherwise(F.array_join(stay, "\n"))
     dropped = F.when(F.col("above").isNull() | F.col("text").isNull(), F.lit(0)).otherwise(F.size(lines) - F.size(stay))
-    out = found.select(
-        *(cleaned.alias(c) if c == text_col else F.col("_row")[c].alias(c) for c in pages.columns),
-        F.when(F.col("text").isNull(), 0).otherwise(F.size(lines)).cast("long").alias("n_lines"),
-        dropped.cast("long").alias("n_dropped"),
+    # two steps, so that no column of the pages is taken for one of those named here
+    done = found.select(
+        "_row",
+        cleaned.alias("_cleaned"),
+        F.when(F.col("text").isNull(), 0).otherwise(F.size(lines)).cast("long").alias("_n_lines"),
+        dropped.cast("long").alias("_n_dropped"),
     )
-    return out
+    own = [F.col("_cleaned").alias(c) if c == text_col else F.col("_row")[c].alias(c) for c in pages.columns if c not in ("n_lines", "n_dropped")]
+    return done.select(*own, F.col("_n_lines").alias("n_lines"), F.col("_n_dropped").alias("n_dropped"))
