@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import text_or_empty
 from .line_dedup import words_of
 
-STATISTICS = ("n_chars", "n_words", "word_length", "upper", "symbols", "digits", "marks", "distinct", "line_words", "repeated_lines")
+STATISTICS = ("n_chars", "n_words", "word_length", "upper", "symbols", "digits", "marks", "richness", "stutter", "line_words", "repeated_lines")
 
 
 def statistics(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -45,7 +45,9 @@ def statistics(docs: DataFrame, text: str = "text") -> DataFrame:
                 "symbols": F.regexp_count(text, F.lit(r"[#*$%&|<>]")) / n,
                 "digits": F.regexp_count(text, F.lit("[0-9]")) / F.greatest(F.length(text), F.lit(1)),
                 "marks": F.regexp_count(text, F.lit("[!?]")) / n,
-                "distinct": F.size(F.array_distinct("_words")) / n,
+                # the logarithms' ratio hardly depends on the length of a text
+                "richness": F.log1p(F.size(F.array_distinct("_words"))) / F.log1p(n),
+                "stutter": F.size(F.filter("_words", lambda w, i: F.coalesce(w == F.get("_words", i - 1), F.lit(False)))) / n,
                 "line_words": F.col("_n") / F.size("_lines"),
                 "repeated_lines": 1 - F.size(F.array_distinct("_lines")) / F.size("_lines"),
             }
@@ -118,7 +120,8 @@ def grow(x: np.ndarray, slope: np.ndarray, curve: np.ndarray, cuts: list[np.ndar
     return nodes
 
 
-def extract_rules(x: np.ndarray, y: np.ndarray, trees: int = 24, depth: int = 3, least: int = 10, rate: float = 0.3) -> list[Rule]:
+def extract_rules(x: np.ndarray, y: np.ndarray, trees: int = 24, depth: int = 3, least: int | None = None, rate: float = 0.3) -> list[Rule]:
+    least = least or min(10, max(3, len(y) // 20))
     cuts = [np.unique(np.quantile(x[:, f], np.linspace(0.01, 0.99, 60))) for f in range(x.shape[1])]
     z = np.full(len(y), np.log((y.mean() + 1e-6) / (1 - y.mean() + 1e-6)))
     rules: dict[frozenset, Rule] = {}
@@ -154,12 +157,13 @@ def lasso_logistic(a: np.ndarray, y: np.ndarray, penalty: float, steps: int = 40
 
 
 def fit(x: np.ndarray, y: np.ndarray, penalty: float = 5e-4) -> RuleModel:
+    """The penalty grows where rows are few, so that a handful of them doesn't carry many rules."""
     if len(y) < 20 or y.min() == y.max():
         share = (y.sum() + 1) / (len(y) + 2)
         return RuleModel(float(np.log(share / (1 - share))), ())
     rules = extract_rules(x, y.astype(float))
     a = np.stack([r.holds(x) for r in rules], 1).astype(float)
-    b, w = lasso_logistic(a, y.astype(float), penalty)
+    b, w = lasso_logistic(a, y.astype(float), penalty + 1 / len(y))
     return RuleModel(b, tuple((r, float(v)) for r, v in zip(rules, w, strict=True) if v != 0))
 
 
