@@ -30,30 +30,29 @@ STATISTICS = ("n_chars", "n_words", "word_length", "upper", "symbols", "digits",
 
 
 def statistics(docs: DataFrame, text: str = "text") -> DataFrame:
-    """``docs`` with one double for each of STATISTICS."""
+    """``docs`` with one double for each of STATISTICS.
+
+    They come out of a generator of one row: a filter on a score is then not
+    pushed below them, which would compute them anew for every term of a rule.
+    """
     n = F.greatest(F.col("_n"), F.lit(1))
-    return (
-        docs.withColumn("_words", words_of(F.col(text)))
-        .withColumn("_lines", F.split(text, "\n"))
-        .withColumn("_n", F.size("_words"))
-        .withColumns(
-            {
-                "n_chars": F.length(text).cast("double"),
-                "n_words": F.col("_n").cast("double"),
-                "word_length": F.length(F.array_join("_words", "")) / n,
-                "upper": F.regexp_count(text, F.lit(r"\p{Lu}")) / F.greatest(F.length(text), F.lit(1)),
-                "symbols": F.regexp_count(text, F.lit(r"[#*$%&|<>]")) / n,
-                "digits": F.regexp_count(text, F.lit("[0-9]")) / F.greatest(F.length(text), F.lit(1)),
-                "marks": F.regexp_count(text, F.lit("[!?]")) / n,
-                # the logarithms' ratio hardly depends on the length of a text
-                "richness": F.log1p(F.size(F.array_distinct("_words"))) / F.log1p(n),
-                "stutter": F.size(F.filter("_words", lambda w, i: F.coalesce(w == F.get("_words", i - 1), F.lit(False)))) / n,
-                "line_words": F.col("_n") / F.size("_lines"),
-                "repeated_lines": 1 - F.size(F.array_distinct("_lines")) / F.size("_lines"),
-            }
-        )
-        .drop("_words", "_lines", "_n")
-    )
+    chars = F.greatest(F.length(text), F.lit(1))
+    counted = {
+        "n_chars": F.length(text).cast("double"),
+        "n_words": F.col("_n").cast("double"),
+        "word_length": F.length(F.array_join("_words", "")) / n,
+        "upper": F.regexp_count(text, F.lit(r"\p{Lu}")) / chars,
+        "symbols": F.regexp_count(text, F.lit(r"[#*$%&|<>]")) / n,
+        "digits": F.regexp_count(text, F.lit("[0-9]")) / chars,
+        "marks": F.regexp_count(text, F.lit("[!?]")) / n,
+        # the logarithms' ratio hardly depends on the length of a text
+        "richness": F.log1p(F.size(F.array_distinct("_words"))) / F.log1p(n),
+        "stutter": F.size(F.filter("_words", lambda w, i: F.coalesce(w == F.get("_words", i - 1), F.lit(False)))) / n,
+        "line_words": F.col("_n") / F.size("_lines"),
+        "repeated_lines": 1 - F.size(F.array_distinct("_lines")) / F.size("_lines"),
+    }
+    parts = docs.withColumn("_words", words_of(F.col(text))).withColumn("_lines", F.split(text, "\n")).withColumn("_n", F.size("_words"))
+    return parts.select(*docs.columns, F.explode(F.array(F.struct(*(c.alias(k) for k, c in counted.items())))).alias("_s")).select(*docs.columns, "_s.*")
 
 
 @dataclass(frozen=True)
