@@ -40,23 +40,33 @@ TILE = 4096
 STEP = 256
 
 
-def fingerprint(text: str, shingle: int = 4, seed: int = 42) -> int:
-    """A bit is 1 if it is set in over half of the shingles' hashes."""
+def shingle_hashes(text: str, shingle: int, seed: int = 42) -> np.ndarray:
+    """A hash for every run of ``shingle`` words, repeats included; of all words if there are fewer."""
     words = text.encode("utf-8", "surrogatepass").lower().split()
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     joined = b" ".join(words)
     ends = np.cumsum([len(w) + 1 for w in words]) - 1
     k = min(shingle, len(words))
     starts = np.concatenate([[0], ends[:-1] + 1])[: len(words) - k + 1].tolist()
     parts = [joined[a:b] for a, b in zip(starts, ends[k - 1 :].tolist(), strict=True)]
-    hashes = np.fromiter(map(xxhash.xxh64_intdigest, parts, repeat(seed)), np.uint64, len(parts))
+    return np.fromiter(map(xxhash.xxh64_intdigest, parts, repeat(seed)), np.uint64, len(parts))
+
+
+def majority_bits(hashes: np.ndarray) -> int:
+    """A bit is 1 if it is set in over half of the hashes."""
+    if not len(hashes):
+        return 0
     counts = np.zeros(64, np.int64)
     for i in range(0, len(hashes), 1 << 15):
         counts += np.unpackbits(hashes[i : i + (1 << 15)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
     return int(np.packbits(2 * counts > len(hashes), bitorder="little").view(np.uint64)[0])
 
 
+def fingerprint(text: str, shingle: int = 4, seed: int = 42) -> int:
+    return majority_bits(shingle_hashes(text, shingle, seed))
+
+
 def fingerprints(docs: DataFrame, shingle: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, fp: the 64 bits as a signed long."""
 
@@ -131,38 +141,39 @@ def cell_links(fps: np.ndarray, side: np.ndarray, radius: int) -> tuple[np.ndarr
     return fps[got[:, 0]], fps[got[:, 1]]
 
 
-def close_links(nodes: DataFrame, radius: int = 4, tile: int = TILE) -> DataFrame:
-    """u, v: links that connect whatever fingerprints within ``radius`` connect. ``nodes`` has distinct fp."""
-    spark = nodes.sparkSession
-    masks = block_masks(radius, blocks_for(nodes.count(), radius, tile))
-    keyed = nodes.select("fp", F.explode(F.array(*(F.struct(F.lit(i).alias("choice"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for i, m in enumerate(masks)))).alias("k")).select("fp", "k.choice", "k.key")
-    keyed = keyed.withColumn("pop", F.bit_count("fp"))
-    per_pop = keyed.groupBy("choice", "key", "pop").agg(F.count(F.lit(1)).alias("n"))
+def in_cells(keyed: DataFrame, by: list[str], band: str, reach: int, tile: int, node: str, values: list[str]) -> DataFrame:
+    """check, cell, side and ``values``, dealt by cell and sorted within partitions.
+
+    A bucket (``by``) of at most ``tile`` rows is one cell, side -1. A larger one
+    is split by ``band`` and a hash of ``node``; a row then goes to the cell of
+    its own part with each part whose band is within ``reach`` of its own.
+    """
+    per_band = keyed.groupBy(*by, band).agg(F.count(F.lit(1)).alias("n"))
     hot = (
-        per_pop.groupBy("choice", "key")
-        .agg(F.sum("n").alias("total"), F.collect_list(F.struct("pop", F.ceil(F.col("n") / tile).cast("int").alias("parts"))).alias("tiles"))
+        per_band.groupBy(*by)
+        .agg(F.sum("n").alias("total"), F.collect_list(F.struct(F.col(band).alias("band"), F.ceil(F.col("n") / tile).cast("int").alias("parts"))).alias("tiles"))
         .filter(F.col("total") > tile)
-        .select("choice", "key", "tiles")
+        .select(*by, "tiles")
     )
-    # A tile is (population count, part); a row goes to the cell of each tile within the radius of its own.
-    own = "struct(pop, cast(pmod(xxhash64(fp), element_at(filter(tiles, t -> t.pop = pop), 1).parts) as int) as part)"
-    others = f"flatten(transform(filter(tiles, t -> abs(t.pop - pop) <= {radius}), t -> transform(sequence(0, t.parts - 1), p -> struct(t.pop as pop, p as part))))"
+    own = f"struct({band} as band, cast(pmod(xxhash64({node}), element_at(filter(tiles, t -> t.band = {band}), 1).parts) as int) as part)"
+    others = f"flatten(transform(filter(tiles, t -> abs(t.band - {band}) <= {reach}), t -> transform(sequence(0, t.parts - 1), p -> struct(t.band as band, p as part))))"
     cells = (
-        keyed.join(hot, ["choice", "key"], "left")
+        keyed.join(hot, by, "left")
         .withColumn("own", F.expr(f"case when tiles is null then null else {own} end"))
         .withColumn("other", F.explode_outer(F.expr(f"case when tiles is null then null else {others} end")))
-        .select(
-            "choice",
-            "key",
-            F.expr("least(own, other)").alias("lo"),
-            F.expr("greatest(own, other)").alias("hi"),
-            F.expr("case when own is null or own = other then -1 when own < other then 0 else 1 end").alias("side"),
-            "fp",
-        )
+        .select(*by, F.expr("least(own, other)").alias("lo"), F.expr("greatest(own, other)").alias("hi"), F.expr("case when own is null or own = other then -1 when own < other then 0 else 1 end").alias("side"), *values)
     )
-    by = ["choice", "key", "lo", "hi"]
-    cells = cells.withColumn("cell", F.xxhash64(*by))
-    dealt = cells.repartition(partitions_of(spark), "cell").sortWithinPartitions(*by).select(F.expr("hash(choice, key, lo, hi)").alias("check"), "cell", "side", "fp")
+    place = [*by, "lo", "hi"]
+    dealt = cells.withColumn("cell", F.xxhash64(*place)).repartition(partitions_of(keyed.sparkSession), "cell").sortWithinPartitions(*place)
+    return dealt.select(F.hash(*place).alias("check"), "cell", "side", *values)
+
+
+def close_links(nodes: DataFrame, radius: int = 4, tile: int = TILE) -> DataFrame:
+    """u, v: links that connect whatever fingerprints within ``radius`` connect. ``nodes`` has distinct fp."""
+    masks = block_masks(radius, blocks_for(nodes.count(), radius, tile))
+    keyed = nodes.select("fp", F.explode(F.array(*(F.struct(F.lit(i).alias("choice"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for i, m in enumerate(masks)))).alias("k")).select("fp", "k.choice", "k.key")
+    keyed = keyed.withColumn("pop", F.bit_count("fp"))
+    dealt = in_cells(keyed, ["choice", "key"], "pop", radius, tile, "fp", ["fp"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = [np.zeros(0, t) for t in (np.int64, np.int64, np.int32, np.uint64)]
@@ -195,7 +206,7 @@ def close_links(nodes: DataFrame, radius: int = 4, tile: int = TILE) -> DataFram
 
 
 def star_components(links: DataFrame) -> DataFrame:
-    """u, root for every node with a link, by alternating large and small stars.
+    """u, root (the smallest node in reach) for every node with a link, by alternating large and small stars.
 
     Each round is two aggregates with map-side combination and two joins of
     links; a round's table is checkpointed. The rounds grow with the logarithm
@@ -219,19 +230,36 @@ def star_components(links: DataFrame) -> DataFrame:
 
 def components(docs: DataFrame, shingle: int = 4, radius: int = 4, id_col: str = "doc_id", text_col: str = "text", tile: int = TILE) -> DataFrame:
     """doc_id, fp, fingerprint (16 hex digits), component_id."""
-    of_docs = checkpointed(fingerprints(docs, shingle, id_col, text_col))
+    found = component_ids(checkpointed(fingerprints(docs, shingle, id_col, text_col)), radius, tile)
+    return found.select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def component_ids(of_docs: DataFrame, radius: int, tile: int = TILE) -> DataFrame:
+    """doc_id, fp, component_id of ``of_docs`` (doc_id, fp), a table that can be read again."""
     nodes = of_docs.groupBy("fp").agg(F.min("doc_id").alias("first_id"))
     roots = star_components(close_links(nodes.select("fp"), radius, tile))
     members = roots.join(nodes, roots["u"] == nodes["fp"]).select("fp", "root", "first_id")
     smallest = members.groupBy("root").agg(F.min("first_id").alias("component_id"))
     joined = members.join(smallest, "root").select("fp", "component_id")
     of_fp = nodes.join(joined, "fp", "left").select("fp", F.coalesce("component_id", "first_id").alias("component_id"))
-    return of_docs.join(of_fp, "fp").select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    return of_docs.join(of_fp, "fp").select("doc_id", "fp", "component_id")
+
 
+def keep_one(docs: DataFrame, shingle: int = 5, radius: int = 4, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text", tile: int = TILE) -> DataFrame:
+    """The documents that stay: one of each group of near copies.
 
-def keep_one(docs: DataFrame, shingle: int = 5, radius: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The documents that are the smallest doc_id of their component; of rows with one doc_id the first by text."""
-    found = components(docs, shingle, radius, id_col, text_col)
-    stay = found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_keep")).distinct()
-    kept = docs.join(stay, docs[id_col].eqNullSafe(stay["_keep"]), "left_semi")
-    return kept
+    First the smallest doc_id of each component of fingerprints within
+    ``radius``. Short texts that differ in a word are further apart than that, so
+    among those that stay ``near_sets`` finds the pairs whose sets of shingles
+    have a similarity of at least ``threshold``, and again the smallest stays.
+    """
+    from .near_sets import set_links, sketches
+
+    sketched = checkpointed(sketches(docs, shingle, id_col, text_col))
+    found = component_ids(sketched.select("doc_id", "fp"), radius, tile)
+    first = checkpointed(found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct())
+    left = sketched.join(first, "doc_id", "left_semi")  # a null doc_id takes no part
+    roots = star_components(set_links(left, threshold, tile=min(tile, 1024)))
+    later = roots.filter("u <> root").select(F.col("u").alias("doc_id"))
+    stay = first.join(later, "doc_id", "left_anti").select(F.col("doc_id").alias("_keep"))
+    return docs.join(stay, docs[id_col].eqNullSafe(stay["_keep"]), "left_semi")
