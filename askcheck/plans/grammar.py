@@ -157,7 +157,9 @@ def understand(nl: str, db_id: str) -> Filled | None:
     for name, pattern in PATTERNS.items():
         m = pattern.search(nl)
         if m and m["t"] in ROLES and m["t"] in DATABASES[db_id]:
-            variant = next((i for i, w in enumerate(_VARIANTS.get(name, ())) if w.lower() in nl.lower()), 0)
+            slots = m.groupdict()
+            said = next((slots[k] for k in ("what", "term", "thing", "scale") if k in slots), nl).lower()
+            variant = next((i for i, w in enumerate(_VARIANTS.get(name, ())) if w.lower() in said), 0)
             if name == "missing_relationship":
                 pairs = [p for p in unlinked_pairs(db_id) if m["t"] in p]
                 variant = next((i for i, p in enumerate(pairs) if m["other"] in p), 0)
