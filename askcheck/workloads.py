@@ -552,7 +552,7 @@ def w_static_dialogue(spark, sf):
 def w_full_simulation(spark, sf):
     """The flagship: generation, validation and dialogues of two sets under all four modes; one row per set, mode and agent."""
     out = []
-    for name, dbs in {"A": ["eval_items", "clicks"], "B": ["geo"]}.items():
+    for name, dbs in {"A": ["eval_items"], "B": ["geo"]}.items():
         _, kept, _, cx = validated(spark, sf, dbs)
         store = stored(spark)
         conversations, turns = simulation.simulate(kept, [A.BaselineAgent("oracle"), A.BaselineAgent("noisy_20", 0.2, 0.9, 0.1)], cx.members, store)
