@@ -16,7 +16,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from askcheck.llm import bpe, exact_topk, line_dedup, packing, pii, quality_rules, queries, rule_ensemble, simhash, token_counts, token_files, units
+from askcheck.llm import bpe, exact_topk, line_dedup, near_sets, packing, pii, quality_rules, queries, rule_ensemble, simhash, token_counts, token_files, units
 
 PIECES = ["the ", "a", " ", "  ", "\n", "\t", "é", "'s", "'", "1", "23", "ß", "日本", " ", "\x1c", "\x85", ".", "!!", "ing", "😀", "A", "<|endoftext|>", "tion", "é"]
 TEXTS = st.lists(st.sampled_from(PIECES), max_size=25).map("".join)
@@ -279,6 +279,31 @@ class TestSimHash:
         assert Counter(r.doc_id for r in kept)[7] == 0
 
 
+class TestNearSets:
+    def test_one_changed_word_in_a_short_text(self, spark):
+        words_ = [f"w{i}" for i in range(60)]
+        rows = [(1, " ".join(words_)), (2, " ".join([*words_[:30], "other", *words_[31:]])), (3, " ".join(w if i % 20 != 10 else "y" for i, w in enumerate(words_))), (4, " ".join(f"v{i}" for i in range(60)))]
+        docs = spark.createDataFrame([*rows, (None, rows[0][1]), (9, None)], "doc_id long, text string")
+        for tile in (4096, 1):
+            kept = sorted(r.doc_id for r in simhash.keep_one(docs, tile=tile).collect())
+            assert kept == [1, 3, 4, 9]
+
+    def test_similarity(self):
+        a, b = np.arange(100, dtype="<u4"), np.arange(20, 120, dtype="<u4")
+        assert near_sets.similarity(a, b, 100, 100) == 80 / 120
+        big = np.sort(np.random.default_rng(3).choice(2**32, 4000, replace=False)).astype("<u4")
+        part = np.sort(np.random.default_rng(4).choice(big, 3600, replace=False))
+        assert abs(near_sets.similarity(big[: near_sets.SKETCH], part[: near_sets.SKETCH], 4000, 3600) - 0.9) < 0.08
+
+    def test_a_group_returns_a_forest(self, spark):
+        base_words = [f"w{i}" for i in range(200)]
+        rows = [(i, " ".join([*base_words[: 5 * i], f"new{i}", *base_words[5 * i + 1 :]])) for i in range(30)]
+        sketched = near_sets.sketches(spark.createDataFrame(rows, "doc_id long, text string"), 5)
+        links = near_sets.set_links(sketched)
+        roots = simhash.star_components(links).collect()
+        assert {r.root for r in roots} == {0} and len(roots) == 30 and links.count() <= near_sets.MINIMA * 29
+
+
 class TestLineDedup:
     def test_ratio_by_host(self, spark):
         rows = [(i, f"Menu\nown line {i}\n\n Menu \nHome", "a") for i in range(20)] + [(100 + i, "Menu\nrest", "b") for i in range(4)] + [(200, None, "a"), (201, "", None)]
