@@ -126,19 +126,19 @@ class PrefixBpe:
         return self.walk_back(data, last)
 
     def encode_sorted(self, pieces: list[str]) -> list[list[int]]:
-        """The ids of many pieces in ascending order: each keeps the table of the prefix it shares with the one before."""
-        out, before, last = [], b"", []
-        for piece in pieces:
-            data = piece.encode()
+        """The ids of each piece. They are taken in ascending order: each keeps the table of the prefix it shares with the one before."""
+        out: dict[str, list[int]] = {}
+        before, last = b"", []
+        for data, piece in sorted((p.encode(), p) for p in pieces):
             whole = self.ranks.get(data)
             if whole is not None:
-                out.append([whole])
+                out[piece] = [whole]
                 continue
             del last[_common(data, before) :]
             self.extend(data, last)
-            out.append(self.walk_back(data, last))
+            out[piece] = self.walk_back(data, last)
             before = data
-        return out
+        return [out[p] for p in pieces]
 
     def encode(self, text: str) -> list[int]:
         out: list[int] = []
@@ -252,14 +252,14 @@ def worker_model(path: str, pattern: str) -> tuple[PrefixBpe, TextEncoder, Token
     """One model for a Python worker, kept over tasks."""
     ranks = load_ranks(path)
     model = PrefixBpe(ranks, pattern)
-    known = UnitCache(model.encode_sorted, 200_000)
+    known = UnitCache(model.encode_sorted, 400_000)
 
     def encode_many(units: list[str]) -> list[list[int]]:
         split = [model.pieces(u) for u in units]
         got = known.resolve([p for pieces in split for p in pieces])
         return [list(chain.from_iterable(map(got.__getitem__, pieces))) for pieces in split]
 
-    return model, TextEncoder(encode_many, 200_000), TokenBytes(ranks), [str(i) for i in range(max(ranks.values()) + 1)]
+    return model, TextEncoder(encode_many, 400_000), TokenBytes(ranks), [str(i) for i in range(max(ranks.values()) + 1)]
 
 
 def encode_documents(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

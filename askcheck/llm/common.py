@@ -47,7 +47,7 @@ def text_or_empty(col: str) -> Column:
     return F.coalesce(F.col(col).cast("string"), F.lit(""))
 
 
-def by_bytes(batches: Iterator[pa.RecordBatch], column: str, limit: int = 2 << 20) -> Iterator[pa.RecordBatch]:
+def by_bytes(batches: Iterator[pa.RecordBatch], column: str, limit: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """The rows of Arrow batches, in slices of about ``limit`` bytes of ``column`` each.
 
     A row longer than the limit is a slice of its own, so memory follows the

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import by_bytes, text_or_empty
-from .units import UnitCache
+from .units import UnitCache, paused_collector
 
 #: Bytes of new words for one call of the library.
 BATCH_BYTES = 64 << 10
@@ -64,6 +64,10 @@ class WordCounter:
         return [(got[a] if a else 0) + (got[b] if b else 0) for a, b in split]
 
     def counts(self, texts: list[str]) -> list[int]:
+        with paused_collector():
+            return self._counts(texts)
+
+    def _counts(self, texts: list[str]) -> list[int]:
         split = [t.translate(_TO_SPACE).split(" ") if "\n" in t or "\t" in t or "\r" in t else t.split(" ") for t in texts]
         got = self._words.resolve([w for words in split for w in words])
         get = got.__getitem__
@@ -87,7 +91,7 @@ def worker_counter(path: str) -> WordCounter:
 def token_counts(docs: DataFrame, path: str, limit: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_bytes, n_tokens, over_limit for every document.
 
-    One pass without a shuffle; each Arrow slice holds about 2 MB of text or one
+    One pass without a shuffle; each Arrow slice holds about 4 MB of text or one
     longer text, so tasks are balanced by bytes and not by rows.
     """
 

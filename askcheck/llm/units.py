@@ -8,11 +8,14 @@ cache; the library only sees what the cache does not hold.
 
 from __future__ import annotations
 
+import gc
 import json
 import re
 from array import array
-from collections.abc import Callable, Iterable
+from collections.abc import Callable, Iterable, Iterator
+from contextlib import contextmanager
 from functools import lru_cache
+from itertools import accumulate, chain
 
 import numpy as np
 
@@ -30,7 +33,7 @@ class UnitCache:
     for again moves back, so frequent units stay and memory stays bounded.
     """
 
-    def __init__(self, encode_many: Callable[[list[str]], Iterable], limit: int = 500_000):
+    def __init__(self, encode_many: Callable[[list[str]], Iterable], limit: int = 600_000):
         self.encode_many, self.limit = encode_many, limit
         self.young: dict = {}
         self.old: dict = {}
@@ -43,11 +46,12 @@ class UnitCache:
         if len(self.young) + len(missing) > self.limit:
             self.old, self.young = self.young, {}
             missing = set(units)
-        found = {u: self.old[u] for u in missing if u in self.old}
-        ask = sorted(missing.difference(found))
+        again = missing.intersection(self.old)
+        found = dict(zip(again, map(self.old.__getitem__, again), strict=True))
+        ask = list(missing.difference(again))
         found.update(zip(ask, self.encode_many(ask), strict=True))
-        self.young.update(x for x in found.items() if len(x[0]) <= LONGEST_KEPT)
-        long = {u: v for u, v in found.items() if len(u) > LONGEST_KEPT}
+        long = {u: found.pop(u) for u in ask if len(u) > LONGEST_KEPT}
+        self.young.update(found)
         return {**self.young, **long} if long else self.young
 
 
@@ -58,20 +62,39 @@ def split_units(text: str) -> list[str]:
     return text.split(" ")
 
 
+@contextmanager
+def paused_collector() -> Iterator[None]:
+    """Without the cycle collector, which would walk the caches again and again; nothing here makes cycles."""
+    on = gc.isenabled()
+    gc.disable()
+    try:
+        yield
+    finally:
+        if on:
+            gc.enable()
+
+
 class TextEncoder:
     """Ids of whole texts as little-endian unsigned 32-bit bytes.
 
     ``encode_many`` gives the ids of each string of a list.
     """
 
-    def __init__(self, encode_many: Callable[[list[str]], Iterable], limit: int = 500_000):
+    def __init__(self, encode_many: Callable[[list[str]], Iterable], limit: int = 600_000):
         def first(units: list[str]) -> list[bytes]:
-            return [array("I", ids).tobytes() for ids in encode_many(units)]
+            lists = list(encode_many(units))
+            ends = list(accumulate(map(len, lists)))
+            flat = array("I", chain.from_iterable(lists)).tobytes()
+            return [flat[4 * a : 4 * b] for a, b in zip([0, *ends], ends, strict=False)]
 
         self._first = UnitCache(first, limit // 10)
         self._rest = UnitCache(lambda units: first([" " + u for u in units]), limit)
 
     def encode(self, texts: list[str]) -> list[bytes]:
+        with paused_collector():
+            return self._encode(texts)
+
+    def _encode(self, texts: list[str]) -> list[bytes]:
         split = [split_units(t) for t in texts]
         heads = [u[0] for u in split]
         head = self._first.resolve(heads)
@@ -88,7 +111,7 @@ def byte_alphabet() -> dict[str, int]:
 
 
 @lru_cache(maxsize=4)
-def byte_level_encoder(path: str, limit: int = 500_000) -> TextEncoder:
+def byte_level_encoder(path: str, limit: int = 600_000) -> TextEncoder:
     """An encoder equal to the tokenizers library's for a byte-level BPE file.
 
     The vocabulary and its special strings are read from the library's file; new
@@ -108,8 +131,14 @@ def byte_level_encoder(path: str, limit: int = 500_000) -> TextEncoder:
     plain, allowed = engine._core_bpe.encode_ordinary, set(special)
     lead = min(special, key=len)[:2] if special else ""
 
+    whole = engine._core_bpe.encode_single_piece
+
     def encode_many(units: list[str]) -> list[list[int]]:
-        return [engine.encode(u, allowed_special=allowed, disallowed_special=()) if lead and lead in u else plain(u) for u in units]
+        # letters after at most one space are a single piece
+        return [
+            whole(u.encode()) if u[1:].isalpha() and (u[0] == " " or u[0].isalpha()) else engine.encode(u, allowed_special=allowed, disallowed_special=()) if lead and lead in u else plain(u)
+            for u in units
+        ]
 
     return TextEncoder(encode_many, limit)
 
