@@ -3,8 +3,7 @@
 Texts meet in a bucket if one of ``MINIMA`` min-hashes of their sets is equal
 (at a similarity of 0.8 all four differ once in 600 pairs). Inside a bucket,
 sizes must agree to the threshold, fingerprints must be within a wide radius, and
-the similarity itself is computed: exactly for sets of up to ``SKETCH`` shingles,
-by their smallest hashes beyond that. Pairs already connected are not compared,
+the similarity itself is computed, from the whole sets of hashes. Pairs already connected are not compared,
 so a group of n near copies costs about n comparisons and returns n - 1 links.
 """
 
@@ -27,7 +26,7 @@ MULTIPLIERS = np.array([(0x9E3779B97F4A7C15 * (2 * i + 1)) & (1 << 64) - 1 | 1 f
 
 
 def sketches(docs: DataFrame, shingle: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, fp, size (distinct shingles), minima array<long>, sketch (the smallest hashes' upper halves, ascending)."""
+    """doc_id, fp, size (distinct shingles), minima array<long>, sketch (all hashes, ascending)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in by_bytes(batches, "text"):
@@ -38,7 +37,7 @@ def sketches(docs: DataFrame, shingle: int, id_col: str = "doc_id", text_col: st
                 own = np.unique(hashes)
                 sizes.append(len(own))
                 minima.append([int((own * m).min().view(np.int64)) for m in MULTIPLIERS] if len(own) else [])
-                kept.append((own[:SKETCH] >> np.uint64(32)).astype("<u4").tobytes())
+                kept.append(own.tobytes())
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sizes, pa.int32()), pa.array(minima, pa.list_(pa.int64())), pa.array(kept, pa.binary())],
                 ["doc_id", "fp", "size", "minima", "sketch"],
@@ -49,9 +48,9 @@ def sketches(docs: DataFrame, shingle: int, id_col: str = "doc_id", text_col: st
 
 
 def similarity(a: np.ndarray, b: np.ndarray, size_a: int, size_b: int) -> float:
-    """Of two sets by their ascending sketches: exact if both are whole."""
-    both = np.intersect1d(a, b, assume_unique=False)
-    if size_a <= SKETCH and size_b <= SKETCH:
+    """Of two sets by their ascending hashes: exact if both are whole, else estimated from the smallest."""
+    both = np.intersect1d(a, b, assume_unique=True)
+    if len(a) == size_a and len(b) == size_b:
         return len(both) / max(1, size_a + size_b - len(both))
     union = np.union1d(a, b)[:SKETCH]
     return float(np.isin(union, both).sum()) / len(union)
@@ -73,7 +72,7 @@ def set_links(sketched: DataFrame, threshold: float = 0.8, wide: int = WIDE, til
         cell = sorted(cell, key=lambda r: r[3])
         side, sizes = np.array([r[0] for r in cell]), np.array([r[3] for r in cell])
         fps = np.array([r[2] for r in cell], np.int64).view(np.uint64)
-        sets = [np.frombuffer(r[4], "<u4") for r in cell]
+        sets = [np.frombuffer(r[4], np.uint64) for r in cell]
         tree = np.arange(len(cell))
         for i in range(len(cell)):
             j = np.arange(i + 1, np.searchsorted(sizes, sizes[i] / threshold + 1e-9, side="right"))
