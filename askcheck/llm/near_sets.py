@@ -2,8 +2,7 @@
 
 Texts meet in a bucket if one of ``MINIMA`` min-hashes of their sets is equal
 (at a similarity of 0.8 all four differ once in 600 pairs). Inside a bucket,
-sizes must agree to the threshold, fingerprints must be within a wide radius, and
-the similarity itself is computed, from the whole sets of hashes. Pairs already connected are not compared,
+sizes must agree to the threshold and the similarity itself is computed, from the whole sets of hashes. Pairs already connected are not compared,
 so a group of n near copies costs about n comparisons and returns n - 1 links.
 """
 
@@ -20,7 +19,7 @@ from pyspark.sql import functions as F
 from .common import by_bytes, checkpointed, text_or_empty
 from .simhash import TILE, in_cells, majority_bits, shingle_hashes
 
-MINIMA, SKETCH, WIDE = 4, 256, 20
+MINIMA, SKETCH = 4, 256
 #: Odd multipliers of the min-hashes, from the golden ratio.
 MULTIPLIERS = np.array([(0x9E3779B97F4A7C15 * (2 * i + 1)) & (1 << 64) - 1 | 1 for i in range(MINIMA)], np.uint64)
 
@@ -56,27 +55,26 @@ def similarity(a: np.ndarray, b: np.ndarray, size_a: int, size_b: int) -> float:
     return float(np.isin(union, both).sum()) / len(union)
 
 
-def set_links(sketched: DataFrame, threshold: float = 0.8, wide: int = WIDE, tile: int = TILE) -> DataFrame:
+def set_links(sketched: DataFrame, threshold: float = 0.8, tile: int = TILE) -> DataFrame:
     """u, v: doc_ids of a spanning forest, for each cell, of the links at ``threshold`` and above."""
     kind = sketched.schema["doc_id"].dataType.simpleString()
     keyed = sketched.filter("size > 0").select("doc_id", F.posexplode("minima").alias("choice", "key"))
     shared = keyed.groupBy("choice", "key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("choice", "key")
     meets = checkpointed(keyed.join(shared, ["choice", "key"], "left_semi"))
     band = F.floor(F.log(F.col("size").cast("double")) / F.lit(-math.log(threshold))).cast("int")
-    rows = meets.join(sketched.select("doc_id", "fp", "size", "sketch"), "doc_id").withColumn("band", band)
+    rows = meets.join(sketched.select("doc_id", "size", "sketch"), "doc_id").withColumn("band", band)
     # sizes within the threshold lie in the same band or in one next to it
-    dealt = in_cells(rows, ["choice", "key"], "band", 1, tile, "doc_id", ["doc_id", "fp", "size", "sketch"])
+    dealt = in_cells(rows, ["choice", "key"], "band", 1, tile, "doc_id", ["doc_id", "size", "sketch"])
 
     def links(cell: list[tuple]) -> Iterator[tuple]:
-        """Rows are (side, doc_id, fp, size, sketch)."""
-        cell = sorted(cell, key=lambda r: r[3])
-        side, sizes = np.array([r[0] for r in cell]), np.array([r[3] for r in cell])
-        fps = np.array([r[2] for r in cell], np.int64).view(np.uint64)
-        sets = [np.frombuffer(r[4], np.uint64) for r in cell]
+        """Rows are (side, doc_id, size, sketch)."""
+        cell = sorted(cell, key=lambda r: r[2])
+        side, sizes = np.array([r[0] for r in cell]), np.array([r[2] for r in cell])
+        sets = [np.frombuffer(r[3], np.uint64) for r in cell]
         tree = np.arange(len(cell))
         for i in range(len(cell)):
             j = np.arange(i + 1, np.searchsorted(sizes, sizes[i] / threshold + 1e-9, side="right"))
-            j = j[(np.bitwise_count(fps[i] ^ fps[j]) <= wide) & ((side[j] != side[i]) | (side[i] == -1))]
+            j = j[(side[j] != side[i]) | (side[i] == -1)]
             while len(j):
                 j = j[tree[j] != tree[i]]
                 hit = next((k for k, x in enumerate(j) if similarity(sets[i], sets[x], sizes[i], sizes[x]) >= threshold), None)

@@ -15,3 +15,10 @@ def test_long_texts_are_held_to_the_threshold_exactly(spark):
         for common in ((1000, 0), (889, 1), (1000, 2), (888, 3)):
             texts.append(" ".join([f"g{group}x{common[1] // 2}w{i}" for i in range(common[0])] + [f"g{group}y{common[1]}w{i}" for i in range(1000 - common[0])]))
     assert kept(spark, texts, shingle=1, radius=0) == [i for i in range(48) if i % 4 != 1]
+
+
+def test_repeats_in_one_copy_do_not_part_equal_sets(spark):
+    words = [f"w{i}" for i in range(300)]
+    texts = [" ".join(words), " ".join(words + words[:5] * 80)]
+    a, b = (simhash.fingerprint(t, 1) for t in texts)
+    assert (a ^ b).bit_count() > 20 and kept(spark, texts, shingle=1) == [0]
