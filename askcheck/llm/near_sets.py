@@ -1,13 +1,22 @@
-"""Links between texts whose sets of word shingles are similar.
-
-Texts meet in a bucket if one of ``MINIMA`` min-hashes of their sets is equal
-(at a similarity of 0.8 all four differ once in 600 pairs). Inside a bucket,
-sizes must agree to the threshold and the similarity itself is computed, from the whole sets of hashes. Pairs already connected are not compared,
-so a group of n near copies costs about n comparisons and returns n - 1 links.
+"""Links between texts whose sets of word shingles are similar, without a loss.
+
+Shingles have one order for all texts: those frequent in a sample of the corpus
+come last, the others by their hash. Two sets with a similarity of ``threshold``
+share a shingle among the first ``n - ceil(threshold * n) + 1`` of each; those are
+a text's keys, and texts meet in the bucket of a key. The sample only decides the
+order, so which texts it holds changes the size of buckets and no result.
+
+Inside a bucket a pair is dropped if its sizes, or the parities of its shingles,
+show that it can't reach the threshold: shingles are dealt over as many bits as
+there are, a bit is the parity of its shingles, and so two sets differ in at least
+as many shingles as bits. What remains makes components of candidates, a superset
+of the links. A text comes to the cells of its component once, with the whole set
+of its hashes, and these decide. Pairs already connected are not compared.
 """
 
 from __future__ import annotations
 
+import hashlib
 import math
 from collections.abc import Iterator
 
@@ -17,33 +26,89 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import by_bytes, checkpointed, text_or_empty
-from .simhash import TILE, in_cells, majority_bits, shingle_hashes
+from .simhash import TILE, in_cells, majority_bits, shingle_hashes, star_components
 
+#: Documents that decide which shingles are frequent, and how many of those are kept.
+SAMPLE, FREQUENT = 10_000, 20_000
+#: Only ``similarity`` of sets that are not whole reads SKETCH; links are decided by whole sets. MINIMA bounds the links a node may cost.
 MINIMA, SKETCH = 4, 256
-#: Odd multipliers of the min-hashes, from the golden ratio.
-MULTIPLIERS = np.array([(0x9E3779B97F4A7C15 * (2 * i + 1)) & (1 << 64) - 1 | 1 for i in range(MINIMA)], np.uint64)
 
 
-def sketches(docs: DataFrame, shingle: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, fp, size (distinct shingles), minima array<long>, sketch (all hashes, ascending)."""
+def frequent_shingles(docs: DataFrame, shingle: int, text_col: str = "text", sample: int = SAMPLE, most: int = FREQUENT) -> np.ndarray:
+    """Hashes that several texts of a sample have, the most frequent last."""
+    every = max(1, docs.count() // sample)
+    some = docs.select(text_or_empty(text_col).alias("text")).filter(F.pmod(F.xxhash64("text"), F.lit(every)) == 0)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in by_bytes(batches, "text"):
-            fps, sizes, minima, kept = [], [], [], []
-            for text in batch.column(1).to_pylist():
+            own = [np.unique(shingle_hashes(t, shingle)).view(np.int64) for t in batch.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.int64), *own]))], ["h"])
+
+    counted = some.mapInArrow(run, "h long").groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter("n > 2")
+    return np.array([r.h for r in counted.orderBy(F.desc("n"), "h").limit(most).collect()][::-1], np.int64).view(np.uint64)
+
+
+def prefix(own: np.ndarray, frequent: np.ndarray, threshold: float) -> np.ndarray:
+    """The first shingles, in the common order, of an ascending set: sets at ``threshold`` share one of them."""
+    length = len(own) - math.ceil(threshold * len(own) - 1e-9) + 1 if len(own) else 0
+    seldom = own[~np.isin(own, frequent)] if len(frequent) else own
+    if len(seldom) >= length:
+        return seldom[:length]
+    return np.concatenate([seldom, frequent[np.isin(frequent, own)][: length - len(seldom)]])
+
+
+def parities(own: np.ndarray) -> np.ndarray:
+    """A bit for each shingle, rounded up to a power of two from 64 on: whether an odd number of them fell there."""
+    bits = max(64, 1 << max(0, len(own) - 1).bit_length())
+    odd = np.bincount((own >> np.uint64(20)).astype(np.int64) & (bits - 1), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
+
+
+def folded(words: np.ndarray, to: int) -> np.ndarray:
+    """Parities over ``to`` words instead of more."""
+    while len(words) > to:
+        words = words[: len(words) // 2] ^ words[len(words) // 2 :]
+    return words
+
+
+def sketches(docs: DataFrame, shingle: int, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, text_key (MD5 of the text), fp, size (distinct shingles), digest (of their set), keys array<long>, bits, set (ascending hashes)."""
+    frequent = frequent_shingles(docs, shingle, text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in by_bytes(batches, "text"):
+            fps, sizes, digests, keys, bits, sets = [], [], [], [], [], []
+            for text in batch.column(2).to_pylist():
                 hashes = shingle_hashes(text, shingle)
                 fps.append(majority_bits(hashes))
                 own = np.unique(hashes)
                 sizes.append(len(own))
-                minima.append([int((own * m).min().view(np.int64)) for m in MULTIPLIERS] if len(own) else [])
-                kept.append(own.tobytes())
+                digests.append(hashlib.blake2b(own.tobytes(), digest_size=16).digest())
+                keys.append(prefix(own, frequent, threshold).view(np.int64))
+                bits.append(parities(own).tobytes())
+                sets.append(own.tobytes())
+            offsets = np.concatenate([[0], np.cumsum([len(k) for k in keys])]).astype(np.int32)
+            flat = np.concatenate([np.zeros(0, np.int64), *keys])
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sizes, pa.int32()), pa.array(minima, pa.list_(pa.int64())), pa.array(kept, pa.binary())],
-                ["doc_id", "fp", "size", "minima", "sketch"],
+                [
+                    batch.column(0),
+                    batch.column(1),
+                    pa.array(np.array(fps, np.uint64).view(np.int64)),
+                    pa.array(sizes, pa.int32()),
+                    pa.array(digests, pa.binary()),
+                    pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)),
+                    pa.array(bits, pa.binary()),
+                    pa.array(sets, pa.binary()),
+                ],
+                ["doc_id", "text_key", "fp", "size", "digest", "keys", "bits", "set"],
             )
 
-    src = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text"))
-    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, fp long, size int, minima array<bigint>, sketch binary")
+    src = docs.select(F.col(id_col).alias("doc_id"), text_key(text_col).alias("text_key"), text_or_empty(text_col).alias("text"))
+    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, text_key binary, fp long, size int, digest binary, keys array<bigint>, bits binary, set binary")
+
+
+def text_key(text_col: str):
+    return F.unhex(F.md5(text_or_empty(text_col).cast("binary")))
 
 
 def similarity(a: np.ndarray, b: np.ndarray, size_a: int, size_b: int) -> float:
@@ -55,51 +120,84 @@ def similarity(a: np.ndarray, b: np.ndarray, size_a: int, size_b: int) -> float:
     return float(np.isin(union, both).sum()) / len(union)
 
 
-def set_links(sketched: DataFrame, threshold: float = 0.8, tile: int = TILE) -> DataFrame:
-    """u, v: doc_ids of a spanning forest, for each cell, of the links at ``threshold`` and above."""
-    kind = sketched.schema["doc_id"].dataType.simpleString()
-    keyed = sketched.filter("size > 0").select("doc_id", F.posexplode("minima").alias("choice", "key"))
-    shared = keyed.groupBy("choice", "key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("choice", "key")
-    meets = checkpointed(keyed.join(shared, ["choice", "key"], "left_semi"))
+def spanning(cell: list[tuple], threshold: float, near) -> Iterator[tuple]:
+    """Links of a forest over the rows (side, node, size, ...) of a cell; ``near(i, j)`` gives those of the positions ``j`` that ``i`` is linked with."""
+    side, sizes = np.array([r[0] for r in cell]), np.array([r[2] for r in cell])
+    tree = np.arange(len(cell))
+    for i in range(len(cell)):
+        j = np.arange(i + 1, np.searchsorted(sizes, sizes[i] / threshold + 1e-9, side="right"))
+        j = j[(side[j] != side[i]) | (side[i] == -1)]
+        j = j[tree[j] != tree[i]]
+        for x in near(i, j) if len(j) else ():
+            if tree[x] != tree[i]:
+                yield cell[i][1], cell[x][1]
+                tree[tree == tree[x]] = tree[i]
+
+
+def candidates(cell: list[tuple], threshold: float) -> Iterator[tuple]:
+    """Rows are (side, node, size, bits): pairs whose parities allow the threshold."""
+    cell = sorted(cell, key=lambda r: r[2])
+    sizes = np.array([r[2] for r in cell])
+    words = [np.frombuffer(r[3], np.uint64) for r in cell]
+    length = np.array([len(w) for w in words])
+    # a partner is at most 1 / threshold as large; its parities are folded to this one's length
+    stacks: dict[int, np.ndarray] = {}
+
+    def near(i: int, j: np.ndarray) -> np.ndarray:
+        to = int(length[i])
+        if to not in stacks:
+            first = int(np.searchsorted(length, to))
+            last = int(np.searchsorted(sizes, sizes[length == to].max() / threshold + 1e-9, side="right"))
+            stacks.clear()
+            stacks[to] = np.array([folded(w, to) for w in words[first:last]])
+            stacks[-1] = np.array([first])
+        rows = stacks[to][j - stacks[-1][0]]
+        apart = np.bitwise_count(rows ^ words[i]).sum(1)
+        return j[apart <= (1 - threshold) / (1 + threshold) * (sizes[i] + sizes[j]) + 1e-9]
+
+    return spanning(cell, threshold, near)
+
+
+def verified(cell: list[tuple], threshold: float) -> Iterator[tuple]:
+    """Rows are (side, node, size, set): pairs at the threshold."""
+    cell = sorted(cell, key=lambda r: r[2])
+    sets = [np.frombuffer(r[3], np.uint64) for r in cell]
+    return spanning(cell, threshold, lambda i, j: (x for x in j if similarity(sets[i], sets[x], len(sets[i]), len(sets[x])) >= threshold))
+
+
+def by_cell(rows: DataFrame, by: list[str], value: str, links, threshold: float, tile: int) -> DataFrame:
+    """u, v: what ``links`` finds in the cells of ``rows`` (``by``, node, size, ``value``)."""
     band = F.floor(F.log(F.col("size").cast("double")) / F.lit(-math.log(threshold))).cast("int")
-    rows = meets.join(sketched.select("doc_id", "size", "sketch"), "doc_id").withColumn("band", band)
-    # sizes within the threshold lie in the same band or in one next to it
-    dealt = in_cells(rows, ["choice", "key"], "band", 1, tile, "doc_id", ["doc_id", "size", "sketch"])
-
-    def links(cell: list[tuple]) -> Iterator[tuple]:
-        """Rows are (side, doc_id, size, sketch)."""
-        cell = sorted(cell, key=lambda r: r[2])
-        side, sizes = np.array([r[0] for r in cell]), np.array([r[2] for r in cell])
-        sets = [np.frombuffer(r[3], np.uint64) for r in cell]
-        tree = np.arange(len(cell))
-        for i in range(len(cell)):
-            j = np.arange(i + 1, np.searchsorted(sizes, sizes[i] / threshold + 1e-9, side="right"))
-            j = j[(side[j] != side[i]) | (side[i] == -1)]
-            while len(j):
-                j = j[tree[j] != tree[i]]
-                hit = next((k for k, x in enumerate(j) if similarity(sets[i], sets[x], sizes[i], sizes[x]) >= threshold), None)
-                if hit is None:
-                    break
-                yield cell[i][1], cell[j[hit]][1]
-                tree[tree == tree[j[hit]]] = tree[i]
-                j = j[hit + 1 :]
+    # sizes within the threshold lie in the same band or in one next to it; two, as logarithms are rounded
+    kind = rows.schema["node"].dataType.simpleString()
+    dealt = in_cells(rows.withColumn("band", band), by, "band", 2, tile, "node", ["node", "size", value])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, cell = None, []
+        at, cell, id_type = None, [], None
 
         def done(found: list[tuple], id_type: pa.DataType) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array([x[k] for x in found], id_type) for k in (0, 1)], ["u", "v"])
 
-        id_type = None
         for batch in batches:
-            id_type, found = batch.schema.field("doc_id").type, []
+            id_type, found = batch.schema.field("node").type, []
             for check, name, *row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if (check, name) != at:
-                    found += links(cell)
+                    found += links(cell, threshold) if len(cell) > 1 else ()
                     at, cell = (check, name), []
                 cell.append(tuple(row))
             yield done(found, id_type)
-        if cell:
-            yield done(list(links(cell)), id_type)
+        if len(cell) > 1:
+            yield done(list(links(cell, threshold)), id_type)
 
     return dealt.mapInArrow(run, f"u {kind}, v {kind}").distinct()
+
+
+def set_links(sketched: DataFrame, threshold: float = 0.8, tile: int = TILE, node: str = "doc_id") -> DataFrame:
+    """u, v: links that connect whatever links at ``threshold`` and above connect; ``sketched`` can be read again."""
+    nodes = sketched.filter(F.col("size") > 0).withColumn("node", F.col(node))
+    keyed = nodes.select("node", "size", F.explode("keys").alias("key"))
+    shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("key")
+    meets = checkpointed(keyed.join(shared, "key", "left_semi"))
+    maybe = by_cell(meets.join(nodes.select("node", "bits"), "node"), ["key"], "bits", candidates, threshold, tile)
+    groups = checkpointed(star_components(maybe).withColumnRenamed("u", "node"))
+    return by_cell(groups.join(nodes.select("node", "size", "set"), "node"), ["root"], "set", verified, threshold, tile)

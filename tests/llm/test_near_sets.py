@@ -1,6 +1,7 @@
 """Near copies: the threshold is exact, whatever the texts' length and repeats."""
 
-from askcheck.llm import simhash
+import numpy as np
+from askcheck.llm import near_sets, simhash
 
 
 def kept(spark, texts, **options):
@@ -22,3 +23,28 @@ def test_repeats_in_one_copy_do_not_part_equal_sets(spark):
     texts = [" ".join(words), " ".join(words + words[:5] * 80)]
     a, b = (simhash.fingerprint(t, 1) for t in texts)
     assert (a ^ b).bit_count() > 20 and kept(spark, texts, shingle=1) == [0]
+
+
+def test_no_pair_at_the_threshold_is_without_a_common_key():
+    rng = np.random.default_rng(5)
+    for n in (1, 4, 5, 9, 60, 400):
+        for _ in range(200):
+            own = np.unique(rng.integers(0, 2**63, n).astype(np.uint64))
+            gone = len(own) - int(np.ceil(0.8 * len(own) - 1e-9))  # J is 0.8 or just above
+            other = np.sort(rng.permutation(own)[gone:])
+            frequent = rng.permutation(own)[: n // 2]
+            for common in (frequent, frequent[:0]):
+                a, b = near_sets.prefix(own, common, 0.8), near_sets.prefix(other, common, 0.8)
+                assert np.intersect1d(a, b).size
+            short = min(len(near_sets.parities(own)), len(near_sets.parities(other)))
+            apart = np.bitwise_count(near_sets.folded(near_sets.parities(own), short) ^ near_sets.folded(near_sets.parities(other), short)).sum()
+            assert apart <= len(own) - len(other)
+
+
+def test_pair_without_a_common_minimum_is_found(spark):
+    # the words that hold the four smallest products under odd multipliers stand in one text only
+    words = [f"w{i}" for i in range(200)]
+    hashes = simhash.shingle_hashes(" ".join(words), 1)
+    multipliers = [np.uint64((0x9E3779B97F4A7C15 * (2 * i + 1)) & (1 << 64) - 1 | 1) for i in range(4)]
+    least = {int((hashes * m).argmin()) for m in multipliers}
+    assert kept(spark, [" ".join(words), " ".join(w for i, w in enumerate(words) if i not in least)], shingle=1, radius=0) == [0]
