@@ -246,20 +246,38 @@ def component_ids(of_docs: DataFrame, radius: int, tile: int = TILE) -> DataFram
 
 
 def keep_one(docs: DataFrame, shingle: int = 5, radius: int = 4, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text", tile: int = TILE) -> DataFrame:
-    """The documents that stay: one of each group of near copies.
+    """The rows that stay: one of each group of near copies, that with the smallest doc_id.
 
-    First the smallest doc_id of each component of fingerprints within
-    ``radius``. Short texts that differ in a word are further apart than that, so
-    among those that stay ``near_sets`` finds the pairs whose sets of shingles
-    have a similarity of at least ``threshold``, and again the smallest stays.
+    Texts are near copies if their fingerprints are within ``radius``, or, as
+    short texts that differ in a word are further apart than that, if their sets
+    of shingles have a similarity of at least ``threshold``. Both kinds of links
+    make the groups together. Rows with equal sets are one node, so rows that
+    share doc_id and text leave one. A null doc_id stays only where a group has no other.
     """
-    from .near_sets import set_links, sketches
-
-    sketched = checkpointed(sketches(docs, shingle, id_col, text_col))
-    found = component_ids(sketched.select("doc_id", "fp"), radius, tile)
-    first = checkpointed(found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct())
-    left = sketched.join(first, "doc_id", "left_semi")  # a null doc_id takes no part
-    roots = star_components(set_links(left, threshold, tile=min(tile, 1024)))
-    later = roots.filter("u <> root").select(F.col("u").alias("doc_id"))
-    stay = first.join(later, "doc_id", "left_anti").select(F.col("doc_id").alias("_keep"))
-    return docs.join(stay, docs[id_col].eqNullSafe(stay["_keep"]), "left_semi")
+    from .near_sets import set_links, sketches, text_key
+
+    sketched = checkpointed(sketches(docs, shingle, threshold, id_col, text_col).withColumn("row", F.monotonically_increasing_id()))
+    node_of = checkpointed(sketched.groupBy("digest").agg(F.min("row").alias("node"), F.first("fp").alias("fp")))
+    first = sketched.join(node_of.select(F.col("node").alias("row")), "row", "left_semi").withColumnRenamed("row", "node")
+
+    # nodes of one fingerprint hang on the smallest of them
+    of_fp = checkpointed(node_of.groupBy("fp").agg(F.min("node").alias("head")))
+    equal = node_of.join(of_fp, "fp").select(F.col("node").alias("u"), F.col("head").alias("v"))
+    close = close_links(of_fp.select("fp"), radius, tile)
+    heads = [of_fp.select(F.col("fp").alias(k), F.col("head").alias(f"head_{k}")) for k in ("u", "v")]
+    close = close.join(heads[0], "u").join(heads[1], "v").select(F.col("head_u").alias("u"), F.col("head_v").alias("v"))
+    alike = set_links(first, threshold, min(tile, 1024), "node")
+    roots = star_components(equal.unionByName(close).unionByName(alike)).select(F.col("u").alias("node"), "root")
+
+    rows = sketched.select("digest", "doc_id", "text_key", "row").join(node_of.select("digest", "node"), "digest").join(roots, "node", "left")
+    best = rows.groupBy(F.coalesce("root", "node").alias("root")).agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_key")).alias("best")).select("best.doc_id", "best.text_key")
+    # a null-safe pair of keys, as rows may lack a doc_id
+    copies = sketched.groupBy("doc_id", "text_key").agg(F.count(F.lit(1)).alias("_n"))
+    stay = best.withColumnsRenamed({"doc_id": "_keep", "text_key": "_keep_key"})
+    stay = stay.join(copies, F.col("_keep").eqNullSafe(F.col("doc_id")) & (F.col("_keep_key") == F.col("text_key"))).select("_keep", "_keep_key", "_n")
+    stay = checkpointed(stay)
+    named = docs.withColumn("_key", text_key(text_col))
+    kept = named.join(stay, F.col(id_col).eqNullSafe(F.col("_keep")) & (F.col("_key") == F.col("_keep_key")))
+    if stay.filter("_n > 1").isEmpty():
+        return kept.select(*docs.columns)
+    return kept.filter("_n = 1").unionByName(kept.filter("_n > 1").dropDuplicates(["_keep", "_key"])).select(*docs.columns)

@@ -2,6 +2,7 @@
 
 import numpy as np
 from askcheck.llm import near_sets, simhash
+from pyspark.sql import functions as F
 
 
 def kept(spark, texts, **options):
@@ -48,3 +49,24 @@ def test_pair_without_a_common_minimum_is_found(spark):
     multipliers = [np.uint64((0x9E3779B97F4A7C15 * (2 * i + 1)) & (1 << 64) - 1 | 1) for i in range(4)]
     least = {int((hashes * m).argmin()) for m in multipliers}
     assert kept(spark, [" ".join(words), " ".join(w for i, w in enumerate(words) if i not in least)], shingle=1, radius=0) == [0]
+
+
+def test_both_kinds_of_links_make_one_group(spark):
+    # 0 and 1 have near fingerprints only, 1 and 2 similar sets only: all three are one group
+    rng, shared = np.random.default_rng(1), [f"w{i}" for i in range(100)]
+    first = [" ".join([*shared, *shared[:50] * 30]), " ".join([*shared[50:], *[f"n{i}" for i in range(40)], *shared[:50] * 30])]
+    alike = lambda a, b: len(set(a.split()) & set(b.split())) / len(set(a.split()) | set(b.split()))
+    apart = lambda a, b: (simhash.fingerprint(a, 1) ^ simhash.fingerprint(b, 1)).bit_count()
+    last = " ".join([*first[1].split()[:90], *[first[1].split()[i] for i in range(90, 140)], *[f"m{i}" for i in range(25)], *[f"n{i}" for i in rng.integers(0, 40, 900)]])
+    texts = [*first, last]
+    radius = apart(texts[0], texts[1])
+    assert alike(texts[0], texts[1]) < 0.8 <= alike(texts[1], texts[2]) and alike(texts[0], texts[2]) < 0.8
+    assert apart(texts[1], texts[2]) > radius and apart(texts[0], texts[2]) > radius
+    assert kept(spark, texts, shingle=1, radius=radius) == [0]
+
+
+def test_rows_that_share_id_and_text_leave_one(spark):
+    docs = spark.createDataFrame([(1, "a b c"), (1, "a b c"), (1, "quite another text"), (None, "x y z"), (None, "x y z")], "doc_id long, text string")
+    got = simhash.keep_one(docs.withColumn("more", F.lit(1)))
+    assert got.columns == ["doc_id", "text", "more"]
+    assert sorted(map(str, (tuple(r) for r in got.collect()))) == sorted(["(1, 'a b c', 1)", "(1, 'quite another text', 1)", "(None, 'x y z', 1)"])
