@@ -412,20 +412,22 @@ def w_published_sizes(spark, sf):
 
 # ---- the stand-in benchmark end to end
 
-#: Two sets: databases of each. Smaller than all eleven, so that a query takes a minute.
-SETS = {"A": ["sales", "clicks", "eval_items"], "B": ["geo", "corpus", "catalog_parts", "web"]}
+#: Two sets: databases of each, all eleven together.
+SETS = {"A": ["sales", "clicks", "eval_items", "supply", "retail_full", "dialogs"], "B": ["geo", "corpus", "catalog_parts", "web", "vectors"]}
+#: The whole grid of a database; every registered query asks for it.
+GRID = {"samples": 3, "styles": STYLES, "generators": _GENERATORS, "difficulties": DIFFICULTIES}
 
 
-def questions_of(spark: SparkSession, faults: float = 0.12, db_ids: list[str] | None = None, samples: int = 1, styles=STYLES, aware: bool = True) -> DataFrame:
-    generators = [generation.RuleGenerator(g, faults, aware=aware) for g in _GENERATORS[:2]]
-    return generation.build(spark, generators, db_ids, samples, styles)
+def questions_of(spark: SparkSession, faults: float = 0.12, db_ids: list[str] | None = None, samples: int = 1, styles=STYLES, aware: bool = True, generators=_GENERATORS[:2], difficulties=DIFFICULTIES[:1]) -> DataFrame:
+    made = [generation.RuleGenerator(g, faults, aware=aware) for g in generators]
+    return generation.build(spark, made, db_ids, samples, styles, difficulties)
 
 
-def validated(spark: SparkSession, sf: str, db_ids: list[str], skip: tuple[str, ...] = (), **options) -> tuple[DataFrame, DataFrame, DataFrame, validation.Context]:
+def validated(spark: SparkSession, sf: str, db_ids: list[str] | None = None, skip: tuple[str, ...] = (), **options) -> tuple[DataFrame, DataFrame, DataFrame, validation.Context]:
     """(questions, survivors, verdict log, context)."""
     register_views(spark, sf)
     store = stored(spark)
-    raw = store(questions_of(spark, db_ids=db_ids), "raw")
+    raw = store(questions_of(spark, db_ids=db_ids, **GRID), "raw")
     cx = validation.Context(spark, **options)
     kept, log = validation.run_cascade(raw, cx, store, skip)
     return raw, kept, log, cx
@@ -433,14 +435,14 @@ def validated(spark: SparkSession, sf: str, db_ids: list[str], skip: tuple[str,
 
 @ops.add()
 def w_cascade_report(spark, sf):
-    raw, _, log, _ = validated(spark, sf, SETS["A"])
+    raw, _, log, _ = validated(spark, sf)
     return validation.rejection_report(log, raw)
 
 
 @ops.add()
 def w_cascade_without_execution(spark, sf):
     """Ablation: one stage off; what later stages reject instead."""
-    raw, _, log, _ = validated(spark, sf, ["eval_items"], skip=("executability",))
+    raw, _, log, _ = validated(spark, sf, skip=("executability",))
     return validation.rejection_report(log, raw).filter("subcategory is null").drop("subcategory")
 
 
@@ -449,7 +451,7 @@ def w_single_judge(spark, sf):
     """A council of one against a council of three, on the same questions: rejections by stage."""
     out = []
     for name, size in (("one", 1), ("three", 3)):
-        raw, _, log, _ = validated(spark, sf, ["eval_items"], members=council(size, 0.08))
+        raw, _, log, _ = validated(spark, sf, members=council(size, 0.08))
         out.append(validation.rejection_report(log, raw).filter("subcategory is null").select(F.lit(name).alias("council"), "stage", "stage_name", "n_in", "n_rejected"))
     return union_all(out)
 
@@ -459,7 +461,7 @@ def w_generator_awareness(spark, sf):
     """Generators that are told the category against ones that are not: how many questions conform to the label they carry."""
     out = []
     for name, aware in (("aware", True), ("unaware", False)):
-        q = stored(spark)(questions_of(spark, 0.0, ["sales"], aware=aware), "q")
+        q = stored(spark)(questions_of(spark, 0.0, aware=aware, **GRID), "q")
         got = validation.stage_conformance(q, validation.Context(spark))
         out.append(got.agg(F.count(F.lit(1)).alias("n"), measures.share(F.col("kept")).alias("conforming_pct")).select(F.lit(name).alias("generator"), "n", "conforming_pct"))
     return union_all(out)
@@ -470,7 +472,7 @@ def benchmark_run(spark: SparkSession, sf: str, sets: dict[str, list[str]], agen
     judged, turns, questions = [], [], []
     for name, dbs in sets.items():
         store = stored(spark)
-        raw = store(questions_of(spark, 0.0, dbs, styles=("formal", "interrogative")), "raw")
+        raw = store(questions_of(spark, 0.0, dbs, **GRID), "raw")
         cx = validation.Context(spark)
         q = store(measures.balance(raw.join(validation.stage_duplicates(raw, cx).filter("kept"), "obj_id", "left_semi"), ["subcategory"], "obj_id"), "balanced")
         conversations, said = simulation.simulate(q, agents, cx.members, store, modes)
@@ -493,25 +495,25 @@ def overall_of(judged: DataFrame) -> DataFrame:
 @ops.add()
 def w_overall_table(spark, sf):
     """Eight stand-in agents; never to be put beside published scores."""
-    judged, _, _ = benchmark_run(spark, sf, {"A": ["eval_items"]}, A.roster(), ("predicted", "ground_truth"))
+    judged, _, _ = benchmark_run(spark, sf, SETS, A.roster(), ("predicted", "ground_truth"))
     return overall_of(judged)
 
 
 @ops.add()
 def w_mode_impact(spark, sf):
-    judged, _, _ = benchmark_run(spark, sf, {"A": ["eval_items"]}, [A.BaselineAgent("noisy_20", 0.2, 0.9, 0.1), A.BaselineAgent("noisy_50", 0.5, 0.7, 0.3)])
+    judged, _, _ = benchmark_run(spark, sf, SETS, A.roster())
     return measures.mode_impact(measures.score(judged, "set", "mode", "agent"))
 
 
 @ops.add()
 def w_per_category(spark, sf):
-    judged, _, _ = benchmark_run(spark, sf, {"A": ["eval_items"]}, [A.BaselineAgent("noisy_20", 0.2, 0.9, 0.1), A.BaselineAgent("noisy_50", 0.5, 0.7, 0.3)], ("ground_truth", "predicted"))
+    judged, _, _ = benchmark_run(spark, sf, SETS, A.roster(), ("ground_truth", "predicted"))
     return measures.per_category(judged)
 
 
 @ops.add()
 def w_bottlenecks(spark, sf):
-    judged, turns, _ = benchmark_run(spark, sf, {"A": ["eval_items"]}, [A.BaselineAgent("noisy_20", 0.2, 0.9, 0.1), A.BaselineAgent("noisy_50", 0.5, 0.7, 0.3)], ("ground_truth", "predicted"))
+    judged, turns, _ = benchmark_run(spark, sf, SETS, A.roster(), ("ground_truth", "predicted"))
     about = judged.select("conv_id", "agent", "mode", "qtype")
     amb = turns.join(about, "conv_id").filter("qtype = 'ambiguous' and mode = 'predicted'")
     rate = measures.air(amb, "set", "agent").select("set", "agent", "air")
@@ -522,7 +524,7 @@ def w_bottlenecks(spark, sf):
 @ops.add()
 def w_dialogue_table(spark, sf):
     """Turns, clarification, relevancy and AIR of ambiguous questions, by mode."""
-    judged, turns, _ = benchmark_run(spark, sf, {"A": ["eval_items"]}, [A.BaselineAgent("noisy_20", 0.2, 0.9, 0.1), A.BaselineAgent("noisy_50", 0.5, 0.7, 0.3)])
+    judged, turns, _ = benchmark_run(spark, sf, SETS, A.roster())
     amb = turns.join(judged.filter("qtype = 'ambiguous'").select("conv_id", "mode"), "conv_id")
     return measures.dialogue_statistics(amb, "mode").join(measures.air(amb, "mode").select("mode", "air"), "mode", "left")
 
@@ -530,7 +532,7 @@ def w_dialogue_table(spark, sf):
 @ops.add()
 def w_specialised_writer(spark, sf):
     """Two agents of one skill that differ in writing queries only."""
-    judged, _, _ = benchmark_run(spark, sf, {"A": ["eval_items"]}, A.specialised_pair(), ("predicted", "ground_truth"))
+    judged, _, _ = benchmark_run(spark, sf, SETS, A.specialised_pair(), ("predicted", "ground_truth"))
     return overall_of(judged)
 
 
@@ -538,24 +540,24 @@ def w_specialised_writer(spark, sf):
 def w_static_dialogue(spark, sf):
     """A fixed history, where only the last turn is tested, against the live dialogue: execution on solvable questions."""
     register_views(spark, sf)
-    store, agent = stored(spark), A.BaselineAgent("noisy_20", 0.2, 0.9, 0.1)
-    q = store(questions_of(spark, 0.0, ["eval_items"], styles=("formal",)), "raw")
+    store, agents = stored(spark), A.roster()
+    q = store(questions_of(spark, 0.0, **GRID), "raw")
     cx = validation.Context(spark)
-    live, _ = simulation.simulate(q, [agent], cx.members, store, ("predicted",))
-    fixed = simulation.replay_static(q, agent).select("conv_id", "obj_id", F.lit(agent.name).alias("agent"), F.lit("static").alias("mode"), F.col("kind").alias("final_kind"), F.col("text").alias("final_text"))
+    live, _ = simulation.simulate(q, agents, cx.members, store, ("predicted",))
+    fixed = union_all([simulation.replay_static(q, agent).select("conv_id", "obj_id", F.lit(agent.name).alias("agent"), F.lit("static").alias("mode"), F.col("kind").alias("final_kind"), F.col("text").alias("final_text")) for agent in agents])
     both = live.select(*fixed.columns).unionByName(fixed)
     judged = measures.judge_ends(store(both, "both"), q, cx.results, cx.members)
-    return measures.score(judged.filter("qtype <> 'unanswerable'"), "mode").select("mode", "ex", "ex_ans", "ex_amb")
+    return measures.score(judged.filter("qtype <> 'unanswerable'"), "mode", "agent").select("mode", "agent", "ex", "ex_ans", "ex_amb")
 
 
 @ops.add()
 def w_full_simulation(spark, sf):
     """The flagship: generation, validation and dialogues of two sets under all four modes; one row per set, mode and agent."""
     out = []
-    for name, dbs in {"A": ["eval_items"], "B": ["geo"]}.items():
+    for name, dbs in SETS.items():
         _, kept, _, cx = validated(spark, sf, dbs)
         store = stored(spark)
-        conversations, turns = simulation.simulate(kept, [A.BaselineAgent("oracle"), A.BaselineAgent("noisy_20", 0.2, 0.9, 0.1)], cx.members, store)
+        conversations, turns = simulation.simulate(kept, A.roster(), cx.members, store)
         judged = store(measures.judge_ends(conversations, kept, cx.results, cx.members), "judged")
         scores = measures.score(judged, "mode", "agent").select("mode", "agent", "ex", "ex_ans", "ex_amb", "fb")
         amb = turns.join(judged.filter("qtype = 'ambiguous'").select("conv_id", "mode", "agent"), "conv_id")
