@@ -391,3 +391,12 @@ def op_vector_dot(spark, sf):
     a, b = e.select("label", F.col("vec_id").alias("left_id"), F.col("embedding").alias("x")), e.select("label", F.col("vec_id").alias("right_id"), F.col("embedding").alias("y"))
     dot = F.aggregate(F.zip_with("x", "y", lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, v: s + v)
     return a.join(b, "label").filter("left_id < right_id").select("left_id", "right_id", F.round(dot, 6).alias("dot"))
+
+
+@ops.add("""WITH x AS (SELECT vec_id, label, unnest(embedding) AS v, generate_subscripts(embedding, 1) AS i FROM embeddings), w AS (SELECT vec_id, label, i, round(v::DOUBLE * 4096)::BIGINT AS v FROM x),
+ s AS (SELECT label, i, sum(v) AS total FROM w GROUP BY label, i) SELECT w.vec_id, w.label, sum(w.v * s.total)::BIGINT AS dot FROM w JOIN s ON w.label = s.label AND w.i = s.i GROUP BY w.vec_id, w.label""")
+def op_vector_centroid(spark, sf):
+    """Inner product of every vector with the sum of its label's vectors, components as whole 4096ths so that no order of adding matters."""
+    e = T(spark, sf, "embeddings").select("vec_id", "label", F.posexplode("embedding").alias("i", "x")).select("vec_id", "label", "i", F.round(F.col("x").cast("double") * 4096).cast("bigint").alias("v"))
+    total = e.groupBy("label", "i").agg(F.sum("v").alias("total"))
+    return e.join(total, ["label", "i"]).groupBy("vec_id", "label").agg(F.sum(F.col("v") * F.col("total")).alias("dot"))
