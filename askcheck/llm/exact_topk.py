@@ -70,7 +70,7 @@ def bounds(queries: np.ndarray, block: np.ndarray, top: np.ndarray, bottom: np.n
 
 
 def block_top_k(query_ids: np.ndarray, queries: np.ndarray, ids: np.ndarray, block: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(query position, candidate position, score) of each query's k best in the block, by score and then smaller id."""
+    """(query position, candidate position, score) of each query's k best ids in the block, by score and then smaller id; of an id's unlike vectors the best."""
     order = np.argsort(ids, kind="stable")
     again = np.zeros(len(ids), bool)
     again[1:] = (ids[order][1:] == ids[order][:-1]) & (block[order][1:] == block[order][:-1]).all(1)
@@ -79,6 +79,9 @@ def block_top_k(query_ids: np.ndarray, queries: np.ndarray, ids: np.ndarray, blo
     kind = exact_dtype(queries, block)
     queries, block = queries.astype(kind), block.astype(kind)
     n = len(ids)
+    # k ids have at most so many rows above the next id's best
+    starts = np.flatnonzero(np.concatenate([[True], ids[1:] != ids[:-1]]))
+    most = min(n, k * int(np.diff(np.append(starts, n)).max()))
     lists = np.sort(block, axis=0)
     found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     active = np.arange(len(queries))
@@ -92,14 +95,18 @@ def block_top_k(query_ids: np.ndarray, queries: np.ndarray, ids: np.ndarray, blo
         else:
             lower, upper = bounds(q, block, top, bottom)
         low = np.where(own, -np.inf, lower)
-        kth = np.partition(low, n - min(k, n), axis=1)[:, n - min(k, n)]
+        kth = np.partition(low, n - most, axis=1)[:, n - most]
         may = (upper >= kth[:, None]) & ~own
-        few = may.sum(1) <= max(4 * k, n // 8) if depth < n else np.ones(len(active), bool)
+        few = may.sum(1) <= max(4 * most, n // 8) if depth < n else np.ones(len(active), bool)
         rows, cols = np.nonzero(may & few[:, None])
         if len(rows):
             score = np.einsum("ij,ij->i", q[rows], block[cols]) if kind is not object else np.array([q[a] @ block[b] for a, b in zip(rows, cols, strict=True)], object)
             best = np.lexsort((cols, -score, rows))
             rows, cols, score = rows[best], cols[best], score[best]
+            if most > k:
+                _, best = np.unique(np.stack([rows, ids[cols]]), axis=1, return_index=True)
+                best.sort()
+                rows, cols, score = rows[best], cols[best], score[best]
             first = np.searchsorted(rows, rows)
             take = np.arange(len(rows)) - first < k
             found.append((active[rows[take]], order[cols[take]], score[take]))
