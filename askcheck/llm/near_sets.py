@@ -29,7 +29,7 @@ from .common import by_bytes, checkpointed, text_or_empty
 from .simhash import TILE, in_cells, majority_bits, shingle_hashes, star_components
 
 #: Documents that decide which shingles are frequent, and how many of those are kept.
-SAMPLE, FREQUENT = 10_000, 20_000
+SAMPLE, FREQUENT = 4_000, 20_000
 #: Only ``similarity`` of sets that are not whole reads SKETCH; links are decided by whole sets. MINIMA bounds the links a node may cost.
 MINIMA, SKETCH = 4, 256
 
@@ -48,13 +48,16 @@ def frequent_shingles(docs: DataFrame, shingle: int, text_col: str = "text", sam
     return np.array([r.h for r in counted.orderBy(F.desc("n"), "h").limit(most).collect()][::-1], np.int64).view(np.uint64)
 
 
-def prefix(own: np.ndarray, frequent: np.ndarray, threshold: float) -> np.ndarray:
-    """The first shingles, in the common order, of an ascending set: sets at ``threshold`` share one of them."""
+def prefix(own: np.ndarray, frequent: np.ndarray, threshold: float, order: np.ndarray | None = None) -> np.ndarray:
+    """The first shingles, in the common order, of an ascending set: sets at ``threshold`` share one of them; ``order`` sorts ``frequent``."""
     length = len(own) - math.ceil(threshold * len(own) - 1e-9) + 1 if len(own) else 0
-    seldom = own[~np.isin(own, frequent)] if len(frequent) else own
-    if len(seldom) >= length:
-        return seldom[:length]
-    return np.concatenate([seldom, frequent[np.isin(frequent, own)][: length - len(seldom)]])
+    if not len(frequent):
+        return own[:length]
+    order = np.argsort(frequent) if order is None else order
+    at = order[np.minimum(np.searchsorted(frequent, own, sorter=order), len(frequent) - 1)]
+    often = frequent[at] == own
+    seldom = own[~often]
+    return np.concatenate([seldom, frequent[np.sort(at[often])]])[:length]
 
 
 def parities(own: np.ndarray) -> np.ndarray:
@@ -74,6 +77,7 @@ def folded(words: np.ndarray, to: int) -> np.ndarray:
 def sketches(docs: DataFrame, shingle: int, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, text_key (MD5 of the text), fp, size (distinct shingles), digest (of their set), keys array<long>, bits, set (ascending hashes)."""
     frequent = frequent_shingles(docs, shingle, text_col)
+    order = np.argsort(frequent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in by_bytes(batches, "text"):
@@ -84,7 +88,7 @@ def sketches(docs: DataFrame, shingle: int, threshold: float = 0.8, id_col: str
                 own = np.unique(hashes)
                 sizes.append(len(own))
                 digests.append(hashlib.blake2b(own.tobytes(), digest_size=16).digest())
-                keys.append(prefix(own, frequent, threshold).view(np.int64))
+                keys.append(prefix(own, frequent, threshold, order).view(np.int64))
                 bits.append(parities(own).tobytes())
                 sets.append(own.tobytes())
             offsets = np.concatenate([[0], np.cumsum([len(k) for k in keys])]).astype(np.int32)
@@ -192,12 +196,27 @@ def by_cell(rows: DataFrame, by: list[str], value: str, links, threshold: float,
     return dealt.mapInArrow(run, f"u {kind}, v {kind}").distinct()
 
 
-def set_links(sketched: DataFrame, threshold: float = 0.8, tile: int = TILE, node: str = "doc_id") -> DataFrame:
-    """u, v: links that connect whatever links at ``threshold`` and above connect; ``sketched`` can be read again."""
+def set_links(sketched: DataFrame, threshold: float = 0.8, tile: int = TILE, node: str = "doc_id", sets_of=None) -> DataFrame:
+    """u, v: links that connect whatever links at ``threshold`` and above connect.
+
+    ``sketched`` can be read again. ``sets_of`` returns node and set for a table
+    of nodes; without it ``sketched`` has the sets.
+    """
     nodes = sketched.filter(F.col("size") > 0).withColumn("node", F.col(node))
     keyed = nodes.select("node", "size", F.explode("keys").alias("key"))
     shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("key")
     meets = checkpointed(keyed.join(shared, "key", "left_semi"))
     maybe = by_cell(meets.join(nodes.select("node", "bits"), "node"), ["key"], "bits", candidates, threshold, tile)
     groups = checkpointed(star_components(maybe).withColumnRenamed("u", "node"))
-    return by_cell(groups.join(nodes.select("node", "size", "set"), "node"), ["root"], "set", verified, threshold, tile)
+    return by_cell(groups.join(nodes.select("node", "size"), "node").join(nodes.select("node", "set") if sets_of is None else sets_of(groups.select("node")), "node"), ["root"], "set", verified, threshold, tile)
+
+
+def hashed_sets(texts: DataFrame, shingle: int) -> DataFrame:
+    """node, set (ascending hashes of the distinct shingles) of ``texts`` (node, text)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in by_bytes(batches, "text"):
+            sets = [np.unique(shingle_hashes(t, shingle)).tobytes() for t in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], ["node", "set"])
+
+    return texts.select("node", "text").mapInArrow(run, "node long, set binary")

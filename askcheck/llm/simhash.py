@@ -254,19 +254,25 @@ def keep_one(docs: DataFrame, shingle: int = 5, radius: int = 4, threshold: floa
     make the groups together. Rows with equal sets are one node, so rows that
     share doc_id and text leave one. A null doc_id stays only where a group has no other.
     """
-    from .near_sets import set_links, sketches, text_key
+    from .near_sets import hashed_sets, set_links, sketches, text_key
 
-    sketched = checkpointed(sketches(docs, shingle, threshold, id_col, text_col).withColumn("row", F.monotonically_increasing_id()))
+    sketched = checkpointed(sketches(docs, shingle, threshold, id_col, text_col).drop("set").withColumn("row", F.monotonically_increasing_id()))
     node_of = checkpointed(sketched.groupBy("digest").agg(F.min("row").alias("node"), F.first("fp").alias("fp")))
     first = sketched.join(node_of.select(F.col("node").alias("row")), "row", "left_semi").withColumnRenamed("row", "node")
 
+    def sets_of(nodes: DataFrame) -> DataFrame:
+        """Made again from the texts of the nodes, as to store all sets takes more disk than the texts."""
+        wanted = first.join(nodes, "node", "left_semi").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "node")
+        found = docs.select(F.col(id_col).alias("_doc"), text_key(text_col).alias("_text"), text_or_empty(text_col).alias("text"))
+        return hashed_sets(found.join(wanted, found["_doc"].eqNullSafe(wanted["_id"]) & (found["_text"] == wanted["_key"])).select("node", "text"), shingle)
+
     # nodes of one fingerprint hang on the smallest of them
     of_fp = checkpointed(node_of.groupBy("fp").agg(F.min("node").alias("head")))
     equal = node_of.join(of_fp, "fp").select(F.col("node").alias("u"), F.col("head").alias("v"))
     close = close_links(of_fp.select("fp"), radius, tile)
     heads = [of_fp.select(F.col("fp").alias(k), F.col("head").alias(f"head_{k}")) for k in ("u", "v")]
     close = close.join(heads[0], "u").join(heads[1], "v").select(F.col("head_u").alias("u"), F.col("head_v").alias("v"))
-    alike = set_links(first, threshold, min(tile, 1024), "node")
+    alike = set_links(first, threshold, min(tile, 1024), "node", sets_of)
     roots = star_components(equal.unionByName(close).unionByName(alike)).select(F.col("u").alias("node"), "root")
 
     rows = sketched.select("digest", "doc_id", "text_key", "row").join(node_of.select("digest", "node"), "digest").join(roots, "node", "left")
