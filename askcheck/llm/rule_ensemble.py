@@ -11,8 +11,11 @@ which only the statistics are collected. Every document is scored, whole.
 
 Defined results: a null text counts as empty, and empty texts are scored like
 any other; rows with the same doc_id are scored each; without labels, or with
-one class only, the score is the smoothed share of label 1; only the id and the
-text are read.
+one class only, the score is the smoothed share of label 1; labels that are not 0
+or 1, or lack an id, are left out, and so are ids with both labels; an empty table
+gives an empty result. The columns of a table are held in one struct and the
+statistics in another, so columns of any name, those of the statistics included,
+are told apart; only the id and the text are read.
 """
 
 from __future__ import annotations
@@ -29,30 +32,32 @@ from .line_dedup import words_of
 STATISTICS = ("n_chars", "n_words", "word_length", "upper", "symbols", "digits", "marks", "richness", "stutter", "line_words", "repeated_lines")
 
 
-def statistics(docs: DataFrame, text: str = "text") -> DataFrame:
-    """``docs`` with one double for each of STATISTICS.
+def statistics(docs: DataFrame, text_col: str = "text") -> DataFrame:
+    """row (a struct of the columns of ``docs``) and stats (a struct of a double for each of STATISTICS).
 
-    They come out of a generator of one row: a filter on a score is then not
-    pushed below them, which would compute them anew for every term of a rule.
+    The statistics come out of a generator of one row: a filter on a score is then
+    not pushed below them, which would compute them anew for every term of a rule.
     """
-    n = F.greatest(F.col("_n"), F.lit(1))
+    text = F.col("text")
+    n = F.greatest(F.col("n"), F.lit(1))
     chars = F.greatest(F.length(text), F.lit(1))
     counted = {
         "n_chars": F.length(text).cast("double"),
-        "n_words": F.col("_n").cast("double"),
-        "word_length": F.length(F.array_join("_words", "")) / n,
+        "n_words": F.col("n").cast("double"),
+        "word_length": F.length(F.array_join("words", "")) / n,
         "upper": F.regexp_count(text, F.lit(r"\p{Lu}")) / chars,
         "symbols": F.regexp_count(text, F.lit(r"[#*$%&|<>]")) / n,
         "digits": F.regexp_count(text, F.lit("[0-9]")) / chars,
         "marks": F.regexp_count(text, F.lit("[!?]")) / n,
         # the logarithms' ratio hardly depends on the length of a text
-        "richness": F.log1p(F.size(F.array_distinct("_words"))) / F.log1p(n),
-        "stutter": F.size(F.filter("_words", lambda w, i: F.coalesce(w == F.get("_words", i - 1), F.lit(False)))) / n,
-        "line_words": F.col("_n") / F.size("_lines"),
-        "repeated_lines": 1 - F.size(F.array_distinct("_lines")) / F.size("_lines"),
+        "richness": F.log1p(F.size(F.array_distinct("words"))) / F.log1p(n),
+        "stutter": F.size(F.filter("words", lambda w, i: F.coalesce(w == F.get("words", i - 1), F.lit(False)))) / n,
+        "line_words": F.col("n") / F.size("lines"),
+        "repeated_lines": 1 - F.size(F.array_distinct("lines")) / F.size("lines"),
     }
-    parts = docs.withColumn("_words", words_of(F.col(text))).withColumn("_lines", F.split(text, "\n")).withColumn("_n", F.size("_words"))
-    return parts.select(*docs.columns, F.explode(F.array(F.struct(*(c.alias(k) for k, c in counted.items())))).alias("_s")).select(*docs.columns, "_s.*")
+    held = docs.select(F.struct("*").alias("row"), text_or_empty(text_col).alias("text"))
+    parts = held.withColumns({"words": words_of(text), "lines": F.split(text, "\n")}).withColumn("n", F.size("words"))
+    return parts.select("row", F.explode(F.array(F.struct(*(c.alias(k) for k, c in counted.items())))).alias("stats"))
 
 
 @dataclass(frozen=True)
@@ -69,9 +74,10 @@ class Rule:
         return out
 
     def column(self) -> Column:
+        """Over the stats of ``statistics``."""
         out = F.lit(True)
         for name, at_most, cut in self.terms:
-            out = out & (F.col(name) <= cut if at_most else F.col(name) > cut)
+            out = out & (F.col("stats")[name] <= cut if at_most else F.col("stats")[name] > cut)
         return out
 
 
@@ -172,15 +178,21 @@ def held_out(id_col: str = "doc_id") -> Column:
 
 def train(docs: DataFrame, labels: DataFrame, max_rows: int = 20_000, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality") -> RuleModel:
     """Fit on labelled rows outside the held-out third."""
-    usable = labels.select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("_y")).filter(F.col("_y").isin(0, 1) & F.col("_id").isNotNull()).filter(~held_out("_id"))
-    sample = usable.orderBy(F.xxhash64("_id"), "_id", "_y").limit(max_rows).dropDuplicates(["_id"])
-    texts = docs.select(F.col(id_col).alias("_id"), text_or_empty(text_col).alias("text"))
-    rows = statistics(texts.join(F.broadcast(sample), "_id")).select("_id", "_y", *STATISTICS)
-    got = rows.toPandas().sort_values(["_id", "_y", *STATISTICS])
-    return fit(got[list(STATISTICS)].to_numpy(float), got["_y"].to_numpy(int))
+    known = labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("y")).filter(F.col("y").isin(0, 1) & F.col("id").isNotNull()).filter(~held_out("id"))
+    single = known.groupBy("id").agg(F.min("y").alias("y"), F.max("y").alias("most")).filter("y = most").drop("most")
+    sample = single.orderBy(F.xxhash64("id"), "id").limit(max_rows)
+    texts = docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text"))
+    rows = statistics(texts.join(F.broadcast(sample), "id").select("id", "y", "text")).select("row.id", "row.y", "stats.*")
+    got = rows.toPandas().sort_values(["id", "y", *STATISTICS])
+    return fit(got[list(STATISTICS)].to_numpy(float), got["y"].to_numpy(int))
 
 
 def score_documents(docs: DataFrame, model: RuleModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, score, predicted."""
-    stats = statistics(docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text")))
-    return stats.withColumn("score", model.column()).select("doc_id", "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    stats = statistics(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")))
+    return stats.select(F.col("row.doc_id").alias("doc_id"), model.column().alias("score")).withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
+
+
+def keep_good(docs: DataFrame, model: RuleModel, text_col: str = "text", least: float = 0.5) -> DataFrame:
+    """The rows of ``docs`` that score ``least`` and more."""
+    return statistics(docs, text_col).filter(model.column() >= least).select("row.*")

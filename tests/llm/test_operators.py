@@ -337,10 +337,29 @@ class TestRuleEnsemble:
     def test_the_column_equals_the_numpy_score(self, spark, sf):
         docs = spark.read.parquet(f"{sf}/documents.parquet")
         found = rule_ensemble.train(docs, spark.read.parquet(f"{sf}/labels.parquet"))
-        rows = rule_ensemble.statistics(docs).withColumn("score", found.column()).toPandas()
+        rows = rule_ensemble.statistics(docs).withColumn("score", found.column()).select("stats.*", "score").toPandas()
         assert np.allclose(found.score(rows[list(rule_ensemble.STATISTICS)].to_numpy(float)), rows["score"])
         assert all(len(r.terms) <= 3 for r, _ in found.rules)
 
+    def test_columns_of_the_same_names_do_not_matter(self, spark, sf):
+        docs, labels = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "labels"))
+        found = rule_ensemble.train(docs, labels)
+        plain = docs.select("doc_id", "text")
+        named = plain
+        for name in (*rule_ensemble.STATISTICS, "row", "stats", "words", "lines", "n", "id", "y", "most"):
+            named = named.withColumn(name, F.lit("clash"))
+        again = rule_ensemble.train(named, labels.withColumns({"id": F.lit(1), "y": F.lit(1)}))
+        assert again == found
+        assert sorted(rule_ensemble.score_documents(named, found).collect()) == sorted(rule_ensemble.score_documents(plain, found).collect())
+        kept = rule_ensemble.keep_good(named, found)
+        assert kept.columns == named.columns and kept.count() == rule_ensemble.keep_good(plain, found).count() > 0
+
+    def test_ids_with_both_labels_teach_nothing(self, spark, sf):
+        docs, labels = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "labels"))
+        torn = labels.limit(5)
+        more = labels.unionByName(torn.withColumn("quality", 1 - F.col("quality"))).unionByName(labels)
+        assert rule_ensemble.train(docs, more) == rule_ensemble.train(docs, labels.join(torn, "doc_id", "left_anti"))
+
     def test_lasso_is_sparse(self):
         rng = np.random.default_rng(0)
         a = (rng.random((400, 30)) < 0.5).astype(float)
