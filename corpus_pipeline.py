@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from askcheck.llm import line_dedup, packing, pii, rule_ensemble, simhash
-from askcheck.llm.common import scratch_path, table, text_or_empty
+from askcheck.llm.common import scratch_path, table
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -27,8 +27,7 @@ def _as_documents(df: DataFrame) -> DataFrame:
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Score below 0.5 rejects a document; the model is fitted on the labelled rows outside the held-out third."""
     model = rule_ensemble.train(docs, table(spark, sf_dir, "labels"))
-    rows = docs.select(F.struct(*COLUMNS).alias("_row"), text_or_empty("text").alias("text"))
-    return rule_ensemble.statistics(rows).filter(model.column() >= 0.5).select("_row.*")
+    return rule_ensemble.keep_good(docs.select(*COLUMNS), model)
 
 
 def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
