@@ -2,8 +2,8 @@
 
 Only DataFrame expressions. Pages are grouped by host; a line's pages on a host
 are divided by all pages of that host, and a line on at least ``min_pages``
-pages whose ratio is above ``ratio`` is boilerplate there. Lines are compared
-without outer white space; blank lines are never counted or dropped.
+pages whose ratio is above ``ratio`` is boilerplate there. Lines are compared without outer white space of any kind (a
+carriage return or a tab is no part of a line); blank lines are never counted or dropped.
 
 A page counts once for each of its distinct lines, so counting is one
 aggregation with map-side combination: a line on every page of a hot host is one
@@ -28,6 +28,7 @@ from .common import checkpointed
 
 #: The white space that separates words, as a part of a character class.
 SPACES = " \\t\\n\\x0B\\f\\r"
+_TRIMMED = " \t\n\x0b\f\r"
 #: Hashes of boilerplate lines, 8 bytes each, that may be broadcast.
 BROADCAST_LINES = 500_000
 
@@ -36,9 +37,13 @@ def words_of(text: Column) -> Column:
     return F.array_remove(F.split(text, f"[{SPACES}]+"), "")
 
 
+def trimmed(line: Column) -> Column:
+    return F.trim(line, F.lit(_TRIMMED))
+
+
 def line_hashes(text: Column) -> Column:
     """The distinct hashes of a text's lines that aren't blank."""
-    return F.array_distinct(F.transform(F.filter(F.split(text, "\n"), lambda x: F.trim(x) != ""), lambda x: F.xxhash64(F.trim(x))))
+    return F.array_distinct(F.transform(F.filter(F.transform(F.split(text, "\n"), trimmed), lambda x: x != ""), lambda x: F.xxhash64(x)))
 
 
 def lines_above(pages: DataFrame, min_pages: int, ratio: float) -> DataFrame:
@@ -66,7 +71,8 @@ def drop_boilerplate(pages: DataFrame, text_col: str = "text", host_col: str = "
     src = pages.select(F.struct("*").alias("_row"), F.col(text_col).cast("string").alias("text"), F.col(host_col).alias("host"))
     found = with_lookup(src, lookup_of(lines_above(src.select("host", "text"), min_pages, ratio)))
     lines = F.split("text", "\n")
-    stay = F.filter(lines, lambda x: (F.trim(x) == "") | ~F.array_contains("above", F.xxhash64(F.trim(x))))
+    # the hash of a blank line is not counted, so it is in no lookup
+    stay = F.filter(lines, lambda x: ~F.array_contains("above", F.xxhash64(trimmed(x))))
     cleaned = F.when(F.col("above").isNull(), F.col("text")).otherwise(F.array_join(stay, "\n"))
     dropped = F.when(F.col("above").isNull() | F.col("text").isNull(), F.lit(0)).otherwise(F.size(lines) - F.size(stay))
     # two steps, so that no column of the pages is taken for one of those named here

@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import text_or_empty
-from .line_dedup import SPACES, lines_above, lookup_of, with_lookup, words_of
+from .line_dedup import SPACES, lines_above, lookup_of, trimmed, with_lookup, words_of
 
 SYMBOLS = "[#*$%&|<>]"
 
@@ -100,13 +100,14 @@ def judge(
     src = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text"), F.col(host_col).alias("host"))
     above = lines_above(src.select("host", normalised("text").alias("text")), min_docs, share)
     judged = base_counts(with_lookup(src, lookup_of(above)), "text")
-    lines = F.transform(F.split(normalised("text"), "\n"), lambda x: F.trim(x))
+    lines = F.transform(F.split(normalised("text"), "\n"), trimmed)
     sizes = F.transform(lines, lambda x: F.when(F.array_contains(F.coalesce("above", F.array().cast("array<bigint>")), F.xxhash64(x)), F.length(x)).otherwise(0))
     total = F.aggregate(lines, F.lit(0), lambda a, x: a + F.length(x))
     lost = F.when(F.col("above").isNull(), F.lit(0)).otherwise(F.aggregate(sizes, F.lit(0), lambda a, n: a + n))
     failed = (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words"))
     return (
         judged.withColumns({"lost_chars": lost.cast("long"), "line_chars": total.cast("long"), "base_failed": failed})
-        .withColumn("kept", ~F.col("base_failed") & (F.col("lost_chars") <= most_lost * F.col("line_chars")))
+        # most hosts have no line above the limit: their documents' lines needn't be measured
+        .withColumn("kept", ~F.col("base_failed") & F.when(F.col("above").isNull(), True).otherwise(F.col("lost_chars") <= most_lost * F.col("line_chars")))
         .drop("text", "host", "above")
     )
