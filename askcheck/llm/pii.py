@@ -13,7 +13,8 @@ numbers by their check digits). Spans count code points, the end is exclusive.
 
 Defined results: a null text counts as empty; an empty text has no spans and the
 SHA-256 of nothing; repeated rows are searched each; very long texts and runs
-are read once, in linear time.
+take linear time, hostile ones too: a parser reads either a bounded stretch, or
+what no later anchor of its kind reads again. Cues count in any case.
 """
 
 from __future__ import annotations
@@ -44,8 +45,9 @@ ACCOUNT_CUES = ("iban", "account", "acct", "ssn", "passport")
 
 _DIGITS = re.compile(r"[0-9]+")
 _URL = re.compile(r"[^\s<>\"'`{}|\\^\[\]]+")
-_HOST = re.compile(r"(?:[^\s/@]*@)?(?:[A-Za-z0-9-]+\.)+[A-Za-z0-9-]+")
-_SECRET = re.compile(r"(?:\"|')?[ \t]{0,8}[=:][ \t]{0,8}(?:\"|')?([A-Za-z0-9_+/.~=-]{8,})")
+_HOST = re.compile(r"(?:[^\s/@<>\"'`{}|\\^\[\]]{0,256}@)?(?:[A-Za-z0-9-]+\.)+[A-Za-z0-9-]+")
+_GIVES = re.compile(r"[\"']?[ \t]{0,8}[=:][ \t]{0,8}[\"']?")
+_VALUE = re.compile(r"[A-Za-z0-9_+/.~=-]{8,}")
 _ACCOUNT = re.compile(r"(?:[ \t]{0,4}(?:number|no|nr|id)\b)?[ \t]{0,4}[.#:=]?[ \t]{0,4}([A-Z]{0,3}[0-9](?:[ -]?[0-9A-Z]){5,33})")
 
 
@@ -76,17 +78,26 @@ def automaton():
     found.add_word("+", ("plus", 1))
     for kind, words in (("scheme", SCHEMES), ("secret", SECRET_CUES), ("account", ACCOUNT_CUES)):
         for w in words:
-            for form in {w, w.upper(), w.capitalize()}:
-                found.add_word(form, (kind, len(form)))
+            found.add_word(w, (kind, len(w)))
     found.make_automaton()
     return found
 
 
+_LOWER = {c: c + 32 for c in range(ord("A"), ord("Z") + 1)}
+
+
+def lowered(text: str) -> str:
+    """``text`` in lower case, with every character at its place."""
+    low = text.lower()
+    return low if len(low) == len(text) else text.translate(_LOWER)
+
+
 def find_spans(text: str) -> list[tuple[str, int, int]]:
     """(kind, start, end), by kind in the order of KINDS and then by start."""
     done = dict.fromkeys(KINDS, 0)
+    poor = 0  # the end of a run that held no secret: its parts hold none either
     out: dict[str, list[tuple[int, int]]] = {k: [] for k in KINDS}
-    for last, (anchor, size) in automaton().iter(text):
+    for last, (anchor, size) in automaton().iter(lowered(text)):
         at = last + 1 - size
         if anchor == "digit":
             if at >= done["ip"]:
@@ -120,21 +131,29 @@ def find_spans(text: str) -> list[tuple[str, int, int]]:
                 if 8 <= sum(c.isdigit() for c in m.group()) <= 15:
                     out["phone"].append(m.span())
         elif anchor == "scheme":
-            if at >= done["url"]:
+            if at >= done["url"] and _HOST.match(text, last + 1):
                 m = _URL.match(text, last + 1)
-                if m and _HOST.match(m.group()):
-                    end = last + 1 + len(m.group().rstrip(".,;:!?)"))
-                    done["url"] = end
-                    out["url"].append((at, end))
-        elif at >= done[anchor] and not (at and text[at - 1].isalnum()):
-            m = (_SECRET if anchor == "secret" else _ACCOUNT).match(text, last + 1)
+                done["url"] = m.end()
+                out["url"].append((at, last + 1 + len(m.group().rstrip(".,;:!?)"))))
+        elif at < done[anchor] or (at and text[at - 1].isalnum()):
+            continue
+        elif anchor == "secret":
+            gives = _GIVES.match(text, last + 1)
+            m = _VALUE.match(text, gives.end()) if gives and gives.end() >= poor else None
+            if m:
+                value = m.group().rstrip(".=")
+                if sum(c.isdigit() for c in value) >= 2:
+                    done["secret"] = m.end()
+                    out["secret"].append((m.start(), m.start() + len(value)))
+                else:
+                    poor = m.end()
+        else:
+            m = _ACCOUNT.match(text, last + 1)
             if m:
-                start, end = m.span(1)
-                value = text[start:end].rstrip(".=" if anchor == "secret" else " -")
-                digits = sum(c.isdigit() for c in value)
-                if digits >= (2 if anchor == "secret" else 6) or (anchor == "account" and bank_account(value)):
-                    done[anchor] = start + len(value)
-                    out[anchor].append((start, start + len(value)))
+                value = m.group(1).rstrip(" -")
+                if sum(c.isdigit() for c in value) >= 6 or bank_account(value):
+                    done["account"] = m.start(1) + len(value)
+                    out["account"].append((m.start(1), done["account"]))
     return [(k, a, b) for k in KINDS for a, b in out[k]]
 
 
