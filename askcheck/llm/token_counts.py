@@ -1,9 +1,11 @@
 """Token counts of whole texts: lengths only, never ids, leave Python.
 
-Long texts are split at safe boundaries, here white space: the pattern of the
-word vocabulary drops white space and no merge crosses it, so the count of a
-text is the sum over its words. Words already seen come from a bounded cache;
-new ones go to the library in batches balanced by bytes.
+Long texts are split at safe boundaries, here white space: where a file's pattern
+drops white space and no merge crosses it, the count of a text is the sum over its
+words. Words already seen come from a bounded cache; new ones go to the library in
+batches balanced by bytes. Whether a file is of that kind is read from the file;
+the texts of any other (.json), and those of sentencepiece models (.model), whose
+pieces carry white space, go to their library whole, in batches balanced by bytes.
 
 Defined results: a null or empty text has 0 bytes and 0 tokens; repeated rows
 are counted each; only ``doc_id`` and the text column are read, so further
@@ -12,6 +14,7 @@ columns of any name don't matter.
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -74,18 +77,50 @@ class WordCounter:
         return [sum(map(get, words)) for words in split]
 
 
+class TextCounter:
+    """Whole texts to the library: nothing is assumed about its boundaries."""
+
+    def __init__(self, encode_lengths):
+        self.encode_lengths = encode_lengths
+
+    def counts(self, texts: list[str]) -> list[int]:
+        return [n for part in byte_balanced(texts) for n in self.encode_lengths(part)]
+
+
+# The pattern of the word vocabulary and its normaliser, for which words can be counted alone.
+WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+WORD_NORMALIZERS = ("NFC", "Replace", "Lowercase")
+
+
+def counts_by_words(spec: dict) -> bool:
+    """Whether a tokenizers file drops white space and cuts words as WORD_PATTERN does."""
+    steps = (spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}]
+    first = steps[0]
+    normalizers = tuple(n["type"] for n in (spec.get("normalizer") or {}).get("normalizers", ()))
+    own = first.get("type") == "Split" and first.get("pattern", {}).get("Regex") == WORD_PATTERN and first.get("behavior") == "Removed"
+    rest = all(step.get("type") == "ByteLevel" and not step.get("add_prefix_space") and not step.get("use_regex") for step in steps[1:])
+    special = any(any(c.isspace() for c in t["content"]) for t in spec["added_tokens"])
+    return own and rest and normalizers == WORD_NORMALIZERS and not special
+
+
 @lru_cache(maxsize=2)
-def worker_counter(path: str) -> WordCounter:
+def worker_counter(path: str) -> WordCounter | TextCounter:
     if path.endswith(".model"):
         import sentencepiece
 
-        raise NotImplementedError(f"sentencepiece {sentencepiece.__version__} models carry spaces in their pieces; use sentencepiece_lengths")
+        model = sentencepiece.SentencePieceProcessor(model_file=path)
+        return TextCounter(lambda texts: [len(ids) for ids in model.encode(texts, num_threads=1)])
     from tokenizers import Tokenizer
 
     library = Tokenizer.from_file(path)
     library.no_truncation()
     library.no_padding()
-    return WordCounter(lambda words: [len(e) for e in library.encode_batch_fast(words, add_special_tokens=False)])
+
+    def lengths(texts: list[str]) -> list[int]:
+        return [len(e) for e in library.encode_batch_fast(texts, add_special_tokens=False)]
+
+    with open(path, encoding="utf-8") as f:
+        return WordCounter(lengths) if counts_by_words(json.load(f)) else TextCounter(lengths)
 
 
 def token_counts(docs: DataFrame, path: str, limit: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
