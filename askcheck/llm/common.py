@@ -19,11 +19,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: the session's ``spark.checkpoint.dir``.
 
-    Only where the session names none (tests, a laptop) a local one is set.
+    Only a session that runs in one process (tests, a laptop) may name none: a
+    local folder is set there, while on a cluster other machines would miss its files.
     """
     sc = spark.sparkContext
     set_to = spark.conf.get("spark.checkpoint.dir", None)
     if sc.getCheckpointDir() is None:
+        if set_to is None and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         sc.setCheckpointDir(set_to or tempfile.mkdtemp(prefix="askcheck-"))
     return set_to or sc.getCheckpointDir()
 
@@ -33,6 +36,12 @@ def scratch_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a scratch table on whatever file system it is (by Spark's own handle to it, a private one)."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
     """``df`` written to the shared folder, without its lineage."""
     shared_dir(df.sparkSession)

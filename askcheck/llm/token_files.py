@@ -33,9 +33,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import IntegralType
 
-from .common import by_bytes, partitions_of, scratch_path, text_or_empty
+from .common import by_bytes, partitions_of, remove, scratch_path, text_or_empty
 from .units import byte_level_encoder
 
+#: Bytes of plain ids that a shard holds at most, about.
+SHARD_BYTES = 256 << 20
 #: By control byte: the lengths of its four values, low bits first.
 LENGTHS = ((np.arange(256)[:, None] >> np.array([0, 2, 4, 6]) & 3) + 1).astype(np.uint8)
 
@@ -135,10 +137,13 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int = 0, path: st
     spark = docs.sparkSession
     path = path or scratch_path(spark, "token-files")
     held = scratch_path(spark, "token-ids")
-    shards = shards or partitions_of(spark)
     width = "<u2" if max(largest_id(tokenizer), end_id) < 1 << 16 else "<u4"
     _plain(docs, tokenizer, end_id, width, id_col, text_col).write.option("compression", "zstd").parquet(held)
     plain = spark.read.parquet(held)
+    if shards is None:
+        # a task sorts a shard; three quarters of an id's bytes remain once ids are ranked, if that
+        total = plain.agg(F.sum("n")).first()[0] or 0
+        shards = max(partitions_of(spark), -(-total * int(width[2]) // SHARD_BYTES))
     ranked = frequency_ranks(plain)
     spark.createDataFrame([(i, int(t)) for i, t in enumerate(ranked)], "rank long, id long").coalesce(1).write.parquet(f"{path}/ranks")
     rank_of = np.zeros(int(ranked.max()) + 1 if len(ranked) else 1, "<u4")
@@ -146,7 +151,7 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int = 0, path: st
     shared = spark.sparkContext.broadcast(rank_of)  # as long as the vocabulary
     kind = plain.schema["doc_id"].dataType
     whole = isinstance(kind, IntegralType)
-    cuts = plain.agg(F.percentile_approx("doc_id", [i / shards for i in range(1, shards)], 10_000)).first()[0] if whole and shards > 1 else None
+    cuts = plain.agg(F.percentile_approx("doc_id", [i / shards for i in range(1, shards)], max(10_000, 4 * shards))).first()[0] if whole and shards > 1 else None
     bounds = np.array(cuts or [], np.int64)  # one for each shard
 
     def recode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -182,12 +187,6 @@ def largest_id(tokenizer: str) -> int:
     return max(max(spec["model"]["vocab"].values()), *(t["id"] for t in spec["added_tokens"]), 0)
 
 
-def remove(spark: SparkSession, path: str) -> None:
-    """Delete a scratch table on whatever file system it is."""
-    where = spark._jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
-
-
 def read_token_files(spark: SparkSession, path: str) -> DataFrame:
     """doc_id, start (ids of all documents before it), n_tokens, control, data.
 
