@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import time
 import zlib
 from collections import Counter
 
@@ -9,6 +10,7 @@ import duckdb
 import numpy as np
 import public_tokenizers as P
 import pytest
+import sentencepiece
 import tiktoken
 import xxhash
 from hypothesis import given, settings
@@ -312,6 +314,22 @@ class TestLineDedup:
         assert got[100].text == "Menu\nrest" and got[100].n_dropped == 0
         assert got[200].text is None and got[201].text == ""
 
+    def test_white_space_of_any_kind(self, spark):
+        rows = [(i, f"own {i}\r\n\r\n\t\nmore {i}\r\n\tMenu \r" if i % 2 else f"own {i}\n\x0b\nMenu\f", "a") for i in range(20)]
+        got = {r.doc_id: r for r in line_dedup.drop_boilerplate(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()}
+        assert got[3].text == "own 3\r\n\r\n\t\nmore 3\r" and (got[3].n_lines, got[3].n_dropped) == (5, 1)
+        assert got[4].text == "own 4\n\x0b" and got[4].n_dropped == 1
+
+    def test_sql_on_white_space_and_repeats(self, spark):
+        rows = [(i // 2, f"own {i}\r\n\r\nmore {i % 3}\r\n\tMenu 12 \r", "a" if i % 3 else None) for i in range(40)] + [(99, None, "a"), (None, "\r\n \t", "a")]
+        docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+        con = duckdb.connect()
+        con.register("documents", docs.toPandas().astype({"doc_id": "Int64"}))
+        got = Counter(tuple(r) for r in line_dedup.drop_boilerplate(docs).select("doc_id", "text", "n_lines", "n_dropped").collect())
+        assert got == Counter(con.execute(queries.oracle_sql()["op5_line_dedup"]).fetchall())
+        judged = quality_rules.judge(docs).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+        assert Counter(map(tuple, judged.collect())) == Counter(con.execute(queries.oracle_sql()["op3_quality_rules"]).fetchall())
+
     def test_awkward_rows_pass_unchanged(self, awkward):
         out = line_dedup.drop_boilerplate(awkward)
         assert out.columns == [*awkward.columns, "n_lines", "n_dropped"]
@@ -379,11 +397,12 @@ class TestTopK:
     def test_block_against_brute_force(self, n, width, k, seed):
         rng = np.random.default_rng(seed)
         x = rng.integers(-3, 4, (n, width)).astype(float)
-        ids = rng.permutation(2 * n)[:n]
-        q, c, s = exact_topk.block_top_k(ids[:9], x[:9], ids, x, k)
+        own = np.arange(min(9, n))
+        own[::3] = -1
+        q, c, s = exact_topk.block_top_k(x[:9], own, x, k)
         for i in range(min(9, n)):
-            want = sorted((-(x[i] @ x[j]), ids[j]) for j in range(n) if ids[j] != ids[i])[:k]
-            assert sorted((-v, ids[j]) for v, j in zip(s[q == i], c[q == i], strict=True)) == want
+            want = sorted((-(x[i] @ x[j]), j) for j in range(n) if j != own[i])[:k]
+            assert [(-v, j) for v, j in zip(s[q == i], c[q == i], strict=True)] == want
 
     def test_bounds_hold_at_every_depth(self):
         rng = np.random.default_rng(5)
@@ -397,7 +416,7 @@ class TestTopK:
         rows = [(0, [0.5, 0.5]), (50, [0.25, None]), (1, [float("nan"), 1.0]), (2, [float("inf"), 1.0]), (3, None), (4, []), (5, [0.5, 0.25]), (6, [0.5, 0.25]), (7, [-0.001, 0.0]), (7, [-0.001, 0.0]), (100, [0.5])]
         vectors = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumn("score", F.lit(1))
         got = exact_topk.top_k(vectors, F.col("vec_id") % 50 == 0).orderBy("query_id", "rank").collect()
-        assert [tuple(r) for r in got] == [(0, 1, 5, 24576), (0, 2, 6, 24576), (0, 3, 100, 16384), (0, 4, 7, -128), (100, 1, 0, 16384), (100, 2, 5, 16384), (100, 3, 6, 16384), (100, 4, 7, -128)]
+        assert [tuple(r) for r in got] == [(0, 1, 5, 24576), (0, 2, 6, 24576), (0, 3, 100, 16384), (0, 4, 7, -128), (0, 5, 7, -128), (100, 1, 0, 16384), (100, 2, 5, 16384), (100, 3, 6, 16384), (100, 4, 7, -128), (100, 5, 7, -128)]
 
     def test_blocks_don_t_change_the_result(self, spark, sf):
         e = spark.read.parquet(f"{sf}/embeddings.parquet")
@@ -430,8 +449,38 @@ class TestPii:
         clean = pii.redact(text, pii.find_spans(text))
         assert "24be64439e3e49cf" not in clean and "<URL>" in clean and not pii.find_spans(clean)
 
-    def test_a_long_run_takes_linear_time(self):
-        assert pii.find_spans("1" * 200_000) == [] and pii.find_spans("a" * 200_000 + "@") == []
+    HOSTILE = ["1", "a@", "a.", "1.", "+1(", "http://", "https://a.", "mailto:", "mailto:a@", "token=", "token= ", "secret:password", "api_key=a1", "iban", "account no ", "4111-", "ftp://x.y/", "a@b.c@", "1 2-3", "password\":"]
+
+    @pytest.mark.parametrize("unit", HOSTILE)
+    def test_a_hostile_run_takes_linear_time(self, unit):
+        def took(n):
+            text = unit * n + " end"
+            began = time.process_time()
+            pii.find_spans(text)
+            return time.process_time() - began
+
+        took(100)
+        assert min(took(32_000) for _ in range(2)) < 10 * min(took(8_000) for _ in range(2)) + 0.2
+
+    @settings(max_examples=300, deadline=None)
+    @given(st.lists(st.sampled_from(["token", "=", ":", " ", "secret", "api_key", "pass", "password", "abc", "x1y2", "99", "\"", ".", "abcdefgh", "=="]), max_size=14).map("".join))
+    def test_secrets_equal_one_pattern(self, text):
+        """Read by one pattern at every cue from left to right, past what was accepted."""
+        whole = re.compile(r"(?:\"|')?[ \t]{0,8}[=:][ \t]{0,8}(?:\"|')?([A-Za-z0-9_+/.~=-]{8,})")
+        cues = sorted({(m.start() + len(w), m.start()) for w in pii.SECRET_CUES for m in re.finditer(f"(?={re.escape(w)})", text.lower())})
+        want, done = [], 0
+        for end, at in cues:
+            m = whole.match(text, end) if at >= done and not (at and text[at - 1].isalnum()) else None
+            value = m.group(1).rstrip(".=") if m else ""
+            if sum(c.isdigit() for c in value) >= 2:
+                done = m.end(1)
+                want.append((m.start(1), m.start(1) + len(value)))
+        assert [(a, b) for k, a, b in pii.find_spans(text) if k == "secret"] == want
+
+    def test_cues_in_any_case(self):
+        for cue in ("Token", "TOKEN", "toKen", "Api_Key"):
+            assert pii.find_spans(f"{cue}: ab12cd34") == [("secret", len(cue) + 2, len(cue) + 10)]
+        assert pii.find_spans("İ token: ab12cd34 é") == [("secret", 9, 17)]
 
     def test_awkward(self, awkward):
         got = pii.digests(awkward).collect()
@@ -446,6 +495,19 @@ class TestTokenCounts:
         library = Tokenizer.from_file(queries.WORD_JSON)
         assert token_counts.worker_counter(queries.WORD_JSON).counts([text]) == [len(library.encode(text, add_special_tokens=False).ids)]
 
+    @settings(max_examples=100, deadline=None)
+    @given(TEXTS)
+    def test_other_files_equal_their_libraries(self, text):
+        path = P.path("piece_bpe_32k.model")
+        want = len(sentencepiece.SentencePieceProcessor(model_file=path).encode(text))
+        assert token_counts.worker_counter(path).counts([text, ""]) == [want, 0]
+        library = Tokenizer.from_file(queries.BYTE_JSON)
+        assert token_counts.worker_counter(queries.BYTE_JSON).counts([text]) == [len(library.encode(text, add_special_tokens=False).ids)]
+
+    def test_only_the_word_vocabulary_is_counted_by_words(self):
+        kinds = {p: type(token_counts.worker_counter(p)).__name__ for p in (queries.WORD_JSON, queries.BYTE_JSON)}
+        assert kinds == {queries.WORD_JSON: "WordCounter", queries.BYTE_JSON: "TextCounter"}
+
     def test_batches_are_balanced_by_bytes(self):
         parts = list(token_counts.byte_balanced(["a" * n for n in (5, 5, 5, 40, 1, 1)], 11))
         assert [len("".join(p)) for p in parts] == [10, 5, 40, 2]
