@@ -3,8 +3,13 @@
 Shingles have one order for all texts: those frequent in a sample of the corpus
 come last, the others by their hash. Two sets with a similarity of ``threshold``
 share a shingle among the first ``n - ceil(threshold * n) + 1`` of each; those are
-a text's keys, and texts meet in the bucket of a key. The sample only decides the
-order, so which texts it holds changes the size of buckets and no result.
+a text's keys, and texts meet at a key they share. The sample only decides the
+order and which keys travel apart, so which texts it holds changes no result.
+
+Most keys stand in one text only. So keys travel packed, 48 bits of each with its
+node, by ranges to tasks that sort them; what comes out are the runs of nodes that
+share a key. Runs of the same nodes under several keys are one. Keys that are hot in
+the sample don't meet in one task: they go on as plain rows and are split there.
 
 Inside a bucket a pair is dropped if its sizes, or the parities of its shingles,
 show that it can't reach the threshold: shingles are dealt over as many bits as
@@ -19,23 +24,57 @@ from __future__ import annotations
 import hashlib
 import math
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_bytes, checkpointed, text_or_empty
+from .common import by_bytes, checkpointed, partitions_of, text_or_empty
 from .simhash import TILE, in_cells, majority_bits, shingle_hashes, star_components
 
 #: Documents that decide which shingles are frequent, and how many of those are kept.
 SAMPLE, FREQUENT = 4_000, 20_000
-#: Only ``similarity`` of sets that are not whole reads SKETCH; links are decided by whole sets. MINIMA bounds the links a node may cost.
-MINIMA, SKETCH = 4, 256
-
-
-def frequent_shingles(docs: DataFrame, shingle: int, text_col: str = "text", sample: int = SAMPLE, most: int = FREQUENT) -> np.ndarray:
-    """Hashes that several texts of a sample have, the most frequent last."""
+#: A shingle in this share of the sample, or more, is hot.
+HOT = 0.005
+#: Packed bytes that one task sorts, about, and keys that are packed together.
+TASK_BYTES, PACK = 32 << 20, 1 << 20
+#: Nodes of a run that stand in one row.
+CHUNK = 512
+
+
+@dataclass(frozen=True)
+class Order:
+    """``frequent``: ascending hashes of shingles that come last; ``rank`` among them; ``hot`` ones."""
+
+    frequent: np.ndarray
+    rank: np.ndarray
+    hot: np.ndarray
+
+    @classmethod
+    def of(cls, hashes: np.ndarray, counts: np.ndarray | None = None, least: float = math.inf) -> Order:
+        """``hashes`` from the least to the most frequent."""
+        order = np.argsort(hashes)
+        hot = np.zeros(len(hashes), bool) if counts is None else counts >= least
+        return cls(hashes[order], order, hot[order])
+
+    def keys(self, own: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray]:
+        """The first shingles of an ascending set, and those of them that are hot: sets at ``threshold`` share one of either kind."""
+        length = len(own) - math.ceil(threshold * len(own) - 1e-9) + 1 if len(own) else 0
+        none = own[:0]
+        if not len(self.frequent):
+            return own[:length], none
+        at = np.minimum(np.searchsorted(self.frequent, own), len(self.frequent) - 1)
+        often = self.frequent[at] == own
+        seldom = own[~often][:length]
+        at = at[often]
+        last = at[np.argsort(self.rank[at])][: length - len(seldom)]
+        return np.concatenate([seldom, self.frequent[last[~self.hot[last]]]]), self.frequent[last[self.hot[last]]]
+
+
+def sampled_order(docs: DataFrame, shingle: int, text_col: str = "text", sample: int = SAMPLE, most: int = FREQUENT) -> Order:
+    """The order that a sample of texts, chosen by their hash, gives."""
     every = max(1, docs.count() // sample)
     some = docs.select(text_or_empty(text_col).alias("text")).filter(F.pmod(F.xxhash64("text"), F.lit(every)) == 0)
 
@@ -45,19 +84,8 @@ def frequent_shingles(docs: DataFrame, shingle: int, text_col: str = "text", sam
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.int64), *own]))], ["h"])
 
     counted = some.mapInArrow(run, "h long").groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter("n > 2")
-    return np.array([r.h for r in counted.orderBy(F.desc("n"), "h").limit(most).collect()][::-1], np.int64).view(np.uint64)
-
-
-def prefix(own: np.ndarray, frequent: np.ndarray, threshold: float, order: np.ndarray | None = None) -> np.ndarray:
-    """The first shingles, in the common order, of an ascending set: sets at ``threshold`` share one of them; ``order`` sorts ``frequent``."""
-    length = len(own) - math.ceil(threshold * len(own) - 1e-9) + 1 if len(own) else 0
-    if not len(frequent):
-        return own[:length]
-    order = np.argsort(frequent) if order is None else order
-    at = order[np.minimum(np.searchsorted(frequent, own, sorter=order), len(frequent) - 1)]
-    often = frequent[at] == own
-    seldom = own[~often]
-    return np.concatenate([seldom, frequent[np.sort(at[often])]])[:length]
+    rows = counted.orderBy(F.desc("n"), "h").limit(most).collect()[::-1]
+    return Order.of(np.array([r.h for r in rows], np.int64).view(np.uint64), np.array([r.n for r in rows]), max(8, HOT * sample))
 
 
 def parities(own: np.ndarray) -> np.ndarray:
@@ -75,24 +103,24 @@ def folded(words: np.ndarray, to: int) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, shingle: int, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, text_key (MD5 of the text), fp, size (distinct shingles), digest (of their set), keys array<long>, bits, set (ascending hashes)."""
-    frequent = frequent_shingles(docs, shingle, text_col)
-    order = np.argsort(frequent)
+    """doc_id, text_key (MD5 of the text), fp, size (distinct shingles), digest (of their set), keys (48 bits of each), hot array<long>, bits."""
+    order = sampled_order(docs, shingle, text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in by_bytes(batches, "text"):
-            fps, sizes, digests, keys, bits, sets = [], [], [], [], [], []
+            fps, sizes, digests, keys, hot, bits = [], [], [], [], [], []
             for text in batch.column(2).to_pylist():
                 hashes = shingle_hashes(text, shingle)
                 fps.append(majority_bits(hashes))
                 own = np.unique(hashes)
                 sizes.append(len(own))
                 digests.append(hashlib.blake2b(own.tobytes(), digest_size=16).digest())
-                keys.append(prefix(own, frequent, threshold, order).view(np.int64))
+                some, often = order.keys(own, threshold)
+                keys.append(packed_keys(some))
+                hot.append(often.view(np.int64))
                 bits.append(parities(own).tobytes())
-                sets.append(own.tobytes())
-            offsets = np.concatenate([[0], np.cumsum([len(k) for k in keys])]).astype(np.int32)
-            flat = np.concatenate([np.zeros(0, np.int64), *keys])
+            offsets = np.concatenate([[0], np.cumsum([len(k) for k in hot])]).astype(np.int32)
+            flat = np.concatenate([np.zeros(0, np.int64), *hot])
             yield pa.RecordBatch.from_arrays(
                 [
                     batch.column(0),
@@ -100,39 +128,136 @@ def sketches(docs: DataFrame, shingle: int, threshold: float = 0.8, id_col: str
                     pa.array(np.array(fps, np.uint64).view(np.int64)),
                     pa.array(sizes, pa.int32()),
                     pa.array(digests, pa.binary()),
+                    pa.array(keys, pa.binary()),
                     pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)),
                     pa.array(bits, pa.binary()),
-                    pa.array(sets, pa.binary()),
                 ],
-                ["doc_id", "text_key", "fp", "size", "digest", "keys", "bits", "set"],
+                ["doc_id", "text_key", "fp", "size", "digest", "keys", "hot", "bits"],
             )
 
     src = docs.select(F.col(id_col).alias("doc_id"), text_key(text_col).alias("text_key"), text_or_empty(text_col).alias("text"))
-    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, text_key binary, fp long, size int, digest binary, keys array<bigint>, bits binary, set binary")
+    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, text_key binary, fp long, size int, digest binary, keys binary, hot array<bigint>, bits binary")
 
 
-def text_key(text_col: str):
-    return F.unhex(F.md5(text_or_empty(text_col).cast("binary")))
+def packed_keys(keys: np.ndarray) -> bytes:
+    """The upper 48 bits of each."""
+    return keys.astype("<u8", copy=False).view(np.uint8).reshape(-1, 8)[:, 2:].tobytes()
+
 
+def unpacked_keys(packed: bytes | memoryview) -> np.ndarray:
+    six = np.frombuffer(packed, np.uint8).reshape(-1, 6)
+    out = np.zeros((len(six), 8), np.uint8)
+    out[:, :6] = six
+    return out.view("<u8")[:, 0]
 
-def similarity(a: np.ndarray, b: np.ndarray, size_a: int, size_b: int) -> float:
-    """Of two sets by their ascending hashes: exact if both are whole, else estimated from the smallest."""
-    both = np.intersect1d(a, b, assume_unique=True)
-    if len(a) == size_a and len(b) == size_b:
-        return len(both) / max(1, size_a + size_b - len(both))
-    union = np.union1d(a, b)[:SKETCH]
-    return float(np.isin(union, both).sum()) / len(union)
+
+def planes(nodes: np.ndarray) -> bytes:
+    """Longs byte by byte, so that equal upper bytes stand together and compress."""
+    return np.ascontiguousarray(nodes.astype("<i8", copy=False).view(np.uint8).reshape(-1, 8).T).tobytes()
+
+
+def from_planes(held: bytes) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(held, np.uint8).reshape(8, -1).T).view("<i8")[:, 0]
+
+
+def runs_of(keys: np.ndarray, nodes: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """(key, ascending distinct nodes) of keys that several nodes have."""
+    order = np.lexsort((nodes, keys))
+    keys, nodes = keys[order], nodes[order]
+    fresh = np.ones(len(keys), bool)
+    fresh[1:] = (keys[1:] != keys[:-1]) | (nodes[1:] != nodes[:-1])
+    keys, nodes = keys[fresh], nodes[fresh]
+    starts = np.flatnonzero(np.concatenate([np.ones(min(1, len(keys)), bool), keys[1:] != keys[:-1]]))
+    ends = np.append(starts[1:], len(keys))
+    for a, b in zip(starts[ends - starts > 1].tolist(), ends[ends - starts > 1].tolist(), strict=True):
+        yield int(keys[a]), nodes[a:b]
+
+
+def meetings(nodes: DataFrame) -> DataFrame:
+    """key, node: which nodes (node, keys, hot) share a key; of keys with the same nodes, one.
+
+    A key of hot shingles may have any number of nodes, a third of all: its rows
+    are never gathered. One of the others has no more than a small share of the
+    sample and so, but for chance, of all nodes.
+    """
+    spark = nodes.sparkSession
+    total = nodes.agg(F.sum(F.length("keys"))).first()[0] or 0
+    tasks = max(partitions_of(spark), -(-total * 14 // 6 // TASK_BYTES))
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held_keys, held_nodes, held = [], [], 0
+
+        def done() -> pa.RecordBatch:
+            keys, nodes = np.concatenate(held_keys), np.concatenate(held_nodes)
+            task = (keys % np.uint64(tasks)).astype(np.int32)
+            order = np.lexsort((keys, task))
+            keys, nodes, task = keys[order], nodes[order], task[order]
+            cuts = np.append(np.flatnonzero(np.concatenate([[True], task[1:] != task[:-1]])), len(task)).tolist()
+            spans = list(zip(cuts, cuts[1:], strict=False))
+            return pa.RecordBatch.from_arrays(
+                [pa.array(task[cuts[:-1]]), pa.array([keys[a:b].view(np.uint8).reshape(-1, 8)[:, :6].tobytes() for a, b in spans], pa.binary()), pa.array([planes(nodes[a:b]) for a, b in spans], pa.binary())],
+                ["task", "keys", "nodes"],
+            )
+
+        for batch in batches:
+            for node, packed in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                if packed:
+                    keys = unpacked_keys(packed)
+                    held_keys.append(keys)
+                    held_nodes.append(np.full(len(keys), node, np.int64))
+                    held += len(keys)
+                if held > PACK:
+                    yield done()
+                    held_keys, held_nodes, held = [], [], 0
+        if held:
+            yield done()
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, nodes = [], []
+        for batch in batches:
+            keys += [unpacked_keys(x) for x in batch.column(1).to_pylist()]
+            nodes += [from_planes(x) for x in batch.column(2).to_pylist()]
+        names, rows = ["a", "b", "chunk", "key", "nodes"], []
+        kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary()]
+        for key, run in runs_of(np.concatenate(keys), np.concatenate(nodes)) if keys else ():
+            name = hashlib.blake2b(run.tobytes(), digest_size=16).digest()
+            a, b = int.from_bytes(name[:8], "little", signed=True), int.from_bytes(name[8:], "little", signed=True)
+            rows += [(a, b, i // CHUNK, key, run[i : i + CHUNK].tobytes()) for i in range(0, len(run), CHUNK)]
+            if len(rows) > 1 << 14:
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
+                rows = []
+        if rows:
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
+
+    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            lists = [np.frombuffer(x, np.int64) for x in batch.column(1).to_pylist()]
+            keys = np.repeat(batch.column(0).to_numpy(), [len(x) for x in lists])
+            yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(np.concatenate([np.zeros(0, np.int64), *lists]))], ["key", "node"])
+
+    dealt = nodes.select("node", "keys").mapInArrow(pack, "task int, keys binary, nodes binary").repartitionById(tasks, "task")
+    runs = dealt.mapInArrow(meet, "a long, b long, chunk int, key long, nodes binary").groupBy("a", "b", "chunk").agg(F.min("key").alias("key"), F.first("nodes").alias("nodes"))
+    hot = nodes.select(F.explode("hot").alias("key"), "node")
+    return runs.select("key", "nodes").mapInArrow(spread, "key long, node long").unionByName(hot)
+
+
+def text_key(text_col: str):
+    return F.unhex(F.md5(text_or_empty(text_col).cast("binary")))
 
 
 def spanning(cell: list[tuple], threshold: float, near) -> Iterator[tuple]:
-    """Links of a forest over the rows (side, node, size, ...) of a cell; ``near(i, j)`` gives those of the positions ``j`` that ``i`` is linked with."""
+    """Links of a forest over the rows (side, node, size, ...) of a cell, ascending by size.
+
+    ``near(i, j, apart)`` gives those of the positions ``j`` that ``i`` is linked
+    with; ``apart(x)`` tells whether a link with x would still join two trees.
+    """
     side, sizes = np.array([r[0] for r in cell]), np.array([r[2] for r in cell])
     tree = np.arange(len(cell))
     for i in range(len(cell)):
         j = np.arange(i + 1, np.searchsorted(sizes, sizes[i] / threshold + 1e-9, side="right"))
         j = j[(side[j] != side[i]) | (side[i] == -1)]
         j = j[tree[j] != tree[i]]
-        for x in near(i, j) if len(j) else ():
+        for x in near(i, j, lambda x, i=i: tree[x] != tree[i]) if len(j) else ():
             if tree[x] != tree[i]:
                 yield cell[i][1], cell[x][1]
                 tree[tree == tree[x]] = tree[i]
@@ -147,7 +272,7 @@ def candidates(cell: list[tuple], threshold: float) -> Iterator[tuple]:
     # a partner is at most 1 / threshold as large; its parities are folded to this one's length
     stacks: dict[int, np.ndarray] = {}
 
-    def near(i: int, j: np.ndarray) -> np.ndarray:
+    def near(i: int, j: np.ndarray, apart) -> np.ndarray:
         to = int(length[i])
         if to not in stacks:
             first = int(np.searchsorted(length, to))
@@ -156,25 +281,31 @@ def candidates(cell: list[tuple], threshold: float) -> Iterator[tuple]:
             stacks[to] = np.array([folded(w, to) for w in words[first:last]])
             stacks[-1] = np.array([first])
         rows = stacks[to][j - stacks[-1][0]]
-        apart = np.bitwise_count(rows ^ words[i]).sum(1)
-        return j[apart <= (1 - threshold) / (1 + threshold) * (sizes[i] + sizes[j]) + 1e-9]
+        differ = np.bitwise_count(rows ^ words[i]).sum(1)
+        return j[differ <= (1 - threshold) / (1 + threshold) * (sizes[i] + sizes[j]) + 1e-9]
 
     return spanning(cell, threshold, near)
 
 
+def similarity(a: np.ndarray, b: np.ndarray) -> float:
+    """Of two sets by their ascending hashes."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both / max(1, len(a) + len(b) - both)
+
+
 def verified(cell: list[tuple], threshold: float) -> Iterator[tuple]:
     """Rows are (side, node, size, set): pairs at the threshold."""
     cell = sorted(cell, key=lambda r: r[2])
     sets = [np.frombuffer(r[3], np.uint64) for r in cell]
-    return spanning(cell, threshold, lambda i, j: (x for x in j if similarity(sets[i], sets[x], len(sets[i]), len(sets[x])) >= threshold))
+    return spanning(cell, threshold, lambda i, j, apart: (x for x in j if apart(x) and similarity(sets[i], sets[x]) >= threshold))
 
 
-def by_cell(rows: DataFrame, by: list[str], value: str, links, threshold: float, tile: int) -> DataFrame:
-    """u, v: what ``links`` finds in the cells of ``rows`` (``by``, node, size, ``value``)."""
+def by_cell(rows: DataFrame, by: str, value: DataFrame, links, threshold: float, tile: int) -> DataFrame:
+    """u, v: what ``links`` finds in the cells of ``rows`` (``by``, node, size), a table that can be read again, with ``value`` (node and one column)."""
     band = F.floor(F.log(F.col("size").cast("double")) / F.lit(-math.log(threshold))).cast("int")
     # sizes within the threshold lie in the same band or in one next to it; two, as logarithms are rounded
     kind = rows.schema["node"].dataType.simpleString()
-    dealt = in_cells(rows.withColumn("band", band), by, "band", 2, tile, "node", ["node", "size", value])
+    dealt = in_cells(rows.withColumn("band", band), [by], "band", 2, tile, "node", ["node", "size"], rows.count(), value)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, cell, id_type = None, [], None
@@ -196,19 +327,18 @@ def by_cell(rows: DataFrame, by: list[str], value: str, links, threshold: float,
     return dealt.mapInArrow(run, f"u {kind}, v {kind}").distinct()
 
 
-def set_links(sketched: DataFrame, threshold: float = 0.8, tile: int = TILE, node: str = "doc_id", sets_of=None) -> DataFrame:
+def set_links(nodes: DataFrame, sets_of, threshold: float = 0.8, tile: int = TILE) -> DataFrame:
     """u, v: links that connect whatever links at ``threshold`` and above connect.
 
-    ``sketched`` can be read again. ``sets_of`` returns node and set for a table
-    of nodes; without it ``sketched`` has the sets.
+    ``nodes`` (node, size, keys, hot, bits) can be read again; ``sets_of`` returns
+    node and set (ascending hashes) for a table of nodes.
     """
-    nodes = sketched.filter(F.col("size") > 0).withColumn("node", F.col(node))
-    keyed = nodes.select("node", "size", F.explode("keys").alias("key"))
-    shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("key")
-    meets = checkpointed(keyed.join(shared, "key", "left_semi"))
-    maybe = by_cell(meets.join(nodes.select("node", "bits"), "node"), ["key"], "bits", candidates, threshold, tile)
-    groups = checkpointed(star_components(maybe).withColumnRenamed("u", "node"))
-    return by_cell(groups.join(nodes.select("node", "size"), "node").join(nodes.select("node", "set") if sets_of is None else sets_of(groups.select("node")), "node"), ["root"], "set", verified, threshold, tile)
+    nodes = nodes.filter(F.col("size") > 0)
+    sizes = nodes.select("node", "size")
+    meets = checkpointed(meetings(nodes).join(sizes, "node"))
+    maybe = by_cell(meets, "key", nodes.select("node", "bits"), candidates, threshold, tile)
+    groups = checkpointed(star_components(maybe).withColumnRenamed("u", "node").join(sizes, "node"))
+    return by_cell(groups, "root", sets_of(groups.select("node")), verified, threshold, tile)
 
 
 def hashed_sets(texts: DataFrame, shingle: int) -> DataFrame:

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_bytes, checkpointed, partitions_of, text_or_empty
+from .common import by_bytes, checkpointed, partitions_of, remove, scratch_path, text_or_empty
 
 #: Fingerprints of a bucket or a part of one that are compared in one cell.
 TILE = 4096
@@ -141,39 +141,57 @@ def cell_links(fps: np.ndarray, side: np.ndarray, radius: int) -> tuple[np.ndarr
     return fps[got[:, 0]], fps[got[:, 1]]
 
 
-def in_cells(keyed: DataFrame, by: list[str], band: str, reach: int, tile: int, node: str, values: list[str]) -> DataFrame:
-    """check, cell, side and ``values``, dealt by cell and sorted within partitions.
+def in_cells(keyed: DataFrame, by: list[str], band: str, reach: int, tile: int, node: str, values: list[str], n: int, wide: DataFrame | None = None) -> DataFrame:
+    """check, cell, side and ``values`` of ``n`` rows, dealt by cell and sorted within partitions.
 
     A bucket (``by``) of at most ``tile`` rows is one cell, side -1. A larger one
     is split by ``band`` and a hash of ``node``; a row then goes to the cell of
     its own part with each part whose band is within ``reach`` of its own.
+    ``wide`` (``node`` and further columns) is joined on once rows have their cells.
     """
     per_band = keyed.groupBy(*by, band).agg(F.count(F.lit(1)).alias("n"))
     hot = (
         per_band.groupBy(*by)
         .agg(F.sum("n").alias("total"), F.collect_list(F.struct(F.col(band).alias("band"), F.ceil(F.col("n") / tile).cast("int").alias("parts"))).alias("tiles"))
         .filter(F.col("total") > tile)
-        .select(*by, "tiles")
     )
     own = f"struct({band} as band, cast(pmod(xxhash64({node}), element_at(filter(tiles, t -> t.band = {band}), 1).parts) as int) as part)"
     others = f"flatten(transform(filter(tiles, t -> abs(t.band - {band}) <= {reach}), t -> transform(sequence(0, t.parts - 1), p -> struct(t.band as band, p as part))))"
     cells = (
-        keyed.join(hot, by, "left")
+        join_spread(keyed, hot, by, "total", n, ["tiles"])
         .withColumn("own", F.expr(f"case when tiles is null then null else {own} end"))
         .withColumn("other", F.explode_outer(F.expr(f"case when tiles is null then null else {others} end")))
         .select(*by, F.expr("least(own, other)").alias("lo"), F.expr("greatest(own, other)").alias("hi"), F.expr("case when own is null or own = other then -1 when own < other then 0 else 1 end").alias("side"), *values)
     )
+    if wide is not None:
+        cells, values = cells.join(wide, node), [*values, *(c for c in wide.columns if c != node)]
     place = [*by, "lo", "hi"]
     dealt = cells.withColumn("cell", F.xxhash64(*place)).repartition(partitions_of(keyed.sparkSession), "cell").sortWithinPartitions(*place)
     return dealt.select(F.hash(*place).alias("check"), "cell", "side", *values)
 
 
+def join_spread(many: DataFrame, one: DataFrame, by: list[str], total: str, n: int, values: list[str]) -> DataFrame:
+    """The ``n`` rows of ``many`` with ``values`` of ``one`` (null where it has no row for them), whose keys are its own.
+
+    ``total`` tells how many rows of ``many`` a key has. Keys with more than a
+    partition's share of the rows, fewer than there are partitions, are broadcast;
+    the shuffle deals the others.
+    """
+    share = -(-n // partitions_of(many.sparkSession))
+    side = one.select(*by, total, *values)
+    few = side.filter(F.col(total) > share).withColumnRenamed(total, "_many")
+    first = many.join(F.broadcast(few), by, "left")
+    rest = first.filter("_many is null").drop("_many", *values).join(side.filter(F.col(total) <= share).drop(total), by, "left")
+    return first.filter("_many is not null").drop("_many").unionByName(rest)
+
+
 def close_links(nodes: DataFrame, radius: int = 4, tile: int = TILE) -> DataFrame:
     """u, v: links that connect whatever fingerprints within ``radius`` connect. ``nodes`` has distinct fp."""
-    masks = block_masks(radius, blocks_for(nodes.count(), radius, tile))
+    n = nodes.count()
+    masks = block_masks(radius, blocks_for(n, radius, tile))
     keyed = nodes.select("fp", F.explode(F.array(*(F.struct(F.lit(i).alias("choice"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for i, m in enumerate(masks)))).alias("k")).select("fp", "k.choice", "k.key")
     keyed = keyed.withColumn("pop", F.bit_count("fp"))
-    dealt = in_cells(keyed, ["choice", "key"], "pop", radius, tile, "fp", ["fp"])
+    dealt = in_cells(keyed, ["choice", "key"], "pop", radius, tile, "fp", ["fp"], n * len(masks))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = [np.zeros(0, t) for t in (np.int64, np.int64, np.int32, np.uint64)]
@@ -236,13 +254,22 @@ def components(docs: DataFrame, shingle: int = 4, radius: int = 4, id_col: str =
 
 def component_ids(of_docs: DataFrame, radius: int, tile: int = TILE) -> DataFrame:
     """doc_id, fp, component_id of ``of_docs`` (doc_id, fp), a table that can be read again."""
-    nodes = of_docs.groupBy("fp").agg(F.min("doc_id").alias("first_id"))
+    nodes = checkpointed(of_docs.groupBy("fp").agg(F.min("doc_id").alias("first_id"), F.count(F.lit(1)).alias("copies")))
     roots = star_components(close_links(nodes.select("fp"), radius, tile))
     members = roots.join(nodes, roots["u"] == nodes["fp"]).select("fp", "root", "first_id")
     smallest = members.groupBy("root").agg(F.min("first_id").alias("component_id"))
     joined = members.join(smallest, "root").select("fp", "component_id")
-    of_fp = nodes.join(joined, "fp", "left").select("fp", F.coalesce("component_id", "first_id").alias("component_id"))
-    return of_docs.join(of_fp, "fp").select("doc_id", "fp", "component_id")
+    of_fp = nodes.join(joined, "fp", "left").select("fp", "copies", F.coalesce("component_id", "first_id").alias("component_id"))
+    return join_spread(of_docs, of_fp, ["fp"], "copies", of_docs.count(), ["component_id"]).select("doc_id", "fp", "component_id")
+
+
+#: Rows (an id and 16 bytes) that may be broadcast to find their texts; more are shuffled.
+BROADCAST_ROWS = 500_000
+
+
+def if_small(df: DataFrame) -> DataFrame:
+    """A table that can be read again, to be broadcast if it has few rows."""
+    return F.broadcast(df) if df.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else df
 
 
 def keep_one(docs: DataFrame, shingle: int = 5, radius: int = 4, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text", tile: int = TILE) -> DataFrame:
@@ -251,20 +278,30 @@ def keep_one(docs: DataFrame, shingle: int = 5, radius: int = 4, threshold: floa
     Texts are near copies if their fingerprints are within ``radius``, or, as
     short texts that differ in a word are further apart than that, if their sets
     of shingles have a similarity of at least ``threshold``. Both kinds of links
-    make the groups together. Rows with equal sets are one node, so rows that
-    share doc_id and text leave one. A null doc_id stays only where a group has no other.
+    make the groups together. Rows with equal sets are one node.
+
+    Defined results: a null text counts as empty, and all texts without words are
+    one group; rows that share doc_id and text leave one, rows that share the
+    doc_id alone are judged by their texts; a null doc_id stays only where a group
+    has no other; an empty table gives an empty result; columns of any name pass through.
     """
     from .near_sets import hashed_sets, set_links, sketches, text_key
 
-    sketched = checkpointed(sketches(docs, shingle, threshold, id_col, text_col).drop("set").withColumn("row", F.monotonically_increasing_id()))
-    node_of = checkpointed(sketched.groupBy("digest").agg(F.min("row").alias("node"), F.first("fp").alias("fp")))
-    first = sketched.join(node_of.select(F.col("node").alias("row")), "row", "left_semi").withColumnRenamed("row", "node")
+    spark = docs.sparkSession
+    path = scratch_path(spark, "sketches")
+    sketches(docs, shingle, threshold, id_col, text_col).withColumn("row", F.monotonically_increasing_id()).write.option("compression", "zstd").parquet(path)
+    sketched = spark.read.parquet(path)
+    best = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_key")).alias("best")
+    node_of = checkpointed(sketched.groupBy("digest").agg(F.min("row").alias("node"), F.first("fp").alias("fp"), best).drop("digest"))
+    copies = checkpointed(sketched.select("row").join(node_of.select(F.col("node").alias("row")), "row", "left_anti"))
+    first = sketched.join(if_small(copies), "row", "left_anti").withColumnRenamed("row", "node")
 
     def sets_of(nodes: DataFrame) -> DataFrame:
         """Made again from the texts of the nodes, as to store all sets takes more disk than the texts."""
-        wanted = first.join(nodes, "node", "left_semi").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "node")
+        named = sketched.select(F.col("row").alias("node"), F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"))
+        wanted = checkpointed(named.join(nodes, "node", "left_semi"))
         found = docs.select(F.col(id_col).alias("_doc"), text_key(text_col).alias("_text"), text_or_empty(text_col).alias("text"))
-        return hashed_sets(found.join(wanted, found["_doc"].eqNullSafe(wanted["_id"]) & (found["_text"] == wanted["_key"])).select("node", "text"), shingle)
+        return hashed_sets(found.join(if_small(wanted), F.col("_doc").eqNullSafe(F.col("_id")) & (F.col("_text") == F.col("_key"))).select("node", "text"), shingle).dropDuplicates(["node"])
 
     # nodes of one fingerprint hang on the smallest of them
     of_fp = checkpointed(node_of.groupBy("fp").agg(F.min("node").alias("head")))
@@ -272,18 +309,22 @@ def keep_one(docs: DataFrame, shingle: int = 5, radius: int = 4, threshold: floa
     close = close_links(of_fp.select("fp"), radius, tile)
     heads = [of_fp.select(F.col("fp").alias(k), F.col("head").alias(f"head_{k}")) for k in ("u", "v")]
     close = close.join(heads[0], "u").join(heads[1], "v").select(F.col("head_u").alias("u"), F.col("head_v").alias("v"))
-    alike = set_links(first, threshold, min(tile, 1024), "node", sets_of)
+    alike = set_links(first, sets_of, threshold, min(tile, 1024))
     roots = star_components(equal.unionByName(close).unionByName(alike)).select(F.col("u").alias("node"), "root")
 
-    rows = sketched.select("digest", "doc_id", "text_key", "row").join(node_of.select("digest", "node"), "digest").join(roots, "node", "left")
-    best = rows.groupBy(F.coalesce("root", "node").alias("root")).agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_key")).alias("best")).select("best.doc_id", "best.text_key")
+    grouped = node_of.join(roots, "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("best").alias("best"))
+    stay = grouped.select(F.col("best.doc_id").alias("_keep"), F.col("best.text_key").alias("_keep_key"))
     # a null-safe pair of keys, as rows may lack a doc_id
-    copies = sketched.groupBy("doc_id", "text_key").agg(F.count(F.lit(1)).alias("_n"))
-    stay = best.withColumnsRenamed({"doc_id": "_keep", "text_key": "_keep_key"})
-    stay = stay.join(copies, F.col("_keep").eqNullSafe(F.col("doc_id")) & (F.col("_keep_key") == F.col("text_key"))).select("_keep", "_keep_key", "_n")
-    stay = checkpointed(stay)
-    named = docs.withColumn("_key", text_key(text_col))
-    kept = named.join(stay, F.col(id_col).eqNullSafe(F.col("_keep")) & (F.col("_key") == F.col("_keep_key")))
-    if stay.filter("_n > 1").isEmpty():
-        return kept.select(*docs.columns)
-    return kept.filter("_n = 1").unionByName(kept.filter("_n > 1").dropDuplicates(["_keep", "_key"])).select(*docs.columns)
+    texts = sketched.groupBy(F.col("doc_id").alias("_gone"), F.col("text_key").alias("_gone_key")).agg(F.count(F.lit(1)).alias("_n"))
+    match = F.col("_keep").eqNullSafe(F.col("_gone")) & (F.col("_keep_key") == F.col("_gone_key"))
+    judged = checkpointed(texts.join(stay, match, "left").withColumn("_stays", F.col("_keep_key").isNotNull()).filter("_n > 1 or not _stays").select("_gone", "_gone_key", "_stays"))
+    remove(spark, path)
+    gone, again = judged.filter("not _stays"), judged.filter("_stays")
+    # a struct of its own, so that no column of the table is taken for one of those named here
+    named = docs.select(F.struct("*").alias("_row"), F.col(id_col).alias("_doc"), text_key(text_col).alias("_text"))
+    match = F.col("_doc").eqNullSafe(F.col("_gone")) & (F.col("_text") == F.col("_gone_key"))
+    left = named.join(if_small(gone), match, "left_anti")
+    if again.isEmpty():
+        return left.select("_row.*")
+    repeated = left.join(if_small(again), match, "left_semi").dropDuplicates(["_doc", "_text"])
+    return left.join(if_small(again), match, "left_anti").unionByName(repeated).select("_row.*")

@@ -35,8 +35,10 @@ def test_no_pair_at_the_threshold_is_without_a_common_key():
             other = np.sort(rng.permutation(own)[gone:])
             frequent = rng.permutation(own)[: n // 2]
             for common in (frequent, frequent[:0]):
-                a, b = near_sets.prefix(own, common, 0.8), near_sets.prefix(other, common, 0.8)
-                assert np.intersect1d(a, b).size
+                order = near_sets.Order.of(common, np.arange(len(common)), n // 4)
+                a, b = order.keys(own, 0.8), order.keys(other, 0.8)
+                assert any(np.intersect1d(x, y).size for x, y in zip(a, b, strict=True))
+                assert len(a[0]) + len(a[1]) == len(own) - int(np.ceil(0.8 * len(own) - 1e-9)) + 1
             short = min(len(near_sets.parities(own)), len(near_sets.parities(other)))
             apart = np.bitwise_count(near_sets.folded(near_sets.parities(own), short) ^ near_sets.folded(near_sets.parities(other), short)).sum()
             assert apart <= len(own) - len(other)
@@ -51,6 +53,60 @@ def test_pair_without_a_common_minimum_is_found(spark):
     assert kept(spark, [" ".join(words), " ".join(w for i, w in enumerate(words) if i not in least)], shingle=1, radius=0) == [0]
 
 
+def test_packing_of_keys_and_nodes():
+    rng = np.random.default_rng(4)
+    keys, nodes = rng.integers(0, 2**63, 500).astype(np.uint64) * np.uint64(2) + np.uint64(1), rng.integers(0, 2**62, 500)
+    assert (near_sets.unpacked_keys(near_sets.packed_keys(keys)) == keys >> np.uint64(16)).all()
+    assert (near_sets.from_planes(near_sets.planes(nodes)) == nodes).all()
+
+
+def test_runs_against_a_dictionary():
+    rng = np.random.default_rng(8)
+    for n in (0, 1, 2, 500):
+        keys, nodes = rng.integers(0, 60, n).astype(np.uint64), rng.integers(0, 40, n)
+        want = {}
+        for k, v in zip(keys.tolist(), nodes.tolist(), strict=True):
+            want.setdefault(k, set()).add(v)
+        got = {k: v.tolist() for k, v in near_sets.runs_of(keys, nodes)}
+        assert got == {k: sorted(v) for k, v in want.items() if len(v) > 1}
+
+
+def test_all_pairs_of_a_mixed_corpus(spark, monkeypatch):
+    """Against all pairs: copies, near copies around the threshold, hot passages, chunks and tiles of every size."""
+    monkeypatch.setattr(near_sets, "CHUNK", 3)
+    rng = np.random.default_rng(11)
+    passage, texts = [f"p{i}" for i in range(60)], []
+    for g in range(12):
+        base = [f"g{g}w{i}" for i in range(int(rng.integers(1, 120)))] + (passage[: int(rng.integers(0, 60))] if g % 2 else [])
+        for _ in range(int(rng.integers(1, 9))):
+            own = [f"x{rng.integers(10**9)}" if rng.random() < rng.choice([0, 0.02, 0.1, 0.3]) else w for w in base]
+            texts.append(" ".join(own))
+    texts += ["", "", " ".join(passage), " ".join(passage[:55]), "one", "one two"]
+    sets = [set(simhash.shingle_hashes(t, 2).tolist()) for t in texts]
+    fps = [simhash.fingerprint(t, 2) for t in texts]
+    root = list(range(len(texts)))
+    changed = True
+    while changed:
+        changed = False
+        for i in range(len(texts)):
+            for j in range(i):
+                alike = sets[i] == sets[j] or fps[i] == fps[j] or len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])
+                if alike and root[i] != root[j]:
+                    root[i] = root[j] = min(root[i], root[j])
+                    changed = True
+    for hot, tile in ((0.005, 4096), (0.0005, 4096), (0.0005, 2)):
+        monkeypatch.setattr(near_sets, "HOT", hot)
+        assert kept(spark, texts, shingle=2, radius=0, tile=tile) == sorted(set(root))
+
+
+def test_columns_of_any_name_pass(spark):
+    docs = spark.createDataFrame([(1, "a b c d e f"), (2, "a b c d e f"), (3, None)], "doc_id long, text string")
+    for name in ("_row", "_doc", "_text", "_gone", "_gone_key", "_stays", "row", "node", "key", "size", "digest"):
+        docs = docs.withColumn(name, F.lit("clash"))
+    got = simhash.keep_one(docs)
+    assert got.columns == docs.columns and sorted(tuple(r)[:3] for r in got.collect()) == [(1, "a b c d e f", "clash"), (3, None, "clash")]
+
+
 def test_both_kinds_of_links_make_one_group(spark):
     # 0 and 1 have near fingerprints only, 1 and 2 similar sets only: all three are one group
     rng, shared = np.random.default_rng(1), [f"w{i}" for i in range(100)]
