@@ -3,7 +3,11 @@
 Results are compared by fingerprints, never shipped. Each column gets two sums
 of hashes of its values in canonical form, so a column's multiset is known; then
 columns are matched, and whole rows confirmed, since columns that agree one by
-one may still pair their values differently.
+one may still pair their values differently. Where columns have several partners
+they are matched one after another, each partner confirmed by the rows so far.
+
+Candidate texts are untrusted: they are refused or run with a time limit by
+``execsql``, the fingerprints of many in one job.
 """
 
 from __future__ import annotations
@@ -16,6 +20,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .execsql import Outcome, examine_all, first_rows
+
 
 def canon(col: Column, kind: T.DataType, digits: int = 6) -> Column:
     """One text for equal values of any type; NULL has a marker of its own.
@@ -55,88 +61,145 @@ def canonical(df: DataFrame, digits: int = 6) -> DataFrame:
 
 @dataclass(frozen=True)
 class Fingerprint:
+    """Row count, two hash sums for each column, two for whole rows in the order of columns, and one for each column's place among the rows (equal for columns that are equal row by row)."""
+
     rows: int
     columns: tuple[tuple[int, int], ...]
+    whole: tuple[int, int] = (0, 0)
+    placed: tuple[int, ...] = ()
 
+    @classmethod
+    def of(cls, n: int, sums: list) -> Fingerprint:
+        sums = [int(x or 0) for x in sums]
+        k = (len(sums) - 2) // 3
+        return cls(n, tuple(zip(sums[:k], sums[k : 2 * k], strict=True)), (sums[3 * k], sums[3 * k + 1]), tuple(sums[2 * k : 3 * k]))
 
-def fingerprint(df: DataFrame, digits: int = 6) -> Fingerprint:
-    """Row count and two hash sums for each column: one aggregate with a single row of partial results for each task.
 
-    Sums of decimals and not exclusive-or, which would let equal pairs cancel.
-    """
+def _sum(*of) -> Column:
+    """Sums of decimals and not exclusive-or, which would let equal pairs cancel."""
+    return F.sum(F.xxhash64(*of).cast("decimal(38,0)"))
+
+
+def fingerprint_row(df: DataFrame, digits: int = 6) -> DataFrame:
+    """n, sums: one aggregate with a single row of partial results for each task."""
     rows = canonical(df, digits)
-    sums = []
-    for c in rows.columns:
-        sums += [F.sum(F.xxhash64(c).cast("decimal(38,0)")).alias(f"{c}_a"), F.sum(F.xxhash64(F.lit("salt"), c).cast("decimal(38,0)")).alias(f"{c}_b")]
-    got = rows.agg(F.count(F.lit(1)).alias("n"), *sums).first()
-    return Fingerprint(got["n"], tuple((int(got[f"{c}_a"] or 0), int(got[f"{c}_b"] or 0)) for c in rows.columns))
+    names = rows.columns
+    held = rows.withColumn("r", F.xxhash64(F.lit("row"), *names))
+    sums = [*(_sum(c) for c in names), *(_sum(F.lit("salt"), c) for c in names), *(_sum("r", c) for c in names), _sum(F.lit("x"), *names), _sum(F.lit("y"), *names)]
+    return held.agg(F.count(F.lit(1)).alias("n"), F.array(*sums).alias("sums"))
 
 
-def match_columns(gold: Fingerprint, candidate: Fingerprint, superset: str = "candidate") -> Iterator[list[int]]:
-    """All ways to give each column of ``gold`` a column of its own in ``candidate`` with the same multiset.
+def fingerprint(df: DataFrame, digits: int = 6) -> Fingerprint:
+    return Fingerprint.of(*fingerprint_row(df, digits).first())
+
+
+def partners(gold: Fingerprint, candidate: Fingerprint, superset: str = "candidate") -> list[list[int]] | None:
+    """For each column of ``gold`` those of ``candidate`` with the same multiset; None if the results can't be equal.
 
     ``superset``: which side may have columns that are left over: candidate, none.
     """
     if gold.rows != candidate.rows or len(gold.columns) > len(candidate.columns) or (superset == "none" and len(gold.columns) != len(candidate.columns)):
+        return None
+    found = [[j for j, c in enumerate(candidate.columns) if c == g] for g in gold.columns]
+    return found if all(found) else None
+
+
+def match_columns(gold: Fingerprint, candidate: Fingerprint, superset: str = "candidate", fits=lambda chosen: True) -> Iterator[dict[int, int]]:
+    """Ways to give each column of ``gold`` one of its own in ``candidate``, gold to candidate.
+
+    Columns with one partner come first. ``fits`` is asked about a part of a way
+    whenever a column had several partners, and prunes what it refuses. Of
+    candidate columns that are equal row by row only the first free one is tried.
+    """
+    choices = partners(gold, candidate, superset)
+    if choices is None:
         return
-    choices = [[j for j, c in enumerate(candidate.columns) if c == g] for g in gold.columns]
+    order = sorted(range(len(choices)), key=lambda i: (len(choices[i]), i))
+    alike = candidate.placed or tuple(range(len(candidate.columns)))
 
-    def extend(chosen: list[int]) -> Iterator[list[int]]:
-        if len(chosen) == len(choices):
-            yield list(chosen)
+    def extend(chosen: dict[int, int]) -> Iterator[dict[int, int]]:
+        if len(chosen) == len(order):
+            yield dict(chosen)
             return
-        for j in choices[len(chosen)]:
-            if j not in chosen:
-                yield from extend([*chosen, j])
+        i, tried = order[len(chosen)], set()
+        for j in choices[i]:
+            if j in chosen.values() or alike[j] in tried:
+                continue
+            tried.add(alike[j])
+            longer = {**chosen, i: j}
+            if len(choices[i]) == 1 or fits(longer):
+                yield from extend(longer)
+
+    yield from extend({})
 
-    yield from extend([])
 
+def rows_row(df: DataFrame, columns: list[int], digits: int = 6) -> DataFrame:
+    """n, sums: of the rows of the chosen columns, in their order."""
+    names = [f"c{j}" for j in columns]
+    return canonical(df, digits).agg(F.count(F.lit(1)).alias("n"), F.array(_sum(F.lit("x"), *names), _sum(F.lit("y"), *names)).alias("sums"))
 
-def same_rows(a: DataFrame, b: DataFrame) -> bool:
-    """Equal multisets of canonical rows: two sums of row hashes and the count on each side."""
 
-    def total(df: DataFrame) -> tuple:
-        h = [F.sum(F.xxhash64(F.lit(s), *df.columns).cast("decimal(38,0)")) for s in ("x", "y")]
-        return tuple(df.agg(F.count(F.lit(1)), *h).first())
+def same_rows(a: DataFrame, b: DataFrame, chosen: dict[int, int], digits: int = 6) -> bool:
+    """Equal multisets of canonical rows of the matched columns."""
+    left, right = rows_row(a, list(chosen), digits), rows_row(b, list(chosen.values()), digits)
+    return tuple(left.first()) == tuple(right.first())
 
-    return total(a) == total(b)
 
+def decided(gold: Fingerprint, candidate: Fingerprint, chosen: dict[int, int]) -> bool | None:
+    """What the fingerprints alone tell about a whole way; None if rows must be asked."""
+    if len(chosen) == 1:
+        return True
+    if len(gold.columns) == len(candidate.columns) and all(i == j for i, j in chosen.items()):
+        return gold.whole == candidate.whole
+    return None
 
-def equivalent(gold: DataFrame, candidate: DataFrame, superset: str = "candidate", strict_order: bool = False, digits: int = 6, most_maps: int = 200) -> bool:
-    """``superset``: "candidate" lets the candidate have further columns, "either" also the gold result, "none" neither."""
+
+def equivalent(gold: DataFrame, candidate: DataFrame, superset: str = "candidate", strict_order: bool = False, digits: int = 6, exact: bool = False) -> bool:
+    """``superset``: "candidate" lets the candidate have further columns, "either" also the gold result, "none" neither.
+
+    ``exact`` confirms by rows what the hashes say.
+    """
     if superset == "either":
-        return equivalent(gold, candidate, "candidate", strict_order, digits) or equivalent(candidate, gold, "candidate", strict_order, digits)
+        return equivalent(gold, candidate, "candidate", strict_order, digits, exact) or equivalent(candidate, gold, "candidate", strict_order, digits, exact)
     if strict_order:
         return strict_equal(gold, candidate, digits)
     a, b = fingerprint(gold, digits), fingerprint(candidate, digits)
-    left, right = canonical(gold, digits), canonical(candidate, digits)
-    for i, chosen in enumerate(match_columns(a, b, superset)):
-        if i >= most_maps:
-            raise ValueError("too many columns with equal values to match")
-        picked = right.select(*(F.col(f"c{j}").alias(f"c{k}") for k, j in enumerate(chosen)))
-        if not gold.columns or len(gold.columns) == 1 or same_rows(left, picked):
-            return True
+    for chosen in match_columns(a, b, superset, lambda part: len(part) == 1 or same_rows(gold, candidate, part, digits)):
+        known = decided(a, b, chosen)
+        if known or (known is None and same_rows(gold, candidate, chosen, digits)):
+            return not exact or exact_confirm(gold, candidate, chosen, digits)
     return False
 
 
-def exact_confirm(a: DataFrame, b: DataFrame) -> bool:
-    """The same without hashes: nothing is left over either way. Both must have canonical columns in one order."""
+def exact_confirm(gold: DataFrame, candidate: DataFrame, chosen: dict[int, int], digits: int = 6) -> bool:
+    """The same without hashes: nothing of the matched columns is left over either way."""
+    a = canonical(gold, digits).select(*(F.col(f"c{i}") for i in chosen))
+    b = canonical(candidate, digits).select(*(F.col(f"c{j}").alias(f"c{i}") for i, j in chosen.items()))
     return a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty()
 
 
+def ordered_fingerprint(df: DataFrame, digits: int = 6) -> tuple:
+    """Row count and sums of row hashes, plain and weighted by the place of a row, from one row for each partition.
+
+    Places inside a partition are weighted there; with the rows of the
+    partitions before it known, the sums follow for the whole.
+    """
+    rows = canonical(df, digits)
+    hashes = {k: F.xxhash64(F.lit(k), *rows.columns).cast("decimal(38,0)") for k in ("x", "y")}
+    at = F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))
+    held = rows.select(F.spark_partition_id().alias("p"), at.cast("decimal(10,0)").alias("at"), *(h.alias(k) for k, h in hashes.items()))
+    weighted = [F.sum((F.col(k).cast("decimal(20,0)") * F.col("at")).cast("decimal(38,0)")).alias(f"{k}_at") for k in hashes]
+    parts = held.groupBy("p").agg(F.count(F.lit(1)).alias("n"), *(F.sum(k).alias(k) for k in hashes), *weighted).collect()
+    before, sums = 0, [0, 0, 0, 0]
+    for r in sorted(parts, key=lambda r: r["p"]):
+        sums = [sums[0] + int(r["x"]), sums[1] + int(r["y"]), sums[2] + int(r["x_at"]) + before * int(r["x"]), sums[3] + int(r["y_at"]) + before * int(r["y"])]
+        before += r["n"]
+    return before, *sums
+
+
 def strict_equal(gold: DataFrame, candidate: DataFrame, digits: int = 6) -> bool:
     """The contrast without relaxation: the same columns in the same order, the same rows in the same order."""
-    if len(gold.columns) != len(candidate.columns):
-        return False
-    a, b = canonical(gold, digits), canonical(candidate, digits)
-    rows_a, rows_b = a.toLocalIterator(prefetchPartitions=True), b.toLocalIterator(prefetchPartitions=True)
-    end = object()
-    while True:
-        x, y = next(rows_a, end), next(rows_b, end)
-        if x is end or y is end:
-            return x is y
-        if tuple(x) != tuple(y):
-            return False
+    return len(gold.columns) == len(candidate.columns) and ordered_fingerprint(gold, digits) == ordered_fingerprint(candidate, digits)
 
 
 def equivalence_join(candidates: DataFrame, golds: DataFrame) -> DataFrame:
@@ -166,38 +229,71 @@ def refute_on_sample(gold: DataFrame, candidate: DataFrame, key: str, share: flo
 
 
 class ResultCache:
-    """Fingerprints of distinct SQL texts; each text runs once for each version of the data."""
+    """Fingerprints of distinct SQL texts; each text runs once for each version of the data.
+
+    A text that is refused, fails or takes too long has no result and equals none.
+    """
 
-    def __init__(self, spark, digits: int = 6):
-        self.spark, self.digits = spark, digits
+    def __init__(self, spark, digits: int = 6, timeout_s: float = 20.0):
+        self.spark, self.digits, self.timeout_s = spark, digits, timeout_s
+        self.frames: dict[str, DataFrame | None] = {}
         self.found: dict[str, Fingerprint | None] = {}
+        self.rows: dict[tuple[str, tuple[int, ...]], tuple | None] = {}
         self.pairs: dict[tuple[str, str, str], bool] = {}
 
+    def prepare(self, texts) -> None:
+        """Fingerprints of those not known yet, in few jobs."""
+        new = sorted({t for t in texts if t not in self.found})
+        examined = examine_all(self.spark, new)
+        self.frames.update({t: None if isinstance(x, Outcome) else x for t, x in examined.items()})
+        self.found.update(dict.fromkeys(new))
+        asked = {t: fingerprint_row(self.frames[t], self.digits) for t in new if self.frames[t] is not None}
+        for t, row in first_rows(self.spark, asked, self.timeout_s).items():
+            self.found[t] = None if isinstance(row, Outcome) else Fingerprint.of(row["n"], row["sums"])
+
     def of(self, sql: str) -> Fingerprint | None:
-        if sql not in self.found:
-            try:
-                self.found[sql] = fingerprint(self.spark.sql(sql), self.digits)
-            except Exception:  # noqa: BLE001  a query that fails has no result
-                self.found[sql] = None
+        self.prepare([sql])
         return self.found[sql]
 
+    def rows_of(self, keys) -> None:
+        """Sums of the rows of chosen columns, of many texts in few jobs. ``keys``: (text, columns)."""
+        new = {k: rows_row(self.frames[k[0]], list(k[1]), self.digits) for k in set(keys) if k not in self.rows}
+        for k, row in first_rows(self.spark, new, self.timeout_s).items():
+            self.rows[k] = None if isinstance(row, Outcome) else (row["n"], *row["sums"])
+
+    def _same(self, gold: str, candidate: str, chosen: dict[int, int]) -> bool:
+        keys = (gold, tuple(chosen)), (candidate, tuple(chosen.values()))
+        self.rows_of(keys)
+        return self.rows[keys[0]] is not None and self.rows[keys[0]] == self.rows[keys[1]]
+
+    def equal_many(self, pairs, superset: str = "candidate") -> dict[tuple[str, str], bool]:
+        """For (gold, candidate) texts whether their results are equal."""
+        pairs = set(pairs)
+        new = [(g, c) for g, c in sorted(pairs) if (g, c, superset) not in self.pairs]
+        self.prepare(t for p in new for t in p)
+        # most pairs have one way to match columns: their rows are asked for together
+        single = {}
+        for g, c in new:
+            a, b = self.found[g], self.found[c]
+            choices = partners(a, b, superset) if a and b else None
+            if choices and all(len(x) == 1 for x in choices):
+                single[g, c] = {i: x[0] for i, x in enumerate(choices)}
+        open_ones = {p: m for p, m in single.items() if len(set(m.values())) == len(m) and decided(self.found[p[0]], self.found[p[1]], m) is None}
+        self.rows_of(k for (g, c), m in open_ones.items() for k in ((g, tuple(m)), (c, tuple(m.values()))))
+        for g, c in new:
+            self.pairs[g, c, superset] = self._compare(g, c, superset)
+        return {(g, c): self.pairs[g, c, superset] for g, c in pairs}
+
     def equal(self, gold: str, candidate: str, superset: str = "candidate") -> bool:
-        key = (gold, candidate, superset)
-        if key not in self.pairs:
-            self.pairs[key] = gold == candidate or self._compare(*key)
-        return self.pairs[key]
+        return self.equal_many([(gold, candidate)], superset)[gold, candidate]
 
     def _compare(self, gold: str, candidate: str, superset: str) -> bool:
-        a, b = self.of(gold), self.of(candidate)
+        a, b = self.found[gold], self.found[candidate]
         if a is None or b is None:
             return False
-        left = right = None
-        for chosen in match_columns(a, b, superset):
-            if len(chosen) == 1:
-                return True
-            left = left or canonical(self.spark.sql(gold), self.digits)
-            right = right or canonical(self.spark.sql(candidate), self.digits)
-            if same_rows(left, right.select(*(F.col(f"c{j}").alias(f"c{k}") for k, j in enumerate(chosen)))):
+        for chosen in match_columns(a, b, superset, lambda part: len(part) == 1 or self._same(gold, candidate, part)):
+            known = decided(a, b, chosen)
+            if known or (known is None and self._same(gold, candidate, chosen)):
                 return True
         return False
 

@@ -1,7 +1,8 @@
 """Safe execution of candidate SQL: parse, refuse what is no query, run with a time limit.
 
 ``spark.sql`` runs commands at once, so a text is parsed first, and only plans
-made of query operators over named relations go on. Distinct texts run once.
+made of query operators over named relations go on. Distinct texts run once, and
+texts of which a row each is wanted share jobs.
 """
 
 from __future__ import annotations
@@ -12,9 +13,11 @@ import uuid
 from collections.abc import Iterable
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.errors import AnalysisException, ParseException, PySparkException
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _PATH_RELATION = re.compile(r"UnresolvedRelation \[([^\]]*)\]")
 _PATH_FORMATS = {"parquet", "json", "csv", "orc", "text", "avro", "delta", "binaryfile", "jdbc", "hive"}
@@ -113,6 +116,48 @@ def probe_all(spark: SparkSession, texts: Iterable[str], timeout_s: float = 20.0
         return dict(zip(distinct, pool.map(lambda s: probe(spark, s, timeout_s), distinct), strict=True))
 
 
+def examine(spark: SparkSession, sql: str) -> DataFrame | Outcome:
+    """The analysed query of a text, which has not run; or why there is none."""
+    try:
+        why = refusal(spark, sql)
+        return Outcome("refused", why) if why else spark.sql(sql)
+    except Exception as e:  # noqa: BLE001  whatever a candidate raises is its outcome
+        return classify_error(e)
+
+
+def examine_all(spark: SparkSession, texts: Iterable[str], at_once: int = 6) -> dict[str, DataFrame | Outcome]:
+    distinct = sorted(set(texts))
+    with ThreadPoolExecutor(at_once) as pool:
+        return dict(zip(distinct, pool.map(lambda s: examine(spark, s), distinct), strict=True))
+
+
+def first_rows(spark: SparkSession, frames: dict, timeout_s: float = 20.0, together: int = 24, at_once: int = 4) -> dict:
+    """The single row of each of ``frames`` (of one schema), or the outcome of what fails or takes too long.
+
+    Frames are read ``together`` by one job. If that fails or takes too long, its halves
+    run by themselves, down to the frame that is to blame.
+    """
+
+    def run(keys: list) -> list[tuple]:
+        try:
+            union = reduce(DataFrame.unionByName, [frames[k].withColumn("_at", F.lit(i)) for i, k in enumerate(keys)])
+            rows, late = timed(spark, union.collect, timeout_s)
+            if not late:
+                by_place = {r["_at"]: r for r in rows}
+                return [(k, by_place[i]) for i, k in enumerate(keys)]
+            blame = Outcome("timeout")
+        except Exception as e:  # noqa: BLE001  whatever a candidate raises is its outcome
+            blame = classify_error(e)
+        if len(keys) == 1:
+            return [(keys[0], blame)]
+        return run(keys[: len(keys) // 2]) + run(keys[len(keys) // 2 :])
+
+    keys = list(frames)
+    parts = [keys[i : i + together] for i in range(0, len(keys), together)]
+    with ThreadPoolExecutor(at_once) as pool:
+        return dict(x for part in pool.map(run, parts) for x in part)
+
+
 def check_executable(df: DataFrame, sql_col: str = "gold_sql", timeout_s: float = 20.0) -> DataFrame:
     """``df`` with status and condition; each distinct text of the candidates runs once."""
     spark = df.sparkSession

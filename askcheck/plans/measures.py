@@ -46,7 +46,7 @@ def judge_ends(conversations: DataFrame, questions: DataFrame, results: ResultCa
     spark = conversations.sparkSession
     joined = conversations.join(questions.select("obj_id", "qtype", "category", "subcategory", "gold_sql", "hidden"), "obj_id")
     finals = joined.filter("final_kind = 'sql' and gold_sql is not null").select("gold_sql", "final_text").distinct().collect()  # as many as candidate queries
-    equal = spark.createDataFrame([(r["gold_sql"], r["final_text"], results.equal(r["gold_sql"], r["final_text"])) for r in finals], "gold_sql string, final_text string, equal boolean")
+    equal = spark.createDataFrame([(g, c, same) for (g, c), same in results.equal_many([tuple(r) for r in finals]).items()], "gold_sql string, final_text string, equal boolean")
     said = joined.filter("final_kind = 'feedback' and qtype = 'unanswerable'").select(F.md5(F.concat_ws("|", "final_text", "hidden")).alias("item_id"), F.col("final_text").alias("text"), "hidden").distinct()
     accepted = majority(collect_ballots(said, users, "feedback_match"), len(users)).select("item_id", F.col("kept").alias("accepted"))
     out = joined.join(equal, ["gold_sql", "final_text"], "left").withColumn("item_id", F.md5(F.concat_ws("|", "final_text", "hidden"))).join(accepted, "item_id", "left")

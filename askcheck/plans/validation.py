@@ -34,7 +34,7 @@ class Context:
     superset: str = "candidate"
 
     def __post_init__(self) -> None:
-        self.results = self.results or ResultCache(self.spark)
+        self.results = self.results or ResultCache(self.spark, timeout_s=self.timeout_s)
 
 
 def verdicts(kept: DataFrame, reason: str, n_yes: str | None = None, n_members: str | None = None) -> DataFrame:
@@ -86,7 +86,8 @@ def equal_to_gold(ballots: DataFrame, df: DataFrame, cx: Context) -> DataFrame:
     """ballots with vote yes where the member's query is equivalent to the object's gold query. Distinct pairs run once."""
     joined = ballots.withColumnRenamed("vote", "candidate").join(df.select("obj_id", "gold_sql"), "obj_id")
     pairs = [(r["gold_sql"], r["candidate"]) for r in joined.select("gold_sql", "candidate").distinct().collect()]  # as many as candidate queries
-    found = [(g, c, bool(c) and cx.results.equal(g, c, cx.superset)) for g, c in pairs]
+    equal = cx.results.equal_many([(g, c) for g, c in pairs if c], cx.superset)
+    found = [(g, c, equal.get((g, c), False)) for g, c in pairs]
     known = cx.spark.createDataFrame(found, "gold_sql string, candidate string, equal boolean")
     return joined.join(known, ["gold_sql", "candidate"]).select("obj_id", "member", F.when(F.col("equal"), "yes").otherwise("no").alias("vote"))
 

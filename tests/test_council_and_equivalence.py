@@ -74,9 +74,56 @@ def test_equivalence_against_all_column_maps(spark, na, nb, data):
 def test_columns_that_agree_one_by_one_may_still_pair_differently(spark):
     a = spark.createDataFrame([(1, "x"), (2, "y")], "a int, b string")
     b = spark.createDataFrame([(1, "y"), (2, "x")], "a int, b string")
-    assert equivalence.fingerprint(a) == equivalence.fingerprint(b)
+    assert equivalence.fingerprint(a).columns == equivalence.fingerprint(b).columns
     assert not equivalence.equivalent(a, b)
-    assert equivalence.equivalent(a, a) and equivalence.exact_confirm(equivalence.canonical(a), equivalence.canonical(a))
+    assert equivalence.equivalent(a, a, exact=True) and not equivalence.exact_confirm(a, b, {0: 0, 1: 1})
+
+
+def test_many_columns_of_one_multiset(spark):
+    """Ten columns with the same values: equal ones are interchangeable, rows so far prune the others."""
+    rows = [[(i * k) % 11 for k in range(1, 11)] for i in range(11)]
+    a = spark.createDataFrame(rows, ", ".join(f"c{k} int" for k in range(10)))
+    b = a.select(*reversed(a.columns))
+    assert equivalence.equivalent(a, b) and equivalence.equivalent(b, a, "none")
+    torn = spark.createDataFrame([[*r[:9], (r[9] + (i < 2)) % 11] for i, r in enumerate(rows)], a.schema)
+    assert not equivalence.equivalent(a, torn)
+    same = spark.range(5).select(*(F.col("id").alias(f"c{k}") for k in range(12)))
+    assert equivalence.equivalent(same, same.select(*reversed(same.columns)))
+
+
+def test_strict_order_by_place(spark):
+    q = spark.createDataFrame([(i % 5, i) for i in range(60)], "a int, b int")
+    ordered = q.repartition(7).orderBy("b")
+    assert equivalence.strict_equal(ordered, q.coalesce(1).orderBy("b").toDF("x", "y"))
+    assert not equivalence.strict_equal(ordered, q.orderBy(F.desc("b"))) and not equivalence.strict_equal(ordered, ordered.select("b", "a"))
+    swapped = spark.createDataFrame([(i % 5, {10: 11, 11: 10}.get(i, i)) for i in range(60)], "a int, b int")
+    assert not equivalence.strict_equal(ordered, swapped.withColumn("b", F.col("b")).coalesce(1))
+    assert equivalence.strict_equal(q.limit(0), q.filter("a > 9")) and not equivalence.strict_equal(q.limit(1), q.limit(2))
+
+
+def test_cached_results_equal_direct_ones(spark):
+    spark.range(20).selectExpr("id", "id % 3 AS g", "id % 3 AS h", "cast(id as string) AS s").createOrReplaceTempView("numbers")
+    texts = ["SELECT id, g FROM numbers", "SELECT g, id FROM numbers ORDER BY id DESC", "SELECT id, h, g FROM numbers", "SELECT g FROM numbers", "SELECT id, (id + 1) % 3 FROM numbers WHERE id < 18", "SELECT id, g FROM numbers WHERE id < 18",
+             "SELECT id AS a, id AS b, g AS c FROM numbers", "SELECT DISTINCT g FROM numbers", "SELECT 1 / (id - id) FROM numbers", "SELECT absent FROM numbers", "SELEKT 1", "DROP VIEW numbers", "SELECT id FROM numbers WHERE id < 0", "SELECT s FROM numbers WHERE id < 0"]
+    runs = texts[:8] + texts[12:]
+    cache = equivalence.ResultCache(spark)
+    for superset in ("candidate", "none"):
+        got = cache.equal_many([(a, b) for a in texts for b in texts], superset)
+        for a in texts:
+            for b in texts:
+                assert got[a, b] == (a in runs and b in runs and equivalence.equivalent(spark.sql(a), spark.sql(b), superset)), (a, b, superset)
+
+
+def test_candidates_cannot_touch_data_or_run_on(spark, tmp_path):
+    spark.range(5).write.parquet(f"{tmp_path}/t")
+    spark.read.parquet(f"{tmp_path}/t").createOrReplaceTempView("victim")
+    gold = "SELECT count(*) AS n FROM victim"
+    hostile = ["DROP VIEW victim", "INSERT INTO victim SELECT * FROM victim", "CREATE OR REPLACE TEMP VIEW victim AS SELECT 1 AS id", f"SELECT count(*) AS n FROM parquet.`{tmp_path}/t`", "SELECT reflect('java.lang.System', 'exit', 0) AS n",
+               "SET spark.sql.shuffle.partitions = 1", "SELECT count(*) AS n FROM range(10000000000) a CROSS JOIN range(100000) b WHERE a.id + b.id = -1"]
+    cache = equivalence.ResultCache(spark, timeout_s=3)
+    got = cache.equal_many([(gold, h) for h in [*hostile, "SELECT 5 AS n"]])
+    assert got == {(gold, h): False for h in hostile} | {(gold, "SELECT 5 AS n"): True}
+    assert spark.table("victim").count() == 5 and spark.read.parquet(f"{tmp_path}/t").count() == 5
 
 
 def test_types_share_a_canonical_form(spark):
