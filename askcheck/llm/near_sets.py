@@ -38,8 +38,10 @@ from .simhash import TILE, in_cells, majority_bits, shingle_hashes, star_compone
 SAMPLE, FREQUENT = 4_000, 20_000
 #: A shingle in this share of the sample, or more, is hot.
 HOT = 0.005
-#: Packed bytes that one task sorts, about, and keys that are packed together.
-TASK_BYTES, PACK = 32 << 20, 1 << 20
+#: Packed bytes that are sorted together, about; buckets of that size are dealt to at most so many tasks, which take one after another.
+BUCKET_BYTES, MOST_TASKS = 8 << 20, 20_000
+#: Keys that are packed together.
+PACK = 1 << 18
 #: Nodes of a run that stand in one row.
 CHUNK = 512
 
@@ -182,21 +184,27 @@ def meetings(nodes: DataFrame) -> DataFrame:
     """
     spark = nodes.sparkSession
     total = nodes.agg(F.sum(F.length("keys"))).first()[0] or 0
-    tasks = max(partitions_of(spark), -(-total * 14 // 6 // TASK_BYTES))
+    buckets = max(partitions_of(spark), -(-total * 14 // 6 // BUCKET_BYTES))
+    tasks = min(buckets, max(partitions_of(spark), MOST_TASKS))
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held_keys, held_nodes, held = [], [], 0
 
         def done() -> pa.RecordBatch:
             keys, nodes = np.concatenate(held_keys), np.concatenate(held_nodes)
-            task = (keys % np.uint64(tasks)).astype(np.int32)
-            order = np.lexsort((keys, task))
-            keys, nodes, task = keys[order], nodes[order], task[order]
-            cuts = np.append(np.flatnonzero(np.concatenate([[True], task[1:] != task[:-1]])), len(task)).tolist()
-            spans = list(zip(cuts, cuts[1:], strict=False))
+            bucket = (keys % np.uint64(buckets)).astype(np.int32)
+            order = np.lexsort((keys, bucket))
+            keys, nodes, bucket = keys[order], nodes[order], bucket[order]
+            cuts = np.append(np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]])), len(bucket)).tolist()
+            spans, starts = list(zip(cuts, cuts[1:], strict=False)), bucket[cuts[:-1]]
             return pa.RecordBatch.from_arrays(
-                [pa.array(task[cuts[:-1]]), pa.array([keys[a:b].view(np.uint8).reshape(-1, 8)[:, :6].tobytes() for a, b in spans], pa.binary()), pa.array([planes(nodes[a:b]) for a, b in spans], pa.binary())],
-                ["task", "keys", "nodes"],
+                [
+                    pa.array(starts % tasks),
+                    pa.array(starts),
+                    pa.array([keys[a:b].view(np.uint8).reshape(-1, 8)[:, :6].tobytes() for a, b in spans], pa.binary()),
+                    pa.array([planes(nodes[a:b]) for a, b in spans], pa.binary()),
+                ],
+                ["task", "bucket", "keys", "nodes"],
             )
 
         for batch in batches:
@@ -213,21 +221,31 @@ def meetings(nodes: DataFrame) -> DataFrame:
             yield done()
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keys, nodes = [], []
+        kinds = {"a": pa.int64(), "b": pa.int64(), "chunk": pa.int32(), "key": pa.int64(), "nodes": pa.binary()}
+
+        def shared(keys: list[np.ndarray], nodes: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+            rows = []
+            for key, run in runs_of(np.concatenate(keys), np.concatenate(nodes)):
+                name = hashlib.blake2b(run.tobytes(), digest_size=16).digest()
+                a, b = (int.from_bytes(half, "little", signed=True) for half in (name[:8], name[8:]))
+                rows += [(a, b, i // CHUNK, key, run[i : i + CHUNK].tobytes()) for i in range(0, len(run), CHUNK)]
+                if len(rows) >= 1 << 12:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds.values(), strict=True)], list(kinds))
+                    rows = []
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds.values(), strict=True)], list(kinds))
+
+        at, keys, nodes = None, [], []
         for batch in batches:
-            keys += [unpacked_keys(x) for x in batch.column(1).to_pylist()]
-            nodes += [from_planes(x) for x in batch.column(2).to_pylist()]
-        names, rows = ["a", "b", "chunk", "key", "nodes"], []
-        kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary()]
-        for key, run in runs_of(np.concatenate(keys), np.concatenate(nodes)) if keys else ():
-            name = hashlib.blake2b(run.tobytes(), digest_size=16).digest()
-            a, b = int.from_bytes(name[:8], "little", signed=True), int.from_bytes(name[8:], "little", signed=True)
-            rows += [(a, b, i // CHUNK, key, run[i : i + CHUNK].tobytes()) for i in range(0, len(run), CHUNK)]
-            if len(rows) > 1 << 14:
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
-                rows = []
-        if rows:
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
+            for bucket, some, of in zip(*(batch.column(i) for i in (1, 2, 3)), strict=True):
+                if bucket.as_py() != at and keys:
+                    yield from shared(keys, nodes)
+                    keys, nodes = [], []
+                at = bucket.as_py()
+                keys.append(unpacked_keys(some.as_buffer()))
+                nodes.append(from_planes(of.as_buffer()))
+        if keys:
+            yield from shared(keys, nodes)
 
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -235,7 +253,8 @@ def meetings(nodes: DataFrame) -> DataFrame:
             keys = np.repeat(batch.column(0).to_numpy(), [len(x) for x in lists])
             yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(np.concatenate([np.zeros(0, np.int64), *lists]))], ["key", "node"])
 
-    dealt = nodes.select("node", "keys").mapInArrow(pack, "task int, keys binary, nodes binary").repartitionById(tasks, "task")
+    packed = nodes.select("node", "keys").mapInArrow(pack, "task int, bucket int, keys binary, nodes binary")
+    dealt = packed.repartitionById(tasks, "task").sortWithinPartitions("bucket")
     runs = dealt.mapInArrow(meet, "a long, b long, chunk int, key long, nodes binary").groupBy("a", "b", "chunk").agg(F.min("key").alias("key"), F.first("nodes").alias("nodes"))
     hot = nodes.select(F.explode("hot").alias("key"), "node")
     return runs.select("key", "nodes").mapInArrow(spread, "key long, node long").unionByName(hot)

@@ -124,7 +124,7 @@ class Packer:
                 yield loose
 
 
-def pack_documents(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = 8 << 20) -> DataFrame:
+def pack_documents(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = 8 << 20, cached_units: int = 600_000) -> DataFrame:
     """One row per piece: doc_id, start, length, ids array<int>, doc_tokens, sequence_id, offset."""
 
     def rows(windows: Iterator[list[tuple]], serial: Iterator[int], id_type: pa.DataType) -> Iterator[pa.RecordBatch]:
@@ -153,7 +153,7 @@ def pack_documents(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id
             yield flush()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = byte_level_encoder(tokenizer)
+        encoder = byte_level_encoder(tokenizer, cached_units)
         packer = Packer(capacity)
         first = TaskContext.get().partitionId() << 40
         serial = iter(range(first, first + (1 << 40)))
