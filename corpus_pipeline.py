@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from askcheck.llm import line_dedup, packing, pii, rule_ensemble, simhash
-from askcheck.llm.common import scratch_path, table
+from askcheck.llm.common import remove, scratch_path, table
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -44,7 +44,8 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    pieces = packing.pack_documents(docs, public_tokenizers.path("byte_bpe_50k.json"), 2048, end_id=1)
+    """Sequences of 2,048 ids. A smaller cache than the operator's own, as workers still hold what earlier stages needed."""
+    pieces = packing.pack_documents(docs, public_tokenizers.path("byte_bpe_50k.json"), 2048, end_id=1, cached_units=200_000)
     return pieces.select("sequence_id", "offset", "doc_id", "start", "length", "doc_tokens", "ids")
 
 
@@ -61,9 +62,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), []
     for name, stage in STAGES:
         path = scratch_path(spark, f"pipeline-{name}")
         stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
+        docs, before = spark.read.parquet(path), [*before, path]
+        if len(before) > 1:
+            remove(spark, before.pop(0))  # the next stage's table holds all that is still needed
     return docs
