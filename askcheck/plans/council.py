@@ -8,22 +8,26 @@ member. A missing ballot counts as a no.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.taxonomy import taxonomy
+
 #: What each kind of call is given. Nothing else reaches a member, and column pruning keeps it out of the plan.
+#: ``schema`` is a database's tables with sample rows; definition, trait and example are those of a label.
 CALL_INPUTS = {
-    "category_conformance": ("nl", "db_id", "gold_sql", "hidden", "subcategory"),
-    "gold_satisfied": ("nl", "db_id", "gold_sql", "hidden", "preview"),
-    "sql_without_evidence": ("nl", "db_id"),
-    "sql_without_hidden": ("nl", "db_id", "evidence"),
-    "sql_for_unanswerable": ("nl", "db_id", "evidence"),
-    "feedback_quality": ("nl", "db_id", "hidden"),
-    "category_pair": ("nl", "hidden", "first", "second"),
+    "category_conformance": ("nl", "db_id", "schema", "gold_sql", "hidden", "subcategory", "definition", "trait", "example"),
+    "gold_satisfied": ("nl", "db_id", "schema", "gold_sql", "hidden", "preview"),
+    "sql_without_evidence": ("nl", "db_id", "schema"),
+    "sql_without_hidden": ("nl", "db_id", "schema", "evidence"),
+    "sql_for_unanswerable": ("nl", "db_id", "schema", "evidence"),
+    "feedback_quality": ("nl", "db_id", "schema", "hidden"),
+    "category_pair": ("nl", "db_id", "schema", "hidden", "first", "second", "first_definition", "second_definition"),
     "style": ("nl",),
-    "classify": ("nl", "db_id", "evidence"),
+    "classify": ("nl", "db_id", "schema", "evidence"),
     "relevancy": ("nl", "history", "fragments", "clarification", "allowed"),
     "answer": ("label", "style", "grounding", "clarification"),
     "compare": ("clarification", "style", "first", "second"),
@@ -31,21 +35,34 @@ CALL_INPUTS = {
 }
 
 
-def for_call(df: DataFrame, call: str, *keys: str) -> DataFrame:
-    """Only the key columns and what ``call`` may see."""
-    return df.select(*keys, *(c for c in CALL_INPUTS[call] if c in df.columns and c not in keys))
+@dataclass(frozen=True)
+class Briefing:
+    """What members are told beside a row: schema texts by database and the labels' definitions. Both are short fixed lists, joined on by broadcast."""
 
+    schemas: DataFrame | None = None  # db_id, schema
 
-def collect_ballots(df: DataFrame, members: list, call: str, item: str = "item_id") -> DataFrame:
-    """item_id, member, vote: every member on every item.
+    def add(self, df: DataFrame, wanted: tuple[str, ...]) -> DataFrame:
+        if "schema" in wanted and self.schemas is not None and "db_id" in df.columns and "schema" not in df.columns:
+            df = df.join(F.broadcast(self.schemas), "db_id", "left")
+        labels = taxonomy(df.sparkSession).select("subcategory", "definition", "trait", "example")
+        if "definition" in wanted and "subcategory" in df.columns:
+            df = df.join(F.broadcast(labels), "subcategory", "left")
+        for side in ("first", "second"):
+            if f"{side}_definition" in wanted and side in df.columns:
+                df = df.join(F.broadcast(labels.select(F.col("subcategory").alias(side), F.concat_ws(" ", "definition", "trait").alias(f"{side}_definition"))), side, "left")
+        return df
 
-    Items are spread by item and member, so three members don't mean three
-    tasks; each Python worker holds the members once.
-    """
-    spark = df.sparkSession
-    names = spark.createDataFrame([(m.name,) for m in members], "member string")
+
+def for_call(df: DataFrame, call: str, *keys: str, briefing: Briefing | None = None) -> DataFrame:
+    """Only the key columns and what ``call`` may see."""
+    known = (briefing or Briefing()).add(df, CALL_INPUTS[call])
+    return known.select(*keys, *(c for c in CALL_INPUTS[call] if c in known.columns and c not in keys))
+
+
+def ask(df: DataFrame, members: list, call: str, item: str = "item_id", briefing: Briefing | None = None) -> DataFrame:
+    """item, member, vote for rows that name the member they are for."""
     by_name = {m.name: m for m in members}
-    seen = for_call(df, call, item)
+    seen = for_call(df, call, item, "member", briefing=briefing)
     kind = seen.schema[item].dataType.simpleString()
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -54,7 +71,17 @@ def collect_ballots(df: DataFrame, members: list, call: str, item: str = "item_i
                 votes = by_name[name].vote(call, part.drop(columns="member").reset_index(drop=True))
                 yield pd.DataFrame({item: part[item].to_numpy(), "member": name, "vote": votes})
 
-    return seen.crossJoin(F.broadcast(names)).mapInPandas(run, f"{item} {kind}, member string, vote string")
+    return seen.mapInPandas(run, f"{item} {kind}, member string, vote string")
+
+
+def collect_ballots(df: DataFrame, members: list, call: str, item: str = "item_id", briefing: Briefing | None = None) -> DataFrame:
+    """item, member, vote: every member on every item.
+
+    Items are spread by item and member, so three members don't mean three
+    tasks; each Python worker holds the members once.
+    """
+    names = df.sparkSession.createDataFrame([(m.name,) for m in members], "member string")
+    return ask(df.crossJoin(F.broadcast(names)), members, call, item, briefing)
 
 
 def majority(ballots: DataFrame, council_size: int, yes: str = "yes", item: str = "item_id") -> DataFrame:
@@ -80,11 +107,3 @@ def plurality(ballots: DataFrame, default: str, item: str = "item_id") -> DataFr
 
 def any_yes(ballots: DataFrame, yes: str = "yes", item: str = "item_id") -> DataFrame:
     return ballots.groupBy(item).agg(F.bool_or(F.col("vote") == yes).alias("any_yes"))
-
-
-def early_exit(df: DataFrame, members: list, call: str, item: str = "item_id") -> DataFrame:
-    """Majority of three with the third member asked only where the first two differ: the same verdicts, fewer calls."""
-    first = collect_ballots(df, members[:2], call, item)
-    split = first.groupBy(item).agg(F.countDistinct("vote").alias("kinds")).filter("kinds > 1")
-    third = collect_ballots(df.join(split, item, "left_semi"), members[2:], call, item)
-    return majority(first.unionByName(third), 3, item=item)

@@ -158,10 +158,10 @@ def first_rows(spark: SparkSession, frames: dict, timeout_s: float = 20.0, toget
         return dict(x for part in pool.map(run, parts) for x in part)
 
 
-def check_executable(df: DataFrame, sql_col: str = "gold_sql", timeout_s: float = 20.0) -> DataFrame:
-    """``df`` with status and condition; each distinct text of the candidates runs once."""
+def check_executable(df: DataFrame, sql_col: str = "gold_sql", outcomes_of=None) -> DataFrame:
+    """``df`` with status and condition; each distinct text of the candidates runs once. ``outcomes_of`` maps texts to outcomes (default: probe them all)."""
     spark = df.sparkSession
     texts = [r[0] for r in df.select(sql_col).distinct().collect() if r[0] is not None]  # as many as there are candidate queries
-    found = [(t, o.status, o.condition) for t, o in probe_all(spark, texts, timeout_s).items()]
-    outcomes = spark.createDataFrame(found, f"{sql_col} string, status string, condition string")
-    return df.join(outcomes, sql_col, "left")
+    outcomes = (outcomes_of or (lambda t: probe_all(spark, t)))(texts)
+    found = [(t, o.status, o.condition) for t, o in outcomes.items()]
+    return df.join(spark.createDataFrame(found, f"{sql_col} string, status string, condition string"), sql_col, "left")

@@ -13,10 +13,10 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import sqlmask
-from ..functions.taxonomy import taxonomy
-from .council import any_yes, collect_ballots, majority
+from ..functions.taxonomy import TAXONOMY
+from .council import Briefing, collect_ballots, majority
 from .equivalence import ResultCache, union_all
-from .execsql import check_executable, probe_all
+from .execsql import check_executable
 from .members import council as default_council
 
 VERDICT = ("obj_id", "kept", "reason", "n_yes", "n_members")
@@ -32,6 +32,14 @@ class Context:
     level: str = "category"  # or "subcategory": what the consistency stage compares
     within_group: bool = False  # whether masked duplicates inside a pair count
     superset: str = "candidate"
+    briefing: Briefing | None = None  # schema texts for members
+    store: Callable[[DataFrame, str], DataFrame] | None = None  # how steps inside a stage are materialised
+
+    def keep(self, df: DataFrame, name: str) -> DataFrame:
+        return self.store(df, name) if self.store else df
+
+    def ballots(self, df: DataFrame, call: str, item: str = "item_id", members: list | None = None) -> DataFrame:
+        return collect_ballots(df, members or self.members, call, item, self.briefing)
 
     def __post_init__(self) -> None:
         self.results = self.results or ResultCache(self.spark, timeout_s=self.timeout_s)
@@ -66,12 +74,12 @@ def stage_duplicates(df: DataFrame, cx: Context) -> DataFrame:
 
 
 def stage_executable(df: DataFrame, cx: Context) -> DataFrame:
-    ran = check_executable(df.filter("qtype <> 'unanswerable'"), "gold_sql", cx.timeout_s)
+    ran = check_executable(df.filter("qtype <> 'unanswerable'"), "gold_sql", cx.results.outcomes_of)
     return ran.select("obj_id", F.coalesce(F.col("status") == "ok", F.lit(False)).alias("kept"), F.when(F.coalesce(F.col("status"), F.lit("")) != "ok", F.coalesce("status", F.lit("no query"))).alias("reason"), F.lit(None).cast("bigint").alias("n_yes"), F.lit(None).cast("bigint").alias("n_members"))
 
 
 def _by_majority(df: DataFrame, cx: Context, call: str, reason: str, yes: str = "yes") -> DataFrame:
-    return verdicts(majority(collect_ballots(df, cx.members, call, "obj_id"), len(cx.members), yes, "obj_id"), reason, "n_yes", "n_members")
+    return verdicts(majority(cx.ballots(df, call, "obj_id"), len(cx.members), yes, "obj_id"), reason, "n_yes", "n_members")
 
 
 def stage_conformance(df: DataFrame, cx: Context) -> DataFrame:
@@ -79,7 +87,15 @@ def stage_conformance(df: DataFrame, cx: Context) -> DataFrame:
 
 
 def stage_gold(df: DataFrame, cx: Context) -> DataFrame:
-    return _by_majority(df.filter("qtype <> 'unanswerable'"), cx, "gold_satisfied", "query does not answer the question")
+    """Members see the query and the first rows of its result."""
+    return _by_majority(with_preview(df.filter("qtype <> 'unanswerable'"), cx), cx, "gold_satisfied", "query does not answer the question")
+
+
+def with_preview(df: DataFrame, cx: Context) -> DataFrame:
+    """``df`` with preview: the first rows of the result of gold_sql as JSON, null where it has none."""
+    texts = [r[0] for r in df.select("gold_sql").distinct().collect() if r[0]]  # as many as there are candidate queries
+    found = cx.spark.createDataFrame(list(cx.results.previews(texts).items()), "gold_sql string, preview string")
+    return df.join(found, "gold_sql", "left")
 
 
 def equal_to_gold(ballots: DataFrame, df: DataFrame, cx: Context) -> DataFrame:
@@ -94,7 +110,7 @@ def equal_to_gold(ballots: DataFrame, df: DataFrame, cx: Context) -> DataFrame:
 
 def stage_evidence(df: DataFrame, cx: Context) -> DataFrame:
     asked = df.filter("qtype = 'answerable' and size(evidence) > 0")
-    votes = equal_to_gold(collect_ballots(asked, cx.members, "sql_without_evidence", "obj_id"), asked, cx)
+    votes = equal_to_gold(cx.ballots(asked, "sql_without_evidence", "obj_id"), asked, cx)
     needless = majority(votes, len(cx.members), item="obj_id")
     return verdicts(needless.withColumn("kept", ~F.col("kept")), "evidence is not needed", "n_yes", "n_members")
 
@@ -103,7 +119,7 @@ def stage_ambiguity(df: DataFrame, cx: Context) -> DataFrame:
     """Members answer once for each group, since its readings share the text; each reading is compared on its own."""
     asked = df.filter("qtype = 'ambiguous'")
     once = asked.groupBy("group_id").agg(*(F.first(c).alias(c) for c in ("nl", "db_id", "evidence")))
-    ballots = collect_ballots(once, cx.members, "sql_without_hidden", "group_id")
+    ballots = cx.ballots(once, "sql_without_hidden", "group_id")
     spread = asked.select("obj_id", "group_id").join(ballots, "group_id").select("obj_id", "member", "vote")
     taken = majority(equal_to_gold(spread, asked, cx), len(cx.members), item="obj_id")
     out = taken.withColumn("kept", ~F.col("kept"))
@@ -114,39 +130,68 @@ def stage_ambiguity(df: DataFrame, cx: Context) -> DataFrame:
 
 
 def stage_unsolvable(df: DataFrame, cx: Context) -> DataFrame:
-    """Any member's query that runs and is judged to answer the question removes it. No proof, a conservative attempt."""
+    """Any member's query that runs and is judged to answer the question removes it. No proof, a conservative attempt.
+
+    Members try one after another, each on what nobody has solved yet.
+    """
     asked = df.filter("qtype = 'unanswerable'")
-    tries = collect_ballots(asked, cx.members, "sql_for_unanswerable", "obj_id").filter("vote <> ''")
-    texts = [r["vote"] for r in tries.select("vote").distinct().collect()]  # as many as candidate queries
-    ok = [t for t, o in probe_all(cx.spark, texts, cx.timeout_s).items() if o.status == "ok"]
-    running = tries.filter(F.col("vote").isin(ok)) if ok else tries.limit(0)
-    judged = running.join(asked.select("obj_id", "nl", "db_id", "hidden"), "obj_id").withColumn("item_id", F.concat_ws("#", "obj_id", "member")).withColumn("gold_sql", F.col("vote"))
-    answers = majority(collect_ballots(judged.select("item_id", "nl", "db_id", "gold_sql", "hidden"), cx.members, "gold_satisfied"), len(cx.members))
-    solved = any_yes(answers.select(F.substring_index("item_id", "#", 1).alias("obj_id"), F.when(F.col("kept"), "yes").otherwise("no").alias("vote")), item="obj_id").filter("any_yes")
-    return verdicts(asked.select("obj_id").join(solved, "obj_id", "left").withColumn("kept", F.col("any_yes").isNull()), "a query answers it")
+    live, solved = asked, []
+    for m in cx.members:
+        tries = cx.keep(cx.ballots(live, "sql_for_unanswerable", "obj_id", [m]).filter("vote <> ''"), f"tries-{m.name}")
+        texts = [r["vote"] for r in tries.select("vote").distinct().collect()]  # as many as candidate queries
+        ok = [t for t, o in cx.results.outcomes_of(texts).items() if o.status == "ok"]
+        if not ok:
+            continue
+        running = tries.join(F.broadcast(cx.spark.createDataFrame([(t,) for t in ok], "vote string")), "vote", "left_semi")
+        judged = running.drop("member").join(live.select("obj_id", "nl", "db_id", "hidden"), "obj_id").withColumn("gold_sql", F.col("vote"))
+        answers = majority(cx.ballots(with_preview(judged, cx), "gold_satisfied", "obj_id"), len(cx.members), item="obj_id").filter("kept")
+        solved.append(cx.keep(answers.select("obj_id"), f"solved-{m.name}"))
+        live = live.join(solved[-1], "obj_id", "left_anti")
+    if not solved:
+        return verdicts(asked.withColumn("kept", F.lit(True)), "")
+    all_solved = union_all(solved).withColumn("solved", F.lit(True))
+    return verdicts(asked.select("obj_id").join(all_solved, "obj_id", "left").withColumn("kept", F.col("solved").isNull()), "a query answers it")
 
 
 def stage_feedback(df: DataFrame, cx: Context) -> DataFrame:
     return _by_majority(df.filter("qtype = 'unanswerable'"), cx, "feedback_quality", "feedback is vague or wrong")
 
 
+def rivals(level: str = "category") -> list[list[tuple[str, str, str]]]:
+    """Passes of (qtype, own, second): in each, every label meets one other of its type that it has not met."""
+    at = 1 if level == "category" else 2
+    passes: list[list[tuple[str, str, str]]] = []
+    for qtype in ("ambiguous", "unanswerable"):
+        firsts = {t[at]: t[2] for t in reversed(TAXONOMY) if t[0] == qtype}  # the first subcategory stands for its category
+        names = sorted(firsts)
+        for k in range(1, len(names)):
+            if len(passes) < k:
+                passes.append([])
+            passes[k - 1] += [(qtype, own, firsts[names[(i + k) % len(names)]]) for i, own in enumerate(names)]
+    return passes
+
+
 def stage_consistency(df: DataFrame, cx: Context) -> DataFrame:
-    """The assigned category must win a strict majority against each other one of its type; one pass for each competitor, on who has not lost yet."""
-    kinds = taxonomy(cx.spark)
-    by = "category" if cx.level == "category" else "subcategory"
-    rivals = kinds.groupBy("qtype", by).agg(F.min("subcategory").alias("second")).withColumnRenamed(by, "rival")
-    asked = df.filter("qtype in ('ambiguous', 'unanswerable')").select("obj_id", "nl", "hidden", "qtype", F.col(by).alias("own"), F.col("subcategory").alias("first"))
-    pairs = asked.join(F.broadcast(rivals), (asked["qtype"] == rivals["qtype"]) & (asked["own"] != rivals["rival"])).select("obj_id", "nl", "hidden", "first", "second")
-    items = pairs.withColumn("item_id", F.concat_ws("#", "obj_id", "second"))
-    ballots = collect_ballots(items, cx.members, "category_pair")
-    wins = ballots.join(items.select("item_id", "obj_id", "first"), "item_id").withColumn("vote", F.when(F.col("vote") == F.col("first"), "yes").otherwise("no"))
-    each = wins.groupBy("obj_id", "item_id").agg(F.count_if(F.col("vote") == "yes").alias("n_yes"))
-    out = each.groupBy("obj_id").agg(F.min(2 * F.col("n_yes") > len(cx.members)).alias("kept"), F.min("n_yes").alias("n_yes")).withColumn("n_members", F.lit(len(cx.members)))
+    """The assigned category must win a strict majority against each other one of its type. One pass for each competitor, on who has not lost yet."""
+    own = "category" if cx.level == "category" else "subcategory"
+    live = df.filter("qtype in ('ambiguous', 'unanswerable')").select("obj_id", "nl", "db_id", "hidden", "qtype", F.col(own).alias("own"), F.col("subcategory").alias("first"))
+    lost = []
+    for k, pairs in enumerate(rivals(cx.level), 1):
+        items = live.join(F.broadcast(cx.spark.createDataFrame(pairs, "qtype string, own string, second string")), ["qtype", "own"])
+        wins = cx.ballots(items, "category_pair", "obj_id").join(items.select("obj_id", "first"), "obj_id").withColumn("vote", F.when(F.col("vote") == F.col("first"), "yes").otherwise("no"))
+        judged = cx.keep(majority(wins, len(cx.members), item="obj_id"), f"rivals-{k}")
+        lost.append(judged.filter("not kept"))
+        if k == 1:
+            n_yes = judged.select("obj_id", "n_yes")
+        else:
+            n_yes = union_all([n_yes, judged.select("obj_id", "n_yes")]).groupBy("obj_id").agg(F.min("n_yes").alias("n_yes"))
+        live = live.join(lost[-1], "obj_id", "left_anti")
+    out = n_yes.withColumns({"kept": 2 * F.col("n_yes") > len(cx.members), "n_members": F.lit(len(cx.members))})
     return verdicts(out, "another category fits better", "n_yes", "n_members")
 
 
 def stage_style(df: DataFrame, cx: Context) -> DataFrame:
-    votes = collect_ballots(df.select("obj_id", "nl"), cx.members, "style", "obj_id").join(df.select("obj_id", "style"), "obj_id")
+    votes = cx.ballots(df.select("obj_id", "nl"), "style", "obj_id").join(df.select("obj_id", "style"), "obj_id")
     agreed = majority(votes.withColumn("vote", F.when(F.col("vote") == F.col("style"), "yes").otherwise("no")), len(cx.members), item="obj_id")
     return verdicts(agreed, "another style", "n_yes", "n_members")
 
@@ -170,6 +215,7 @@ def run_cascade(df: DataFrame, cx: Context, store: Callable[[DataFrame, str], Da
 
     An object that a stage does not apply to has no verdict there and stays.
     """
+    cx.store = store
     live, log = store(df, "questions"), []
     for number, (name, stage) in enumerate(STAGES, 1):
         if name in skip:

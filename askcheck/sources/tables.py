@@ -118,3 +118,20 @@ def schema_context(spark: SparkSession, sf_dir: str, db_id: str, n: int = 5, see
         one = sample_rows(df, n, seed, exact).agg(F.sort_array(F.collect_list("row_json")).alias("samples")).select(F.lit(db_id).alias("db_id"), F.lit(t).alias("table_name"), F.lit(about).alias("columns"), "samples")
         out = one if out is None else out.unionByName(one)
     return out
+
+
+def schema_texts(spark: SparkSession, sf_dir: str, n: int = 5, seed: int = 7, exact: bool = True, widest: int = 60, db_ids: list[str] | None = None) -> DataFrame:
+    """db_id, schema: one text for each database with its tables, columns, keys and ``n`` sample rows, cells cut to ``widest`` characters.
+
+    Sample rows are chosen once for each table, whatever databases hold it.
+    """
+    parts = None
+    for t in TABLES:
+        df = table(spark, sf_dir, t)
+        links = {c: f"{ft}.{fc}" for x, c, ft, fc in FOREIGN_KEYS if x == t}
+        about = ", ".join(f"{f.name} {f.dataType.simpleString()}" + (f" -> {links[f.name]}" if f.name in links else "") for f in df.schema)
+        cut = df.select(*(F.substring(F.col(f.name).cast("string"), 1, widest).alias(f.name) for f in df.schema))
+        one = sample_rows(cut, n, seed, exact).agg(F.concat_ws("\n", F.lit(f"{t}({about})"), F.sort_array(F.collect_list("row_json"))).alias("part")).select(F.lit(t).alias("table_name"), "part")
+        parts = one if parts is None else parts.unionByName(one)
+    held = spark.createDataFrame([(d, t) for d, names in DATABASES.items() if not db_ids or d in db_ids for t in names], "db_id string, table_name string")
+    return held.join(parts, "table_name").groupBy("db_id").agg(F.concat_ws("\n", F.sort_array(F.collect_list("part"))).alias("schema"))

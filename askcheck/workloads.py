@@ -12,12 +12,12 @@ from .functions import sqlmask
 from .functions.taxonomy import DIFFICULTIES, STYLES, SUBCATEGORIES, TAXONOMY, taxonomy
 from .plans import agents as A
 from .plans import generation, measures, published, simulation, validation
-from .plans.council import majority, plurality
+from .plans.council import Briefing, majority, plurality
 from .plans.equivalence import ResultCache, equivalent, strict_equal, union_all
 from .plans.execsql import probe
 from .plans.members import council
 from .registry import Registry
-from .sources.tables import DATABASES, FOREIGN_KEYS, TABLES, column_tokens, register_views, schema_catalog, table
+from .sources.tables import DATABASES, FOREIGN_KEYS, TABLES, column_tokens, register_views, schema_catalog, schema_texts, table
 from .streaming.measures import shared_dir
 
 ops = Registry()
@@ -418,6 +418,25 @@ SETS = {"A": ["sales", "clicks", "eval_items", "supply", "retail_full", "dialogs
 GRID = {"samples": 3, "styles": STYLES, "generators": _GENERATORS, "difficulties": DIFFICULTIES}
 
 
+_RESULTS: dict[tuple[str, str], ResultCache] = {}
+
+
+def results_of(spark: SparkSession, sf: str) -> ResultCache:
+    """Results of query texts on one version of the tables, shared by the workloads of a session."""
+    return _RESULTS.setdefault((spark.sparkContext.applicationId, sf), ResultCache(spark))
+
+
+def forget() -> None:
+    """Drop what is known of results: after the tables changed, or before a run that is timed."""
+    _RESULTS.clear()
+
+
+def briefing_of(spark: SparkSession, sf: str) -> Briefing:
+    """Schema texts with five sample rows of each table, read once."""
+    texts = [tuple(r) for r in schema_texts(spark, sf).select("db_id", "schema").collect()]  # one row for each database
+    return Briefing(spark.createDataFrame(texts, "db_id string, schema string"))
+
+
 def questions_of(spark: SparkSession, faults: float = 0.12, db_ids: list[str] | None = None, samples: int = 1, styles=STYLES, aware: bool = True, generators=_GENERATORS[:2], difficulties=DIFFICULTIES[:1]) -> DataFrame:
     made = [generation.RuleGenerator(g, faults, aware=aware) for g in generators]
     return generation.build(spark, made, db_ids, samples, styles, difficulties)
@@ -428,7 +447,7 @@ def validated(spark: SparkSession, sf: str, db_ids: list[str] | None = None, ski
     register_views(spark, sf)
     store = stored(spark)
     raw = store(questions_of(spark, db_ids=db_ids, **GRID), "raw")
-    cx = validation.Context(spark, **options)
+    cx = validation.Context(spark, results=results_of(spark, sf), briefing=briefing_of(spark, sf), **options)
     kept, log = validation.run_cascade(raw, cx, store, skip)
     return raw, kept, log, cx
 
@@ -462,20 +481,22 @@ def w_generator_awareness(spark, sf):
     out = []
     for name, aware in (("aware", True), ("unaware", False)):
         q = stored(spark)(questions_of(spark, 0.0, aware=aware, **GRID), "q")
-        got = validation.stage_conformance(q, validation.Context(spark))
+        got = validation.stage_conformance(q, validation.Context(spark, results=results_of(spark, sf), briefing=briefing_of(spark, sf)))
         out.append(got.agg(F.count(F.lit(1)).alias("n"), measures.share(F.col("kept")).alias("conforming_pct")).select(F.lit(name).alias("generator"), "n", "conforming_pct"))
     return union_all(out)
 
 
 def benchmark_run(spark: SparkSession, sf: str, sets: dict[str, list[str]], agents: list, modes=A.MODES) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(judged conversations, turns, questions), each with its set."""
+    register_views(spark, sf)
+    told, results = briefing_of(spark, sf), results_of(spark, sf)
     judged, turns, questions = [], [], []
     for name, dbs in sets.items():
         store = stored(spark)
         raw = store(questions_of(spark, 0.0, dbs, **GRID), "raw")
-        cx = validation.Context(spark)
+        cx = validation.Context(spark, results=results, briefing=told)
         q = store(measures.balance(raw.join(validation.stage_duplicates(raw, cx).filter("kept"), "obj_id", "left_semi"), ["subcategory"], "obj_id"), "balanced")
-        conversations, said = simulation.simulate(q, agents, cx.members, store, modes)
+        conversations, said = simulation.simulate(q, agents, cx.members, store, modes, briefing=told)
         ends = measures.judge_ends(conversations, q, cx.results, cx.members)
         judged.append(store(ends.withColumn("set", F.lit(name)), "judged"))
         turns.append(said.withColumn("set", F.lit(name)))
@@ -541,9 +562,10 @@ def w_static_dialogue(spark, sf):
     """A fixed history, where only the last turn is tested, against the live dialogue: execution on solvable questions."""
     register_views(spark, sf)
     store, agents = stored(spark), A.roster()
-    q = store(questions_of(spark, 0.0, **GRID), "raw")
-    cx = validation.Context(spark)
-    live, _ = simulation.simulate(q, agents, cx.members, store, ("predicted",))
+    raw = store(questions_of(spark, 0.0, **GRID), "raw")
+    cx = validation.Context(spark, results=results_of(spark, sf), briefing=briefing_of(spark, sf))
+    q = store(raw.join(validation.stage_duplicates(raw, cx).filter("kept"), "obj_id", "left_semi"), "distinct")
+    live, _ = simulation.simulate(q, agents, cx.members, store, ("predicted",), briefing=cx.briefing)
     fixed = union_all([simulation.replay_static(q, agent).select("conv_id", "obj_id", F.lit(agent.name).alias("agent"), F.lit("static").alias("mode"), F.col("kind").alias("final_kind"), F.col("text").alias("final_text")) for agent in agents])
     both = live.select(*fixed.columns).unionByName(fixed)
     judged = measures.judge_ends(store(both, "both"), q, cx.results, cx.members)
@@ -557,7 +579,7 @@ def w_full_simulation(spark, sf):
     for name, dbs in SETS.items():
         _, kept, _, cx = validated(spark, sf, dbs)
         store = stored(spark)
-        conversations, turns = simulation.simulate(kept, A.roster(), cx.members, store)
+        conversations, turns = simulation.simulate(kept, A.roster(), cx.members, store, briefing=cx.briefing)
         judged = store(measures.judge_ends(conversations, kept, cx.results, cx.members), "judged")
         scores = measures.score(judged, "mode", "agent").select("mode", "agent", "ex", "ex_ans", "ex_amb", "fb")
         amb = turns.join(judged.filter("qtype = 'ambiguous'").select("conv_id", "mode", "agent"), "conv_id")

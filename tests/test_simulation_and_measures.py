@@ -1,9 +1,14 @@
+import json
+
 import pytest
 from pyspark.sql import functions as F
 
+from askcheck.functions.taxonomy import CATEGORY_OF
 from askcheck.plans import agents, measures, published, simulation, validation
+from askcheck.plans import council as council_module
+from askcheck.plans.council import Briefing
 from askcheck.plans.members import REFUSAL, RuleJudge, council
-from askcheck.sources.tables import register_views
+from askcheck.sources.tables import register_views, schema_texts
 from askcheck.workloads import questions_of, stored
 
 TURNS = [
@@ -73,6 +78,8 @@ def test_fragments():
     got = simulation.sql_fragments("SELECT a, count(*) AS n FROM t WHERE b > 1 AND c IN (SELECT d FROM u WHERE e = 1) GROUP BY a ORDER BY n LIMIT 3")
     assert got == ["select: a", "select: count(*) AS n", "from: t", "where: b > 1", "where: c IN (SELECT d FROM u WHERE e = 1)", "group by: a", "order by: n", "limit: 3"]
     assert simulation.sql_fragments(None) == []
+    got = simulation.sql_fragments("SELECT a FROM t LEFT JOIN u ON t.x = u.y AND t.z = 'group by, (' WHERE b BETWEEN 1 AND 2 AND \"order by\" = 3")
+    assert got == ["select: a", "from: t", "join: u", "on: t.x = u.y", "on: t.z = 'group by, ('", "where: b BETWEEN 1 AND 2", 'where: "order by" = 3']
 
 
 def test_leaks(spark):
@@ -112,8 +119,50 @@ def test_dialogue_invariants(run):
     assert judged.filter("agent = 'always_clarify'").select("status").distinct().collect() == [("failed",)]
 
 
+def asked_row(spark, clarification="what now?", gold="SELECT a FROM t ORDER BY b"):
+    rows = [("c", "ambiguous", "q", "", "\n".join(simulation.sql_fragments(gold)), clarification, "formal", "h", gold)]
+    return spark.createDataFrame(rows, "conv_id string, qtype string, nl string, history string, fragments string, clarification string, style string, hidden string, gold_sql string")
+
+
+def recorder(*args):
+    """A member that writes down what it is asked; its class goes to the workers with it."""
+
+    class Recorder(RuleJudge):
+        def __init__(self, name, path, vote="technical:2", text=None):
+            super().__init__(name, 0)
+            self.path, self.vote_, self.text = path, vote, text
+
+        def on_relevancy(self, r):
+            return self.vote_
+
+        def on_answer(self, r):
+            import json
+
+            with open(f"{self.path}/{self.name}", "a") as f:
+                f.write(json.dumps(r) + "\n")
+            return self.text or super().on_answer(r)
+
+    return Recorder(*args)
+
+
+def test_only_winners_answer_and_on_the_nodes_they_chose(spark, tmp_path):
+    users = [recorder("a", tmp_path, "technical:2"), recorder("b", tmp_path, "technical:0"), recorder("c", tmp_path, "relevant")]
+    kept = {}
+    r = simulation.user_replies(asked_row(spark), users, lambda df, name: kept.setdefault(name, df.cache()), "x").first()
+    assert (r.relevancy, r.nodes) == ("technical", [0, 2]) and ("b" in r.reply) != ("a" in r.reply.split("about")[-1])
+    asked = {n: {json.loads(x)["grounding"] for x in (tmp_path / n).read_text().splitlines()} for n in ("a", "b") if (tmp_path / n).exists()}
+    assert asked == {"a": {"order by: b"}, "b": {"select: a"}} and not (tmp_path / "c").exists()
+
+
+def test_a_reply_with_the_whole_query_is_refused(spark, tmp_path):
+    gold = "SELECT a FROM t ORDER BY b"
+    users = [recorder(n, tmp_path, "relevant", f"run select a from t order by b; {n}") for n in "abc"]
+    r = simulation.user_replies(asked_row(spark, gold=gold), users, lambda df, name: df, "x").first()
+    assert (r.relevancy, r.reply) == ("relevant", REFUSAL)
+
+
 def test_no_eligible_author_gives_the_refusal(spark):
-    asked = spark.createDataFrame([("c", "ambiguous", "q", "", "f", "what now?", "formal", "h")], "conv_id string, qtype string, nl string, history string, fragments string, clarification string, style string, hidden string")
+    asked = asked_row(spark)
     users = [RuleJudge(f"u{i}", 0) for i in range(3)]
     votes = iter(["relevant", "technical", "irrelevant"])
 
@@ -146,6 +195,9 @@ def faulty(spark, **change):
         ("gold_satisfaction", {"gold_sql": "SELECT 1 AS n"}),
         ("feedback_quality", {"qtype": "unanswerable", "category": "missing_schema", "subcategory": "missing_entity", "gold_sql": None, "nl": "Kindly report the following: the warehouse of each of the documents.", "hidden": "no"}),
         ("style_conformance", {"style": "interrogative"}),
+        ("evidence_necessity", {"subcategory": "with_evidence", "evidence": ["documents are texts"]}),
+        ("ambiguity", {"qtype": "ambiguous", "category": "structural", "subcategory": "scope", "nl": "Kindly report the following: number of documents per lang."}),
+        ("unsolvability", {"qtype": "unanswerable", "category": "missing_schema", "subcategory": "missing_entity", "gold_sql": None, "hidden": "no such thing"}),
         ("category_consistency", {"qtype": "ambiguous", "category": "lexical_vagueness", "subcategory": "vagueness", "nl": "Kindly report the following: score of documents per lang."}),
     ],
 )
@@ -158,6 +210,48 @@ def test_each_stage_rejects_its_fault(spark, sf, stage, change):
     assert all(r.kept for r in clean)
 
 
+def test_members_are_told_what_the_call_names(spark, sf):
+    """A remote member gets complete requests, and nothing that its call must not see."""
+    register_views(spark, sf)
+    told = Briefing(schema_texts(spark, sf, db_ids=["eval_items", "geo"]))
+    q = faulty(spark).withColumns({"first": F.lit("scope"), "second": F.lit("entity"), "preview": F.lit("{}")})
+    wanted = {
+        "category_conformance": {"schema", "definition", "trait", "example", "gold_sql", "hidden"}, "gold_satisfied": {"schema", "gold_sql", "preview", "hidden"}, "sql_without_evidence": {"schema"}, "sql_without_hidden": {"schema", "evidence"},
+        "sql_for_unanswerable": {"schema", "evidence"}, "feedback_quality": {"schema", "hidden"}, "category_pair": {"schema", "first_definition", "second_definition", "hidden"}, "style": set(),
+    }
+    never = {"sql_without_evidence": {"evidence", "hidden", "gold_sql"}, "sql_without_hidden": {"hidden", "gold_sql"}, "sql_for_unanswerable": {"hidden", "gold_sql"}, "style": {"style"}, "category_pair": {"subcategory"}}
+    for call, columns in wanted.items():
+        seen = council_module.for_call(q, call, "obj_id", briefing=told).first().asDict()
+        assert columns | {"nl"} <= {k for k, v in seen.items() if v is not None}, call
+        assert not never.get(call, set()) & set(seen), call
+    schema = council_module.for_call(q, "feedback_quality", "obj_id", briefing=told).first()["schema"]
+    assert "documents(doc_id bigint" in schema and schema.count('{"item_id"') == 5 and "lineitem" not in schema
+
+
+def test_gold_judges_see_result_rows(spark, sf):
+    register_views(spark, sf)
+    got = validation.with_preview(faulty(spark).unionByName(faulty(spark, obj_id="x", gold_sql="DROP VIEW documents")), validation.Context(spark)).collect()
+    shown = {r.obj_id: r.preview for r in got}
+    assert shown["x"] is None and '"c1":' in shown["g-0"] and spark.table("documents").count() > 0
+
+
+def test_modes_without_label_differ_by_what_is_shown(spark):
+    q = faulty(spark, qtype="unanswerable", category="missing_schema", subcategory="missing_entity", gold_sql=None, nl="Kindly report the following: the warehouse of each of the documents.")
+    begun = {r["mode"]: r for r in simulation.start_conversations(q, [agents.BaselineAgent("x")]).collect()}
+    assert {m: r.label for m, r in begun.items()} == {"ground_truth": "missing_entity", "predicted": "missing_entity", "taxonomy_only": None, "taxonomy_free": None}
+    assert "scope:" in begun["taxonomy_only"].guide and "scope" not in begun["taxonomy_free"].guide
+    said = {m: agents.BaselineAgent("x").respond_one({**begun[m].asDict(), "history": "", "n_clar": 0, "forced": False}) for m in agents.MODES}
+    assert said["ground_truth"] == said["taxonomy_only"] and said["taxonomy_free"][1] in said["taxonomy_only"][1] and said["taxonomy_free"] != said["taxonomy_only"]
+    assert simulation.start_conversations(q, [agents.BaselineAgent("x")], ("taxonomy_only",)).first().predicted is None
+
+
+def test_each_pass_of_rivals_meets_every_label_once():
+    for level, sizes in (("category", {"ambiguous": 5, "unanswerable": 3}), ("subcategory", {"ambiguous": 7, "unanswerable": 4})):
+        met = [(q, own, second) for p in validation.rivals(level) for q, own, second in p]
+        assert len(met) == len(set(met)) == sum(n * (n - 1) for n in sizes.values())
+        assert all(second != own and (level == "subcategory" or CATEGORY_OF[second] != own) for _, own, second in met)
+
+
 def test_masked_duplicates_keep_pairs(spark):
     a = faulty(spark, obj_id="g1-0", group_id="g1", gold_sql="SELECT 1 FROM t WHERE a = 'x'")
     b = faulty(spark, obj_id="g1-1", group_id="g1", gold_sql="SELECT 1 FROM t WHERE a = 'y'")
