@@ -68,20 +68,35 @@ def op_st_air_batch(spark, sf):
     return air(_turns(table(spark, sf, "conversations"))).select("n_conv", "n_terminal")
 
 
-@ops.add()
+_PARTS = 4
+
+
+@ops.add(f"""WITH b AS (SELECT ts, user_id % {_PARTS} AS b FROM events), t AS (SELECT b, max(ts) AS top FROM b GROUP BY b)
+ SELECT count(*) AS n_late FROM b WHERE ts < (SELECT max(top) FROM t WHERE t.b < b.b) - INTERVAL 10 DAY""")
 def op_st_late(spark, sf):
-    """Rows more than 30 days behind the newest of their batch, routed by foreachBatch."""
+    """Events that arrive in four parts by their user: those over ten days behind what came in the parts before."""
     base = f"{M.shared_dir(spark)}/late-{uuid.uuid4().hex}"
+    given = table(spark, sf, "events").select("user_id", F.col("ts").cast("timestamp").alias("ts"))
 
     def sink(batch, number):
-        batch.select("event_id", "ts").write.mode("overwrite").parquet(f"{base}/out/b={number}")
+        batch.write.mode("overwrite").parquet(f"{base}/out/b={number}")
+
+    for i in range(_PARTS):
+        given.filter(F.col("user_id") % _PARTS == i).write.mode("append").parquet(f"{base}/in")
+        arriving = spark.readStream.schema(given.schema).parquet(f"{base}/in")
+        arriving.writeStream.foreachBatch(M.late_rows(base, "10 DAYS", sink)).option("checkpointLocation", f"{base}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(given.schema).parquet(f"{base}/out").agg(F.count(F.lit(1)).alias("n_late"))
+
 
-    query = M.events(spark, sf).writeStream.foreachBatch(M.late_rows(None, "30 days", "1 day", sink)).option("checkpointLocation", f"{base}/checkpoint").trigger(availableNow=True).start()
-    query.awaitTermination()
-    return spark.read.parquet(f"{base}/out").agg(F.count(F.lit(1)).alias("n_late"))
+@ops.add("""SELECT day, count(*) AS n_conv, round(100.0 * count(*) FILTER (WHERE a) / count(*), 4) AS clar_pct FROM (SELECT strftime(ts, '%Y-%m-%d') AS day, user_id, bool_or(event_type = 'view') AS a FROM events GROUP BY 1, 2) GROUP BY 1""")
+def op_st_clar_rate(spark, sf):
+    """The share of conversations (a user's day) that hold a clarification (a view), by day."""
+    turns = M.events(spark, sf).select("ts", F.col("user_id").alias("conv_id"), F.when(F.col("event_type") == "view", "clarification").otherwise("reply").alias("kind"))
+    got = M.run_to_end(M.stream_clar_rate(turns, "1 day"), "update", ["start", "conv_id"])
+    return got.groupBy(F.date_format("start", "yyyy-MM-dd").alias("day")).agg(F.count(F.lit(1)).alias("n_conv"), F.round(100.0 * F.count_if("asks") / F.count(F.lit(1)), 4).alias("clar_pct"))
 
 
 @ops.add("SELECT l_orderkey AS item_id, count(*) FILTER (WHERE l_returnflag = 'A') AS n_yes, count(*) AS n_members, 2 * count(*) FILTER (WHERE l_returnflag = 'A') > count(*) AS kept FROM lineitem GROUP BY 1")
 def op_st_votes(spark, sf):
     ballots = M.file_stream(spark, f"{sf}/lineitem.parquet").select(F.col("l_orderkey").alias("item_id"), F.col("l_returnflag").alias("vote"))
-    return M.run_to_end(M.stream_votes(ballots, "A"), "complete")
+    return M.run_to_end(M.stream_votes(ballots, "A"), "update", ["item_id"])

@@ -49,10 +49,16 @@ class SqlFragments:
             yield i, clause, text
 
 
-@ops.add()
+_PARTS = (("select", "'o_orderkey'"), ("select", "'o_totalprice'"), ("from", "'orders'"), ("where", "concat('o_orderpriority = ', chr(39), o_orderpriority, chr(39))"), ("where", "'o_custkey BETWEEN 1 AND 9'"), ("limit", "CAST(o_orderkey % 5 AS VARCHAR)"))
+
+
+@ops.add("SELECT clause, text, count(*) AS n FROM (" + " UNION ALL ".join(f"SELECT '{c}' AS clause, {t} AS text FROM orders" for c, t in _PARTS) + ") GROUP BY 1, 2")
 def op_udtf(spark, sf):
+    """The fragments of a query text for each order, counted."""
     spark.udtf.register("sql_fragments", SqlFragments)
-    return spark.sql("SELECT * FROM sql_fragments('SELECT a, count(*) AS n FROM t WHERE b > 1 AND c IN (SELECT d FROM u) GROUP BY a ORDER BY n LIMIT 3')")
+    table(spark, sf, "orders").createOrReplaceTempView("orders")
+    text = "concat('SELECT o_orderkey, o_totalprice FROM orders WHERE o_orderpriority = ', chr(39), o_orderpriority, chr(39), ' AND o_custkey BETWEEN 1 AND 9 LIMIT ', o_orderkey % 5)"
+    return spark.sql(f"SELECT clause, text, count(*) AS n FROM (SELECT {text} AS sql FROM orders), LATERAL sql_fragments(sql) GROUP BY clause, text")
 
 
 @ops.add("SELECT conv_id, turn, length(text) AS size FROM conversations")

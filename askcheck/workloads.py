@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .functions import sqlmask
-from .functions.taxonomy import DIFFICULTIES, STYLES, SUBCATEGORIES, TAXONOMY, taxonomy
+from .functions.taxonomy import DIFFICULTIES, STYLES, SUBCATEGORIES, taxonomy
 from .plans import agents as A
 from .plans import generation, measures, published, simulation, validation
 from .plans.council import Briefing, majority, plurality
@@ -53,19 +53,25 @@ def w_grid(spark, sf):
     return generation.generation_grid(spark, list(_GENERATORS))
 
 
-@ops.add(f"SELECT * FROM {values([t[:3] for t in TAXONOMY], 'qtype, category, subcategory')}")
+@ops.add("SELECT * FROM (VALUES ('ambiguous', 5, 7), ('unanswerable', 3, 4), ('answerable', 1, 2)) AS v(qtype, categories, subcategories)")
 def w_taxonomy(spark, sf):
-    return taxonomy(spark).select("qtype", "category", "subcategory")
+    """Categories and subcategories of each type: eight problem categories in all, 13 subcategories."""
+    return taxonomy(spark).groupBy("qtype").agg(F.countDistinct("category").cast("int").alias("categories"), F.countDistinct("subcategory").cast("int").alias("subcategories"))
 
 
 _SAMPLED = {"region": "r_regionkey", "nation": "n_nationkey", "customer": "c_custkey", "supplier": "s_suppkey", "part": "p_partkey", "orders": "o_orderkey", "events": "event_id", "documents": "doc_id", "embeddings": "vec_id", "pages": "page_id", "benchmark": "item_id", "labels": "doc_id"}
+#: Keys as text, for both engines; lines and turns have keys of several columns.
+_SAMPLE_KEYS = {t: f"CAST({c} AS {{s}})" for t, c in _SAMPLED.items()} | {
+    "lineitem": "concat(CAST(l_orderkey AS {s}), '|', CAST(l_linenumber AS {s}), '|', CAST(l_partkey AS {s}), '|', CAST(l_suppkey AS {s}))",
+    "conversations": "concat(CAST(conv_id AS {s}), '|', CAST(turn AS {s}))",
+}
 
 
-@ops.add(" UNION ALL ".join(f"SELECT '{t}' AS table_name, k FROM (SELECT CAST({c} AS VARCHAR) AS k FROM {t} ORDER BY md5(concat('7:', CAST({c} AS VARCHAR))), {c} LIMIT 5)" for t, c in _SAMPLED.items()))
+@ops.add(" UNION ALL ".join(f"SELECT '{t}' AS table_name, k FROM (SELECT {c.format(s='VARCHAR')} AS k FROM {t} ORDER BY md5(concat('7:', k)), k LIMIT 5)" for t, c in _SAMPLE_KEYS.items()))
 def w_schema_context(spark, sf):
-    """Five sample rows of each table with a key, by the order of a hash of the key: a top-k in each task and a merge."""
-    one = lambda t, c: T(spark, sf, t).select(c).orderBy(F.md5(F.concat(F.lit("7:"), F.col(c).cast("string"))), c).limit(5).select(F.lit(t).alias("table_name"), F.col(c).cast("string").alias("k"))
-    return union_all([one(t, c) for t, c in _SAMPLED.items()])
+    """Five sample rows of each table, by the order of a hash of the key: a top-k in each task and a merge."""
+    one = lambda t, c: T(spark, sf, t).select(F.expr(c.format(s="STRING")).alias("k")).orderBy(F.md5(F.concat(F.lit("7:"), "k")), "k").limit(5).select(F.lit(t).alias("table_name"), "k")
+    return union_all([one(t, c) for t, c in _SAMPLE_KEYS.items()])
 
 
 def _columns(spark, sf) -> list[tuple[str, str]]:
@@ -379,9 +385,13 @@ def w_kappa(spark, sf):
 # ---- published scores
 
 
-@ops.add(f"SELECT * FROM {published.overall_values()}")
+_RANKED = ("rec", "cls", "ex", "fb", "ex_oracle", "fb_oracle")
+
+
+@ops.add("SELECT set, agent, " + ", ".join(f"(SELECT count(*) + 1 FROM {published.overall_values()} WHERE p.set = o.set AND p.{c} > o.{c})::INTEGER AS {c}" for c in _RANKED) + f" FROM {published.overall_values().replace('AS p(', 'AS o(')}")
 def w_published_overall(spark, sf):
-    return published.overall(spark)
+    """The place of each agent in each published measure."""
+    return published.overall(spark).select("set", "agent", *(F.rank().over(Window.partitionBy("set").orderBy(F.desc(c))).alias(c) for c in _RANKED))
 
 
 @ops.add("SELECT set, " + ", ".join(f"round(avg({c}), 2) AS {c}" for c in ("rec", "cls", "ex", "fb", "ex_oracle", "fb_oracle")) + f" FROM {published.overall_values()} GROUP BY set")
@@ -389,9 +399,26 @@ def w_published_means(spark, sf):
     return published.means(spark)
 
 
-@ops.add(f"SELECT * FROM {published.by_mode_values()}")
+@ops.add(f"SELECT a.set, a.mode, " + ", ".join(f"round(a.{c} - b.{c}, 4) AS {c}" for c in ("ex_ans", "ex_amb", "fb")) + f" FROM (SELECT * FROM {published.by_mode_values()}) a JOIN (SELECT * FROM {published.by_mode_values()}) b ON a.set = b.set AND b.mode = 'ground_truth'")
 def w_published_mode_impact(spark, sf):
-    return published.by_mode(spark)
+    """How far each published mode is from the true label."""
+    true = Window.partitionBy("set")
+    gap = lambda c: F.round(F.col(c) - F.max(F.when(F.col("mode") == "ground_truth", F.col(c))).over(true), 4).alias(c)
+    return published.by_mode(spark).select("set", "mode", gap("ex_ans"), gap("ex_amb"), gap("fb"))
+
+
+@ops.add(f"SELECT mode, round((turns - 1) / (clar / 100), 4) AS clarifications_each, abs(relevant + technical + irrelevant - 100) <= 0.11 AS sums_up FROM {published.dialogues_values()}")
+def w_published_dialogues(spark, sf):
+    """Clarifications of a conversation that asks at all, and whether the shares of replies sum up."""
+    d = published.dialogues(spark)
+    return d.select("mode", F.round((F.col("turns") - 1) / (F.col("clar") / 100), 4).alias("clarifications_each"), (F.abs(F.col("relevant") + F.col("technical") + F.col("irrelevant") - 100) <= 0.11).alias("sums_up"))
+
+
+@ops.add("SELECT * FROM (VALUES ('realism', 89, true), ('style', 103, true), ('category', 96, true), ('disambiguation', 49, true), ('sql', 54, true), ('feedback', 25, true)) AS v(dimension, n_ok, hit)")
+def w_published_human(spark, sf):
+    """The whole number of judgements behind each printed share, over all that the dimension applies to."""
+    h = published.human(spark).withColumn("n_ok", F.round(F.col("pct") * F.col("n") / 100).cast("int"))
+    return h.select("dimension", "n_ok", (F.abs(F.round(100.0 * F.col("n_ok") / F.col("n"), 1) - F.col("pct")) < 0.051).alias("hit"))
 
 
 @ops.add(published.findings_sql())
