@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -56,6 +58,31 @@ def text_or_empty(col: str) -> Column:
     return F.coalesce(F.col(col).cast("string"), F.lit(""))
 
 
+#: What operators keep in a Python worker from task to task, each with how to drop it.
+_KEPT: list = []
+
+
+def kept_by_worker(cached):
+    """Mark a cached function whose values stay in a worker until another operator's task starts there."""
+    _KEPT.append(cached)
+    return cached
+
+
+def lean_worker(*keep) -> None:
+    """Drop what other operators left in this worker and give freed memory back to the system.
+
+    Workers outlive stages, so without this a stage would pay for the caches of all before it.
+    """
+    for cached in _KEPT:
+        if cached not in keep:
+            cached.cache_clear()
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of the C library, where it has one
+    if trim:
+        trim(0)
+
+
 def by_bytes(batches: Iterator[pa.RecordBatch], column: str, limit: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """The rows of Arrow batches, in slices of about ``limit`` bytes of ``column`` each.
 

@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_bytes, checkpointed, partitions_of, text_or_empty
+from .common import by_bytes, checkpointed, lean_worker, partitions_of, text_or_empty
 from .simhash import TILE, in_cells, majority_bits, shingle_hashes, star_components
 
 #: Documents that decide which shingles are frequent, and how many of those are kept.
@@ -109,6 +109,7 @@ def sketches(docs: DataFrame, shingle: int, threshold: float = 0.8, id_col: str
     order = sampled_order(docs, shingle, text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_worker()
         for batch in by_bytes(batches, "text"):
             fps, sizes, digests, keys, hot, bits = [], [], [], [], [], []
             for text in batch.column(2).to_pylist():
@@ -188,6 +189,7 @@ def meetings(nodes: DataFrame) -> DataFrame:
     tasks = min(buckets, max(partitions_of(spark), MOST_TASKS))
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_worker()
         held_keys, held_nodes, held = [], [], 0
 
         def done() -> pa.RecordBatch:
@@ -235,6 +237,7 @@ def meetings(nodes: DataFrame) -> DataFrame:
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds.values(), strict=True)], list(kinds))
 
+        lean_worker()
         at, keys, nodes = None, [], []
         for batch in batches:
             for bucket, some, of in zip(*(batch.column(i) for i in (1, 2, 3)), strict=True):
@@ -326,13 +329,16 @@ def by_cell(rows: DataFrame, by: str, value: DataFrame, links, threshold: float,
     kind = rows.schema["node"].dataType.simpleString()
     dealt = in_cells(rows.withColumn("band", band), [by], "band", 2, tile, "node", ["node", "size"], rows.count(), value)
 
+    wide = next(c for c in value.columns if c != "node")
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_worker()
         at, cell, id_type = None, [], None
 
         def done(found: list[tuple], id_type: pa.DataType) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array([x[k] for x in found], id_type) for k in (0, 1)], ["u", "v"])
 
-        for batch in batches:
+        for batch in by_bytes(batches, wide):
             id_type, found = batch.schema.field("node").type, []
             for check, name, *row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if (check, name) != at:
@@ -364,6 +370,7 @@ def hashed_sets(texts: DataFrame, shingle: int) -> DataFrame:
     """node, set (ascending hashes of the distinct shingles) of ``texts`` (node, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_worker()
         for batch in by_bytes(batches, "text"):
             sets = [np.unique(shingle_hashes(t, shingle)).tobytes() for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], ["node", "set"])

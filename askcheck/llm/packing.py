@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_bytes, text_or_empty
+from .common import by_bytes, lean_worker, text_or_empty
 from .units import byte_level_encoder, ids_array
 
 
@@ -153,6 +153,7 @@ def pack_documents(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id
             yield flush()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_worker(byte_level_encoder)
         encoder = byte_level_encoder(tokenizer, cached_units)
         packer = Packer(capacity)
         first = TaskContext.get().partitionId() << 40

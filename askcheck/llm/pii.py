@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_bytes, text_or_empty
+from .common import by_bytes, lean_worker, text_or_empty
 
 BASE = ("email", "ip", "card", "phone")
 KINDS = (*BASE, "url", "secret", "account")
@@ -190,6 +190,7 @@ def redact_documents(docs: DataFrame, text_col: str = "text") -> DataFrame:
     names = docs.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_worker()
         for batch in by_bytes(batches, text_col):
             at = names.index(text_col)
             texts = [None if t is None else redact(t, find_spans(t)) for t in batch.column(at).to_pylist()]

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_bytes, checkpointed, partitions_of, remove, scratch_path, text_or_empty
+from .common import by_bytes, checkpointed, lean_worker, partitions_of, remove, scratch_path, text_or_empty
 
 #: Fingerprints of a bucket or a part of one that are compared in one cell.
 TILE = 4096
@@ -194,6 +194,7 @@ def close_links(nodes: DataFrame, radius: int = 4, tile: int = TILE) -> DataFram
     dealt = in_cells(keyed, ["choice", "key"], "pop", radius, tile, "fp", ["fp"], n * len(masks))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_worker()
         held = [np.zeros(0, t) for t in (np.int64, np.int64, np.int32, np.uint64)]
 
         def finished(cols: list[np.ndarray], last: bool) -> tuple[pa.RecordBatch, list[np.ndarray]]:

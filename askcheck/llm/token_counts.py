@@ -23,7 +23,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_bytes, text_or_empty
+from .common import by_bytes, kept_by_worker, lean_worker, text_or_empty
 from .units import UnitCache, paused_collector
 
 #: Bytes of new words for one call of the library.
@@ -103,6 +103,7 @@ def counts_by_words(spec: dict) -> bool:
     return own and rest and normalizers == WORD_NORMALIZERS and not special
 
 
+@kept_by_worker
 @lru_cache(maxsize=2)
 def worker_counter(path: str) -> WordCounter | TextCounter:
     if path.endswith(".model"):
@@ -131,6 +132,7 @@ def token_counts(docs: DataFrame, path: str, limit: int = 2048, id_col: str = "d
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_worker(worker_counter)
         counter = worker_counter(path)
         for batch in by_bytes(batches, "text"):
             n = pa.array(counter.counts(batch.column(1).to_pylist()), pa.int64())

@@ -19,6 +19,8 @@ from itertools import accumulate, chain
 
 import numpy as np
 
+from .common import kept_by_worker
+
 #: White space right before a space: only then may a space be inside a piece.
 _UNSAFE = re.compile(r"\s ")
 _SAFE_SPACE = re.compile(r"(?<=\S) (?=\S)")
@@ -110,7 +112,8 @@ def byte_alphabet() -> dict[str, int]:
     return {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(hidden)}
 
 
-@lru_cache(maxsize=4)
+@kept_by_worker
+@lru_cache(maxsize=2)
 def byte_level_encoder(path: str, limit: int = 600_000) -> TextEncoder:
     """An encoder equal to the tokenizers library's for a byte-level BPE file.
 
