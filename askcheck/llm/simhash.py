@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from .common import by_bytes, checkpointed, lean_worker, partitions_of, remove, scratch_path, text_or_empty
 
 #: Fingerprints of a bucket or a part of one that are compared in one cell.
-TILE = 4096
+TILE = 1024
 #: Rows and columns of one exclusive-or in a cell.
 STEP = 256
 
@@ -310,7 +310,7 @@ def keep_one(docs: DataFrame, shingle: int = 5, radius: int = 4, threshold: floa
     close = close_links(of_fp.select("fp"), radius, tile)
     heads = [of_fp.select(F.col("fp").alias(k), F.col("head").alias(f"head_{k}")) for k in ("u", "v")]
     close = close.join(heads[0], "u").join(heads[1], "v").select(F.col("head_u").alias("u"), F.col("head_v").alias("v"))
-    alike = set_links(first, sets_of, threshold, min(tile, 1024))
+    alike = set_links(first, sets_of, threshold, tile)
     roots = star_components(equal.unionByName(close).unionByName(alike)).select(F.col("u").alias("node"), "root")
 
     grouped = node_of.join(roots, "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("best").alias("best"))
