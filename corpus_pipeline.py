@@ -45,7 +45,7 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Sequences of 2,048 ids. A smaller cache than the operator's own, as workers still hold what earlier stages needed."""
-    pieces = packing.pack_documents(docs, public_tokenizers.path("byte_bpe_50k.json"), 2048, end_id=1, cached_units=200_000)
+    pieces = packing.pack_documents(docs, public_tokenizers.path("byte_bpe_50k.json"), 2048, end_id=1, block_bytes=4 << 20, cached_units=100_000)
     return pieces.select("sequence_id", "offset", "doc_id", "start", "length", "doc_tokens", "ids")
 
 
