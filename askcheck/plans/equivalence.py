@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .execsql import Outcome, examine_all, first_rows, probe_all
+from .execsql import Outcome, examine_all, first_rows, look_all
 
 
 def canon(col: Column, kind: T.DataType, digits: int = 6) -> Column:
@@ -240,24 +240,19 @@ class ResultCache:
         self.found: dict[str, Fingerprint | None] = {}
         self.rows: dict[tuple[str, tuple[int, ...]], tuple | None] = {}
         self.pairs: dict[tuple[str, str, str], bool] = {}
-        self.outcomes: dict[str, Outcome] = {}
-        self.shown: dict[str, str | None] = {}
+        self.seen: dict[str, tuple[Outcome, str | None]] = {}
 
-    def outcomes_of(self, texts) -> dict[str, Outcome]:
-        """Whether each text runs and gives a row."""
+    def look(self, texts) -> dict[str, tuple[Outcome, str | None]]:
+        """The outcome of each text and its first five rows as JSON lines."""
         texts = set(texts)
-        self.outcomes.update(probe_all(self.spark, texts.difference(self.outcomes), self.timeout_s))
-        return {t: self.outcomes[t] for t in texts}
+        self.seen.update(look_all(self.spark, texts.difference(self.seen), self.timeout_s, 5))
+        return {t: self.seen[t] for t in texts}
 
-    def previews(self, texts, n: int = 5, widest: int = 400) -> dict[str, str | None]:
-        """The first rows of each result as JSON lines, cut to ``widest`` characters."""
-        texts = set(texts)
-        new = texts.difference(self.shown)
-        examined = examine_all(self.spark, new)
-        lines = {t: x.toDF(*(f"c{i}" for i in range(len(x.columns)))).limit(n).select(F.substring(F.to_json(F.struct("*")), 1, widest).alias("line")) for t, x in examined.items() if not isinstance(x, Outcome)}
-        rows = first_rows(self.spark, {t: x.agg(F.array_join(F.collect_list("line"), "\n").alias("preview")) for t, x in lines.items()}, self.timeout_s)
-        self.shown.update({t: None if t not in rows or isinstance(rows[t], Outcome) else rows[t]["preview"] for t in new})
-        return {t: self.shown[t] for t in texts}
+    def outcomes_of(self, texts) -> dict[str, Outcome]:
+        return {t: outcome for t, (outcome, _) in self.look(texts).items()}
+
+    def previews(self, texts) -> dict[str, str | None]:
+        return {t: rows for t, (_, rows) in self.look(texts).items()}
 
     def prepare(self, texts) -> None:
         """Fingerprints of those not known yet, in few jobs."""

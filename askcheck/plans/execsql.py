@@ -96,18 +96,34 @@ def timed(spark: SparkSession, work, timeout_s: float):
         sc.setLocalProperty("spark.jobGroup.id", None)
 
 
-def probe(spark: SparkSession, sql: str, timeout_s: float = 20.0) -> Outcome:
-    """Whether a text is a query that runs in time and returns at least one row (``LIMIT 1``: no full scan where none is needed)."""
+def look(spark: SparkSession, sql: str, timeout_s: float = 20.0, n: int = 1, widest: int = 400) -> tuple[Outcome, str | None]:
+    """Whether a text is a query that runs in time and returns a row, and its first ``n`` rows as JSON lines.
+
+    By ``LIMIT``, which reads partitions until it has enough: no full scan where none is needed.
+    """
+    found = examine(spark, sql)
+    if isinstance(found, Outcome):
+        return found, None
     try:
-        why = refusal(spark, sql)
-        if why:
-            return Outcome("refused", why)
-        rows, late = timed(spark, lambda: spark.sql(sql).limit(1).collect(), timeout_s)
-        if late:
-            return Outcome("timeout")
-        return Outcome("ok", rows=1) if rows else Outcome("empty")
+        named = found.toDF(*(f"c{i}" for i in range(len(found.columns))))
+        lines = named.limit(n).select(F.substring(F.to_json(F.struct("*")), 1, widest))
+        rows, late = timed(spark, lines.collect, timeout_s)
     except Exception as e:  # noqa: BLE001  whatever a candidate raises is its outcome
-        return classify_error(e)
+        return classify_error(e), None
+    if late:
+        return Outcome("timeout"), None
+    return (Outcome("ok", rows=len(rows)), "\n".join(r[0] for r in rows)) if rows else (Outcome("empty"), None)
+
+
+def probe(spark: SparkSession, sql: str, timeout_s: float = 20.0) -> Outcome:
+    """Whether a text is a query that runs in time and returns at least one row."""
+    return look(spark, sql, timeout_s)[0]
+
+
+def look_all(spark: SparkSession, texts: Iterable[str], timeout_s: float = 20.0, n: int = 1, at_once: int = 8) -> dict[str, tuple[Outcome, str | None]]:
+    distinct = sorted(set(texts))
+    with ThreadPoolExecutor(at_once) as pool:
+        return dict(zip(distinct, pool.map(lambda s: look(spark, s, timeout_s, n), distinct), strict=True))
 
 
 def probe_all(spark: SparkSession, texts: Iterable[str], timeout_s: float = 20.0, at_once: int = 6) -> dict[str, Outcome]:

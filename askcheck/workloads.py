@@ -516,19 +516,16 @@ def w_generator_awareness(spark, sf):
 def benchmark_run(spark: SparkSession, sf: str, sets: dict[str, list[str]], agents: list, modes=A.MODES) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(judged conversations, turns, questions), each with its set."""
     register_views(spark, sf)
-    told, results = briefing_of(spark, sf), results_of(spark, sf)
-    judged, turns, questions = [], [], []
-    for name, dbs in sets.items():
-        store = stored(spark)
-        raw = store(questions_of(spark, 0.0, dbs, **GRID), "raw")
-        cx = validation.Context(spark, results=results, briefing=told)
-        q = store(measures.balance(raw.join(validation.stage_duplicates(raw, cx).filter("kept"), "obj_id", "left_semi"), ["subcategory"], "obj_id"), "balanced")
-        conversations, said = simulation.simulate(q, agents, cx.members, store, modes, briefing=told)
-        ends = measures.judge_ends(conversations, q, cx.results, cx.members)
-        judged.append(store(ends.withColumn("set", F.lit(name)), "judged"))
-        turns.append(said.withColumn("set", F.lit(name)))
-        questions.append(q.withColumn("set", F.lit(name)))
-    return union_all(judged), union_all(turns), union_all(questions)
+    store = stored(spark)
+    cx = validation.Context(spark, results=results_of(spark, sf), briefing=briefing_of(spark, sf))
+    raw = store(questions_of(spark, 0.0, sum(sets.values(), []), **GRID), "raw")
+    distinct = store(raw.join(validation.stage_duplicates(raw, cx).filter("kept"), "obj_id", "left_semi"), "distinct")
+    # every set is balanced by itself; both go through the dialogues together
+    questions = store(union_all([measures.balance(distinct.filter(F.col("db_id").isin(dbs)), ["subcategory"], "obj_id").withColumn("set", F.lit(name)) for name, dbs in sets.items()]), "balanced")
+    conversations, said = simulation.simulate(questions, agents, cx.members, store, modes, briefing=cx.briefing)
+    ends = measures.judge_ends(conversations, questions, cx.results, cx.members).join(questions.select("obj_id", "set"), "obj_id")
+    judged = store(ends, "judged")
+    return judged, said.join(judged.select("conv_id", "set"), "conv_id"), questions
 
 
 def overall_of(judged: DataFrame) -> DataFrame:
@@ -602,13 +599,12 @@ def w_static_dialogue(spark, sf):
 @ops.add()
 def w_full_simulation(spark, sf):
     """The flagship: generation, validation and dialogues of two sets under all four modes; one row per set, mode and agent."""
-    out = []
-    for name, dbs in SETS.items():
-        _, kept, _, cx = validated(spark, sf, dbs)
-        store = stored(spark)
-        conversations, turns = simulation.simulate(kept, A.roster(), cx.members, store, briefing=cx.briefing)
-        judged = store(measures.judge_ends(conversations, kept, cx.results, cx.members), "judged")
-        scores = measures.score(judged, "mode", "agent").select("mode", "agent", "ex", "ex_ans", "ex_amb", "fb")
-        amb = turns.join(judged.filter("qtype = 'ambiguous'").select("conv_id", "mode", "agent"), "conv_id")
-        out.append(scores.join(measures.air(amb, "mode", "agent").select("mode", "agent", "air"), ["mode", "agent"], "left").withColumn("set", F.lit(name)))
-    return union_all(out)
+    _, kept, _, cx = validated(spark, sf)
+    store = stored(spark)
+    sets = F.create_map(*(F.lit(x) for name, dbs in SETS.items() for db in dbs for x in (db, name)))
+    conversations, turns = simulation.simulate(kept, A.roster(), cx.members, store, briefing=cx.briefing)
+    ends = measures.judge_ends(conversations, kept, cx.results, cx.members).join(kept.select("obj_id", sets[F.col("db_id")].alias("set")), "obj_id")
+    judged = store(ends, "judged")
+    scores = measures.score(judged, "set", "mode", "agent").select("set", "mode", "agent", "ex", "ex_ans", "ex_amb", "fb")
+    amb = turns.join(judged.filter("qtype = 'ambiguous'").select("conv_id", "set", "mode", "agent"), "conv_id")
+    return scores.join(measures.air(amb, "set", "mode", "agent").select("set", "mode", "agent", "air"), ["set", "mode", "agent"], "left")

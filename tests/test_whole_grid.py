@@ -40,7 +40,7 @@ def test_queries_ask_for_the_whole_grid(monkeypatch, name):
         monkeypatch.setattr(workloads, "benchmark_run", run)
     with pytest.raises(Asked):
         getattr(workloads, name)(None, "")
-    assert set(seen) == set(DATABASES) if name != "w_full_simulation" else set(seen) == set(workloads.SETS["A"])
+    assert set(seen) == set(DATABASES)
 
 
 def test_the_grid_of_questions_is_whole(spark):
